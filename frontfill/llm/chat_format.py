@@ -112,7 +112,7 @@ def read_back(formatted: DataFrame) -> DataFrame:
     ``turns`` are (role, text) of all turns that are not repeats, in order; ``loss_text`` is the unescaped text under
     the loss mask, windows in order.
     """
-    pieces = F.slice(F.split("formatted", r"<\|(?=turn\|>|again\|>)", -1), 2, 2147483647)
+    pieces = F.split("formatted", r"<\|(?=turn\|>|again\|>)", -1)
     fresh = F.filter(pieces, lambda p: p.startswith("turn|>"))
     cut = len("turn|>") + 1
 

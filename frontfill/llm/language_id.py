@@ -8,8 +8,9 @@ The automata are laid out as one dense table of next states with the number of p
 advances one symbol at a time in array operations: all blocks of ``BLOCK`` symbols of all documents and all
 languages at once.  The parse restarts at each block of a long text; every symbol of every text takes part.
 
-Sample: whole texts of the ``SAMPLE_DOCS`` labelled documents of a language that a hash puts first, cut to the language's share of
-``SAMPLE_CHARS`` symbols; a window that Spark limits before its shuffle finds them.
+Sample: from each of the ``SAMPLE_DOCS`` labelled documents of a language that a hash puts first, a passage of ``PASSAGE`` symbols at a
+hashed place, cut to the language's share of ``SAMPLE_CHARS`` in all; many short passages, so that no document's habits
+weigh much.  A window that Spark limits before its shuffle finds them.
 
 Defined results: null texts and texts without a letter are ``und`` with score 0; ties go to the language name that
 sorts first; with one language the score is 1, with none all rows are ``und``; other columns pass through; repeated rows are
@@ -29,19 +30,21 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-SAMPLE_DOCS, SAMPLE_CHARS = 48, 1 << 17
+SAMPLE_DOCS, SAMPLE_CHARS, PASSAGE = 256, 1 << 17, 256
 BLOCK, SYMBOLS = 512, 64
 SPACE, DIGIT, LETTER, OTHER, PAD = 0, 1, 2, 3, 63
 _FIRST = 4
 PIECE_CHARS = 1 << 20
 
 
-def training_samples(docs: DataFrame, fold: Column, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample_docs: int = SAMPLE_DOCS, sample_chars: int = SAMPLE_CHARS) -> dict[str, str]:
+def training_samples(docs: DataFrame, fold: Column, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample_docs: int = SAMPLE_DOCS, sample_chars: int = SAMPLE_CHARS, passage: int = PASSAGE) -> dict[str, str]:
     """Language -> sample text, from rows where ``fold`` holds and text and language are given."""
     rows = docs.where(fold & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(lang_col).cast("string").alias("lang"), F.xxhash64(F.lit("sample"), F.col(id_col), F.col(text_col)).alias("h"), F.col(text_col).alias("text"))
+    begin = F.pmod("h", F.greatest(F.length("text") - passage, F.lit(1))).cast("int") + 1
+    rows = rows.select("lang", "h", F.substring(F.col("text"), begin, F.lit(passage)).alias("text"))
     ranked = rows.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy("h"))).where(F.col("r") <= sample_docs)
     chosen: dict[str, list[tuple[int, str]]] = {}
-    for r in ranked.select("lang", "r", F.substring("text", 1, sample_chars).alias("text")).toLocalIterator():
+    for r in ranked.select("lang", "r", "text").toLocalIterator():
         chosen.setdefault(r["lang"], []).append((r["r"], r["text"]))
     share = sample_chars // max(1, len(chosen))
     return {k: "\n".join(t for _, t in sorted(v))[:share] for k, v in sorted(chosen.items())}

@@ -37,6 +37,12 @@ SEND = "chunk int, level int, bucket int, payload binary"
 _CHUNK = "__sd_chunk"
 
 
+def _groups(owner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Start and end of each run of equal values."""
+    at = np.flatnonzero(np.diff(owner, prepend=-1))
+    return at, np.append(at[1:], len(owner))[: len(at)]
+
+
 class _Windows:
     """Fingerprints of a chunk's windows, and what the corpus has said of them, level by level."""
 
@@ -81,8 +87,7 @@ class _Windows:
     def send(self, chunk: int, level: int) -> pa.Table:
         owner, values, twice, _ = self.distinct(level)
         width = np.uint64 if level == len(self.levels) - 1 else np.uint32
-        at = np.flatnonzero(np.diff(owner, prepend=-1))
-        end = np.append(at[1:], len(owner))
+        at, end = _groups(owner)
         blobs = [np.uint32(e - s).tobytes() + np.packbits(twice[s:e]).tobytes() + values[s:e].astype(width).tobytes() for s, e in zip(at, end, strict=True)]
         k = len(at)
         return pa.table({"chunk": pa.array([chunk] * k, pa.int32()), "level": pa.array([level] * k, pa.int32()), "bucket": pa.array(owner[at], pa.int32()), "payload": pa.array(blobs, pa.binary())})
@@ -91,8 +96,7 @@ class _Windows:
         """Keep the windows that the buckets call repeated."""
         owner, values, _, slot = self.distinct(level)
         said = np.zeros(len(values), dtype=bool)
-        at = np.flatnonzero(np.diff(owner, prepend=-1))
-        end = np.append(at[1:], len(owner))
+        at, end = _groups(owner)
         for s, e in zip(at, end, strict=True):
             said[s:e] = np.unpackbits(np.frombuffer(answers[int(owner[s])], np.uint8), count=e - s).astype(bool)
         self.alive[np.flatnonzero(self.alive)] = said[slot]

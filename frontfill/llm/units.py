@@ -14,11 +14,11 @@ import re
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 # letters of the safe range, as regular-expression classes; U+00AA and U+00BA are letters, U+00B2/B3/B9/BC-BE are numbers
-_L = "A-Za-zªµºÀ-ÖØ-öø-ɏ"
+_L = "A-Za-zªµºÀ-ÖØ-öø-ž"
 _N = "0-9²³¹¼-¾"
 _S = " \t\n\r\x0b\x0c"
 #: a text of these alone is cut here
-SAFE = re.compile(r"[\t\n\r -~¡-¬®-įĲ-ɏ–—‘’“”…]*")
+SAFE = re.compile(r"[\t\n\r -~¡-¬®-įĲ-ňŊ-ž–—‘’“”…]*")
 # fixed values: the contractions and classes of the public pattern of the two vocabularies
 _CONTRACT = "'s|'t|'re|'ve|'m|'ll|'d"
 BYTE_UNITS = re.compile(rf"{_CONTRACT}| ?[{_L}]+| ?[{_N}]+| ?[^{_S}{_L}{_N}]+|[{_S}]+(?![^{_S}])|[{_S}]+")
