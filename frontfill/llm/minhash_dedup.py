@@ -10,12 +10,13 @@ Steps, each over all documents:
    ``t`` = 0.8), hence at least one of the ``k - o + 1`` rarest of each.  Only those are listed;
    values of one document alone fill the places of rare ones and list nothing, so common
    passages leave the lists of all documents that have text of their own.
-3. *Star round.*  Each list links its members to its smallest one.  The union of two sketches
-   estimates the similarity; pairs that pass are verified on the full shingle sets.
-   Components of verified links follow.
-4. *Cross round.*  Whatever a list still holds in different components is paired too, so no
-   link is lost; members that are already connected need no pair.  A long list of copies
-   thus costs its length, not its square.
+3. *Families.*  Each list ties its members to its smallest one; the components of these ties are the families inside which
+   all links must lie.  A family is tied by as many rows as its lists are long, never by pairs.
+4. *Links.*  Families are dealt to units of bounded size; one over the bound is cut into blocks, and every two of its
+   blocks meet in a unit.  Inside a unit the most typical documents come first.  Against one document the retained
+   values' postings count overlaps, the union of the two sketches estimates the similarity of those that overlap enough,
+   and the postings of the full sets verify exactly.  Documents that are already connected need no comparison, and a unit
+   returns one link for each component that a document touches, so copies of one text cost their number, not its square.
 5. Components over all verified links; copies inherit their representative's.
 
 Links are decided by ``100 * |A & B| >= 100 * t * |A | B|`` on the full sets only.
@@ -32,7 +33,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frontfill.llm.common import checkpointed
@@ -40,6 +41,7 @@ from frontfill.llm.graph import components
 from frontfill.llm.wordscan import U64, mix, ngrams, pieces, run_hashes, words
 
 K, OVERLAP = 48, 18
+UNIT_BYTES = 4 << 20
 
 
 def shingle_sets(column, n: int):
@@ -84,19 +86,6 @@ def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sh
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(scan, "doc_id long, n_shingles long, digest binary, sketch array<long>")
 
 
-def _order(x: Column) -> Column:
-    """Retained values are unsigned; compare them as such."""
-    return x.bitwiseXOR(F.lit(-(1 << 63)))
-
-
-def union_estimate(sa: Column, sb: Column, k: int = K) -> tuple[Column, Column]:
-    """(values of both sketches among the union's ``k`` smallest, how many those are)."""
-    flip = lambda s: F.transform(s, _order)
-    union = F.slice(F.array_sort(F.array_union(flip(sa), flip(sb))), 1, k)
-    both = F.array_intersect(flip(sa), flip(sb))
-    return F.size(F.array_intersect(union, both)), F.size(union)
-
-
 def _lists(reps: DataFrame, k: int, overlap: int) -> DataFrame:
     """``v, rep``: the rarest retained values of each representative that others retain too."""
     values = reps.select("rep", F.size("sketch").alias("s"), F.explode("sketch").alias("v"))
@@ -108,32 +97,91 @@ def _lists(reps: DataFrame, k: int, overlap: int) -> DataFrame:
     return rows.where(room > 0).select("rep", F.explode(F.slice("common", F.lit(1), room)).alias("x")).select("rep", F.col("x.v").alias("v"))
 
 
-def _plausible(pairs: DataFrame, reps: DataFrame, k: int, overlap: int, threshold: float) -> DataFrame:
-    """Pairs whose set sizes and union sketch allow the similarity."""
-    side = lambda c: reps.select(F.col("rep").alias(c), F.col("n_shingles").alias(f"n{c}"), F.col("sketch").alias(f"s{c}"))
-    got = pairs.join(side("a"), "a").join(side("b"), "b")
-    percent = F.lit(int(round(100 * threshold)))
-    got = got.where((100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")))
-    hit, size = union_estimate(F.col("sa"), F.col("sb"), k)
-    return got.where(hit * k >= F.lit(overlap) * size).select("a", "b")
-
-
-def _verified(pairs: DataFrame, texts: DataFrame, shingle: int, threshold: float) -> DataFrame:
-    """Pairs that reach the similarity on their full sets."""
-    percent = int(round(100 * threshold))
-    rows = pairs.join(texts.select(F.col("rep").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("rep").alias("b"), F.col("text").alias("tb")), "b")
-
-    def check(batches):
-        for batch in batches:
-            keep = []
-            for lo in range(0, batch.num_rows, 512):
-                part = batch.slice(lo, 512)
-                for sa, sb in zip(shingle_sets(part.column(2), shingle), shingle_sets(part.column(3), shingle), strict=True):
-                    both = len(sa) + len(sb) - len(np.unique(np.concatenate([sa, sb])))
-                    keep.append(100 * both >= percent * (len(sa) + len(sb) - both))
-            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
-
-    return rows.select("a", "b", "ta", "tb").mapInArrow(check, "a long, b long")
+def _postings(values: np.ndarray, owner: np.ndarray):
+    """Postings of the values that two owners have: (token of each kept entry, its owner, start of each token's owners, owners by token)."""
+    _, token, count = np.unique(values, return_inverse=True, return_counts=True)
+    keep = count[token] > 1
+    token, owner = token[keep], owner[keep]
+    _, token = np.unique(token, return_inverse=True)
+    order = np.argsort(token, kind="stable")
+    start = np.concatenate([[0], np.cumsum(np.bincount(token))]) if len(token) else np.zeros(1, np.int64)
+    return token, owner, start, owner[order]
+
+
+def _gather(tokens: np.ndarray, start: np.ndarray, owners: np.ndarray) -> np.ndarray:
+    """Owners of all given tokens, with repeats."""
+    lens = start[tokens + 1] - start[tokens]
+    at = np.repeat(start[tokens] - (np.cumsum(lens) - lens), lens) + np.arange(int(lens.sum()))
+    return owners[at]
+
+
+def union_estimate(mine: np.ndarray, others: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(values of both sketches among the union's ``k`` smallest, how many those are) for one sketch and a padded matrix of others."""
+    top = np.iinfo(np.uint64).max
+    both = np.sort(np.concatenate([np.broadcast_to(mine, (len(others), len(mine))), others], axis=1), axis=1)
+    real = both != top
+    same = np.zeros_like(real)
+    same[:, 1:] = both[:, 1:] == both[:, :-1]
+    rank = np.cumsum(real & ~same, axis=1)
+    return (same & real & (rank <= k)).sum(axis=1), np.minimum(rank[:, -1], k)
+
+
+def unit_links(ids: np.ndarray, sets: list[np.ndarray], percent: int, k: int = K, overlap: int = OVERLAP) -> list[tuple[int, int]]:
+    """Links that join all documents of a unit which the similarity joins, one for each component touched."""
+    n = len(sets)
+    sizes = np.array([len(s) for s in sets], np.int64)
+    owner = np.repeat(np.arange(n), sizes)
+    values = np.concatenate(sets) if n else np.zeros(0, U64)
+    token, own, start, owners = _postings(values, owner)
+    first = np.searchsorted(own, np.arange(n + 1))
+    kept = np.minimum(sizes, k)
+    s_values = np.concatenate([s[:k] for s in sets]) if n else values
+    s_token, s_own, s_start, s_owners = _postings(s_values, np.repeat(np.arange(n), kept))
+    s_first = np.searchsorted(s_own, np.arange(n + 1))
+    matrix = np.full((n, k), np.iinfo(np.uint64).max, U64)
+    for i, s in enumerate(sets):
+        matrix[i, : kept[i]] = s[:k]
+    weight = np.bincount(own, weights=np.diff(start)[token] if len(token) else None, minlength=n) / np.maximum(sizes, 1)
+    label = np.arange(n)
+    out = []
+    for i in np.lexsort((ids, -weight)).tolist():
+        mine = s_token[s_first[i] : s_first[i + 1]]
+        if not len(mine):
+            continue
+        count = np.bincount(_gather(mine, s_start, s_owners), minlength=n)
+        need = np.maximum(1, np.minimum(kept, kept[i]) * overlap // k)
+        fits = (100 * np.minimum(sizes, sizes[i]) >= percent * np.maximum(sizes, sizes[i])) & (count >= need) & (label != label[i])
+        near = np.flatnonzero(fits)
+        if not len(near):
+            continue
+        hits, size = union_estimate(matrix[i, : kept[i]], matrix[near], k)
+        near = near[hits * k >= overlap * size]
+        if not len(near):
+            continue
+        both = np.bincount(_gather(token[first[i] : first[i + 1]], start, owners), minlength=n)[near]
+        near = near[100 * both >= percent * (sizes[i] + sizes[near] - both)]
+        if len(near):
+            roots, at = np.unique(label[near], return_index=True)
+            out += [(int(ids[i]), int(ids[j])) for j in near[at]]
+            label[np.isin(label, roots)] = label[i]
+    return out
+
+
+def _units(lists: DataFrame, docs: DataFrame, id_col: str, text_col: str, unit_bytes: int) -> DataFrame:
+    """``family, x, y, rep, text``: the documents of each unit; families over the bound appear once for every two of their blocks."""
+    heads = lists.groupBy("v").agg(F.min("rep").alias("a"))
+    ties = lists.join(heads, "v").where("a <> rep").select("a", F.col("rep").alias("b")).distinct()
+    member = components(ties)
+    texts = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text_col).alias("text"))
+    rows = checkpointed(member.select(F.col("node").alias("rep"), F.col("root").alias("family")).join(texts, "rep"))
+    bulk = rows.groupBy("family").agg(F.sum(F.octet_length("text")).alias("bytes")).select("family", F.ceil(F.col("bytes") / F.lit(unit_bytes)).cast("int").alias("blocks"), "bytes")
+    bulk = checkpointed(bulk)
+    rest = bulk.where("blocks <= 1").agg(F.sum("bytes").alias("b")).first()["b"] or 0
+    pools = max(1, -(-int(rest) // unit_bytes))
+    placed = rows.join(bulk.select("family", "blocks"), "family").select("rep", "text", "family", "blocks", F.pmod(F.xxhash64("rep"), F.greatest("blocks", F.lit(1))).cast("int").alias("block"))
+    small = placed.where("blocks <= 1").select(F.lit(None).cast("long").alias("family"), F.pmod(F.xxhash64("family"), F.lit(pools)).cast("int").alias("x"), F.lit(0).alias("y"), "rep", "text")
+    big = placed.where("blocks > 1").withColumn("o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("family", F.least("block", "o").alias("x"), F.greatest("block", "o").alias("y"), "rep", "text")
+    return small.unionByName(big)
 
 
 def near_duplicates(
@@ -144,31 +192,27 @@ def near_duplicates(
     threshold: float = 0.8,
     k: int = K,
     overlap: int = OVERLAP,
+    unit_bytes: int = UNIT_BYTES,
 ) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept``: one row a document; ``kept`` marks a component's smallest id."""
     found = checkpointed(sketches(docs, id_col, text_col, shingle, k))
     real = found.where("n_shingles > 0 and doc_id is not null")
     reps = checkpointed(real.groupBy("digest").agg(F.min(F.struct("doc_id", "n_shingles", "sketch")).alias("m")).select("digest", F.col("m.doc_id").alias("rep"), F.col("m.n_shingles").alias("n_shingles"), F.col("m.sketch").alias("sketch")))
     lists = checkpointed(_lists(reps, k, overlap))
-    wanted = lists.select("rep").distinct()
-    texts = checkpointed(docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text_col).alias("text")).join(wanted, "rep", "left_semi"))
+    percent = int(round(100 * threshold))
 
-    heads = lists.groupBy("v").agg(F.min("rep").alias("a"))
-    star = lists.join(heads, "v").where("a <> rep").select("a", F.col("rep").alias("b")).distinct()
-    links = checkpointed(_verified(_plausible(star, reps, k, overlap, threshold), texts, shingle, threshold))
-    root = components(links)
+    def link(key, table):
+        ids = table["rep"].to_numpy()
+        sets = list(shingle_sets(table["text"], shingle))
+        # one document may come in repeated rows
+        _, at = np.unique(ids, return_index=True)
+        found = unit_links(ids[at], [sets[i] for i in at], percent, k, overlap)
+        return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
 
-    at = lists.join(root.withColumnRenamed("node", "rep"), "rep", "left").join(reps.select("rep", "n_shingles"), "rep").select("v", "rep", "n_shingles", F.coalesce("root", "rep").alias("root"))
-    mixed = at.groupBy("v").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("v")
-    open_lists = at.join(mixed, "v", "left_semi")
-    x, y = open_lists.alias("x"), open_lists.alias("y")
-    percent = F.lit(int(round(100 * threshold)))
-    near_size = 100 * F.least("x.n_shingles", "y.n_shingles") >= percent * F.greatest("x.n_shingles", "y.n_shingles")
-    cross = x.join(y, (F.col("x.v") == F.col("y.v")) & (F.col("x.rep") < F.col("y.rep")) & (F.col("x.root") != F.col("y.root")) & near_size)
-    cross = cross.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct()
-    more = _verified(_plausible(cross, reps, k, overlap, threshold), texts, shingle, threshold)
+    units = _units(lists, docs, id_col, text_col, unit_bytes)
+    links = checkpointed(units.groupBy("family", "x", "y").applyInArrow(link, "a long, b long"))
 
     # copies of one set hang on its representative
-    root = components(links.union(checkpointed(more)))
+    root = components(links)
     classes = reps.select("digest", "rep").join(root.withColumnRenamed("node", "rep"), "rep", "left").select("digest", F.coalesce("root", "rep").alias("component_id"))
     return found.select("doc_id", "n_shingles", "digest").join(classes, "digest", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))

@@ -80,16 +80,17 @@ def brute_classes(rows, n, percent=80):
     return {i: (len(sets[i]), find(i)) for i in ids}
 
 
-@pytest.mark.parametrize("n", [4, 5])
-def test_minhash(spark, n):
+@pytest.mark.parametrize("n,unit", [(4, 4 << 20), (5, 4 << 20), (4, 900)])
+def test_minhash(spark, n, unit):
     want = brute_classes(awkward(), n)
-    got = minhash_dedup.near_duplicates(frame(spark), shingle=n).collect()
+    got = minhash_dedup.near_duplicates(frame(spark), shingle=n, unit_bytes=unit).collect()
     assert len(got) == len(awkward())
     assert all(want[r.doc_id] == (r.n_shingles, r.component_id) and r.kept == (r.doc_id == r.component_id) for r in got)
     assert minhash_dedup.near_duplicates(frame(spark, [])).count() == 0
 
 
-def test_minhash_chains_need_the_cross_round(spark):
+@pytest.mark.parametrize("unit", [4 << 20, 4000])
+def test_minhash_chains(spark, unit):
     """Copies that are each near the base but not near one another."""
     base = [f"w{i}" for i in range(300)]
     rows = []
@@ -100,7 +101,7 @@ def test_minhash_chains_need_the_cross_round(spark):
         rows.append((k if k else 100, " ".join(w), "en", "s", 0, 1, 2, 3, 4, "n", "s"))
     rows.append((50, " ".join(base), "en", "s", 0, 1, 2, 3, 4, "n", "s"))
     want = brute_classes(rows, 4)
-    got = minhash_dedup.near_duplicates(frame(spark, rows), shingle=4).collect()
+    got = minhash_dedup.near_duplicates(frame(spark, rows), shingle=4, unit_bytes=unit).collect()
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == want
 
 
