@@ -141,7 +141,7 @@ def q30_seeds_relaxed(spark, sf):
     rows = fill.seeds_frame(spark, x)
     a, b = rows.alias("a"), rows.alias("b")
     gap = a.crossJoin(b).where("a.ord < b.ord").select(F.expr("(a.x0-b.x0)*(a.x0-b.x0)+(a.x1-b.x1)*(a.x1-b.x1)").alias("g")).agg(F.min("g").alias("g"))
-    spread = int(RADIUS * RADIUS / n)
+    spread = int(RADIUS * RADIUS / (2 * n))
     return rows.agg(F.count("*").alias("n"), F.sum((~D.disc().column(["x0", "x1"])).cast("long")).alias("outside")).crossJoin(gap).select("n", "outside", (F.col("g") > spread).alias("spread"))
 
 
