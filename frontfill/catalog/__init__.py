@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("fills", "trees")
+MODULES = ("fills", "trees", "rowsets")
 
 
 def queries() -> dict:

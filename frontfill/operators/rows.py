@@ -66,9 +66,10 @@ def thin(rows: DataFrame, names: list[str], h: int | Column, h_most: int | None
         first = stored(first.select(*cell, "m.*"))
         if first.isEmpty():
             break
-        around = first.select("__grp", *(f"__g{i}" for i in range(d)), "__r", F.explode(_offsets(d)).alias("__o"))
-        around = around.select("__grp", *((F.col(f"__g{i}") + F.col("__o")[i]).alias(f"__g{i}") for i in range(d)), "__r").groupBy(*cell).agg(F.min("__r").alias("__best"))
-        kept = first.join(around, [*[first[c].eqNullSafe(around[c]) for c in ["__grp"]], *[first[f"__g{i}"] == around[f"__g{i}"] for i in range(d)]]).where(F.col("__r") == F.col("__best")).select(*(first[c] for c in first.columns))
+        around = first.select(F.col("__grp").alias("n_grp"), F.col("__r").alias("n_r"), *(F.col(f"__g{i}") for i in range(d)), F.explode(_offsets(d)).alias("__o"))
+        around = around.select("n_grp", "n_r", *((F.col(f"__g{i}") + F.col("__o")[i]).alias(f"n_g{i}") for i in range(d))).groupBy("n_grp", *(f"n_g{i}" for i in range(d))).agg(F.min("n_r").alias("n_best"))
+        here = F.col("__grp").eqNullSafe(F.col("n_grp")) & reduce(and_, (F.col(f"__g{i}") == F.col(f"n_g{i}") for i in range(d)))
+        kept = first.join(around, here).where(F.col("__r") == F.col("n_best")).select(*first.columns)
         kept = stored(kept)
         kept_all = kept if kept_all is None else kept_all.unionByName(kept)
         near = kept.select(F.col("__grp").alias("k_grp"), F.col("id").alias("k_id"), *(F.col(n).alias(f"k_{n}") for n in names), F.explode(_offsets(d)).alias("__o"), *(F.col(f"__g{i}").alias(f"k_g{i}") for i in range(d)))
@@ -121,7 +122,7 @@ def nearest_generator(points: DataFrame, generators: DataFrame, names: list[str]
         d2 = squared([F.col(n) for n in names], [F.col(f"g_{n}") for n in names])
         best = q.join(g, cond).groupBy("id").agg(F.min(F.struct(d2.alias("d2"), "gen")).alias("b")).select("id", "b.gen", "b.d2")
         wide = side >= SIDE
-        best = stored(best if wide else best.where(F.col("d2") <= F.lit(side) * F.lit(side)))
+        best = stored(best if wide else best.where(F.col("d2") <= F.lit(side * side)))
         out = best if out is None else out.unionByName(best)
         if wide:
             return out
