@@ -147,7 +147,7 @@ def q44_random(spark, sf):
     return baselines.random_points(spark, D.disc(), T.table(spark, sf, "customer").count())
 
 
-_RND = f"SELECT i AS id, {R.mix(R.mix('i + 17'))} % 16777216 AS x0, {R.mix(R.mix('i + 1000003'))} % 16777216 AS x1 FROM range(0, (SELECT count(*) FROM customer)) t(i)"
+_RND = f"SELECT i AS id, {R.mix(R.mix('i + 17'))} % 16777216 AS x0, {R.mix(R.mix(R.mix('i + 1000003')))} % 16777216 AS x1 FROM range(0, (SELECT count(*) FROM customer)) t(i)"
 _IN = f"(x0 - {CENTRE}) * (x0 - {CENTRE}) + (x1 - {CENTRE}) * (x1 - {CENTRE}) <= {RADIUS * RADIUS}"
 Q44 = f"SELECT * FROM ({_RND}) WHERE {_IN}"
 

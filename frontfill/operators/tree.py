@@ -62,7 +62,7 @@ def build_counted(points: DataFrame, limit: int, deepest: int | None = None, coa
     up = F.call_function("shiftright", F.col("key"), (F.lit(d) * (F.lit(deep) - F.col("level"))).cast("int"))
     nodes = levels.select("level", up.alias("cell"), "n").groupBy("cell", "level").agg(F.sum("n").alias("est"))
     split = (F.col("est") > limit) & (F.col("level") < deep)
-    children = nodes.where(split).select(F.explode(F.sequence(F.lit(0), F.lit((1 << d) - 1))).alias("o"), "cell", "level").select((F.shiftleft(F.col("cell"), d) + F.col("o")).alias("cell"), (F.col("level") + 1).alias("level"))
+    children = _children(nodes.where(split), d)
     roots = points.sparkSession.range(1 << (d * coarsest)).select((F.col("id") + (1 << (d * coarsest))).alias("cell"), F.lit(coarsest).alias("level"))
     every = roots.union(children)
     known = nodes.select("cell", F.col("est"), split.alias("split"))
@@ -70,6 +70,11 @@ def build_counted(points: DataFrame, limit: int, deepest: int | None = None, coa
     return leaves.select("cell", F.col("level").cast("int").alias("level"), F.coalesce("est", F.lit(0)).cast("long").alias("est"))
 
 
+def _children(cells: DataFrame, d: int) -> DataFrame:
+    each = cells.select("cell", "level", F.explode(F.sequence(F.lit(0), F.lit((1 << d) - 1))).alias("o"))
+    return each.select((F.shiftleft(F.col("cell"), d) + F.col("o")).alias("cell"), (F.col("level") + 1).cast("int").alias("level"))
+
+
 def uniform(spark, level: int, d: int) -> DataFrame:
     """All cells of one level."""
     tag = 1 << (d * level)
@@ -121,7 +126,7 @@ def build_estimated(spark, spacing, d: int, limit: int, domain=None, deepest: in
         more = est.where(need)
         if more.isEmpty():
             return done
-        open_ = more.select((F.shiftleft(F.col("cell"), d) + F.explode(F.sequence(F.lit(0), F.lit((1 << d) - 1)))).alias("cell"), (F.col("level") + 1).cast("int").alias("level"))
+        open_ = _children(more, d)
         level += 1
 
 
@@ -173,7 +178,7 @@ def balance(cells: DataFrame, d: int, max_rounds: int = BITS) -> DataFrame:
         steep = stored(steep)
         if steep.isEmpty():
             return cells
-        split = cells.join(steep, "cell", "left_semi").select((F.shiftleft(F.col("cell"), d) + F.explode(F.sequence(F.lit(0), F.lit((1 << d) - 1)))).alias("cell"), (F.col("level") + 1).cast("int").alias("level"))
+        split = _children(cells.join(steep, "cell", "left_semi"), d)
         cells = stored(cells.join(steep, "cell", "left_anti").union(split))
     raise RuntimeError("tree did not balance")
 

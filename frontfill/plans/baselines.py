@@ -17,7 +17,7 @@ from frontfill.operators.rows import thin
 def random_points(spark, domain: Domain, draws: int) -> DataFrame:
     """Uniform hashed draws that fall inside: ``id, x0, x1``."""
     p = spark.range(draws)
-    pts = p.select("id", (mix(mix(F.col("id") + 17)) % SIDE).alias("x0"), (mix(mix(F.col("id") + 1_000_003)) % SIDE).alias("x1"))
+    pts = p.select("id", (mix(mix(F.col("id") + 17)) % SIDE).alias("x0"), (mix(mix(mix(F.col("id") + 1_000_003))) % SIDE).alias("x1"))
     return pts.where(domain.column(["x0", "x1"]))
 
 
@@ -68,7 +68,7 @@ def leaf_lock_counts(points: DataFrame, cells: DataFrame, names: list[str], h: i
     near = neighbours(cells, d, include_self=True).join(boxed.select(F.col("cell").alias("nbr"), *(f"lo{a}" for a in range(d)), "side"), "nbr")
     gap = [F.greatest(F.lit(0), F.col(f"lo{a}") - F.col(n), F.col(n) - (F.col(f"lo{a}") + F.col("side") - 1)) for a, n in enumerate(names)]
     d2 = reduce(lambda a, b: a + b, (g * g for g in gap))
-    met = locate(points, cells, names).join(near, "cell").where(d2 < F.lit(h) * F.lit(h))
+    met = locate(points, cells, names).join(near, "cell").where(d2 < F.lit(h * h))
     return met.agg(F.countDistinct("id").alias("exclusive"), F.count("*").alias("shared"))
 
 
