@@ -29,12 +29,16 @@ def lineitem(spark, sf) -> DataFrame:
     )
 
 
-def events(spark, sf) -> DataFrame:
-    t = table(spark, sf, "events").select("event_id", "event_type", "ts", "value")
+def events_axes(t: DataFrame) -> DataFrame:
+    """The cloud of an events table or stream."""
     ms = F.call_function("div", F.unix_micros(F.col("ts").cast("timestamp")) - F.lit(1_704_067_200_000_000), F.lit(1000).cast("long"))
     return t.select(F.col("event_id").alias("id"), F.col("event_type").alias("grp"), axis(ms, 0, 2_678_400_000).alias("x0"), axis(cents(F.col("value")), 0, 100_000).alias("x1"))
 
 
+def events(spark, sf) -> DataFrame:
+    return events_axes(table(spark, sf, "events").select("event_id", "event_type", "ts", "value"))
+
+
 def customer(spark, sf) -> DataFrame:
     t = table(spark, sf, "customer").select("c_custkey", "c_nationkey", "c_acctbal")
     return t.select(F.col("c_custkey").alias("id"), F.col("c_nationkey").cast("string").alias("grp"), axis(cents(F.col("c_acctbal")), -100_000, 1_110_000).alias("x0"), axis(F.pmod(mix(F.col("c_custkey")), F.lit(10_007)), 0, 10_007).alias("x1"))
