@@ -246,7 +246,7 @@ def fill_phased(
     limit: int = 100,
     d: int = 2,
     k: int | None = None,
-    one_task_below: int = 50_000,
+    one_task_below: int = 200_000,
     cells_per_task: int | None = None,
     max_stages: int = 64,
 ) -> DataFrame:
@@ -278,19 +278,29 @@ def fill_phased(
 
     shared = spark.sparkContext.broadcast(leaves)
     dirs = directions(d, k)
-    per_task = cells_per_task or max(1, int(200_000 // max(1, limit)))
+    # enough tasks for the cores, and no more points in one than it can hold
+    share = -(-n_cells // (len(np.unique(leaves.colour)) * 2 * spark.sparkContext.defaultParallelism))
+    per_task = cells_per_task or max(1, min(share, int(400_000 // max(1, limit))))
+    turn = np.zeros(n_cells, np.int64)
+    for c in np.unique(leaves.colour).tolist():
+        mine = np.flatnonzero(leaves.colour == c)
+        turn[mine[np.argsort(leaves.rank[mine])]] = np.arange(len(mine)) // per_task
+    n_tasks = int(turn.max()) + 1
     edges = neighbours(cells, d, include_self=True)
-    boxes = spark.createDataFrame(flat.assign(rank=0).assign(cell=leaves.cell, level=leaves.level, colour=leaves.colour, rank=leaves.rank, **{f"lo{a}": leaves.lo[:, a] for a in range(d)}, side=leaves.side), "cell long, level long, colour long, rank long, " + ", ".join(f"lo{a} long" for a in range(d)) + ", side long")
-    reach = stored(edges.join(boxes.select(F.col("cell").alias("nbr"), F.col("colour").alias("tint"), F.col("rank").alias("nbr_rank"), *(f"lo{a}" for a in range(d)), "side"), "nbr"))
+    boxes = spark.createDataFrame(flat.assign(rank=0).assign(cell=leaves.cell, level=leaves.level, colour=leaves.colour, rank=turn, **{f"lo{a}": leaves.lo[:, a] for a in range(d)}, side=leaves.side), "cell long, level long, colour long, rank long, " + ", ".join(f"lo{a} long" for a in range(d)) + ", side long")
+    reach = stored(edges.join(boxes.select(F.col("cell").alias("nbr"), F.col("colour").alias("tint"), F.col("rank").alias("task"), *(f"lo{a}" for a in range(d)), "side"), "nbr"))
     points: DataFrame | None = None
     tints = np.unique(leaves.colour).tolist()
     gap = F.lit(2 * spacing.most)
     close = reduce(and_, ((F.col(n) >= F.col(f"lo{a}") - gap) & (F.col(n) < F.col(f"lo{a}") + F.col("side") + gap) for a, n in enumerate(names)))
-    task = F.call_function("div", F.col("nbr_rank"), F.lit(per_task).cast("long")).alias("task")
     empty = spark.createDataFrame([], schema)
 
     def kernel(stage: int, c: int):
-        def run(key, table):
+        def run(batches):
+            got = [b for b in batches if b.num_rows]
+            if not got:
+                return
+            table = pa.Table.from_batches(got)
             lv = shared.value
             real = table.filter(pa.compute.is_valid(table["x0"]))
             x = np.stack([real[n].to_numpy() for n in names], axis=1)
@@ -303,7 +313,7 @@ def fill_phased(
             pts = {"x": x, "leaf": lv.of(x), "by_leaf": find(real["by_cell"].to_numpy()[once])}
             pts |= {f: real[f].to_numpy()[once] for f in ("h", "h_parent", "stage", "phase", "seq", "rank")}
             mine = find(np.unique(table["target"].to_numpy()))
-            return _table(lv, phase_cells(lv, mine, pts, stage, c, domain, spacing, dirs, stage == 1), names)
+            yield from _table(lv, phase_cells(lv, mine, pts, stage, c, domain, spacing, dirs, stage == 1), names).to_batches()
 
         return run
 
@@ -327,12 +337,13 @@ def fill_phased(
             sent = now.join(reach.where(F.col("tint") == c), "cell").where(close).withColumn("target", F.col("nbr"))
             if stage > 1:
                 sent = sent.join(todo, "target", "left_semi")
-            rows = sent.select(task, "target", *names, *POINT)
+            rows = sent.select("task", "target", *names, *POINT)
             if stage == 1:
                 # cells that no point reaches still have a seed to try
-                bare = boxes.where(F.col("colour") == c).select(F.call_function("div", F.col("rank"), F.lit(per_task).cast("long")).alias("task"), F.col("cell").alias("target"))
+                bare = boxes.where(F.col("colour") == c).select(F.col("rank").alias("task"), F.col("cell").alias("target"))
                 rows = rows.unionByName(bare, allowMissingColumns=True)
-            new = stored(rows.groupBy("task").applyInArrow(kernel(stage, c), schema))
+            # one partition a task: the rows of a task's cells meet, and nothing merges small partitions of costly cells
+            new = stored(rows.repartitionById(n_tasks, F.col("task").cast("int")).mapInArrow(kernel(stage, c), schema))
             went = True
             points = new if points is None else points.unionByName(new)
         if not went:
