@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("fills", "trees", "rowsets", "claiming", "runs", "surface")
+MODULES = ("fills", "trees", "rowsets", "claiming", "runs", "surface", "works")
 
 
 def queries() -> dict:

@@ -125,8 +125,18 @@ class FromCells(Spacing):
         return np.where(self._keys[i] == k, self._h[i], self.default) if len(self._keys) else np.full(x.shape[:-1], self.default, np.int64)
 
     def column(self, names):
-        from frontfill.functions.lattice import cell_key
-
-        here = [F.shiftright(F.col(n), self.bits - self.level) for n in names]
-        table = F.create_map(*(v for k, h in self.values.items() for v in (F.lit(k), F.lit(h)))) if self.values else F.lit(None)
-        return F.coalesce(F.try_element_at(table, cell_key(here, F.lit(self.level), len(names))), F.lit(self.default)) if self.values else F.lit(self.default)
+        if not self.values:
+            return F.lit(self.default).cast("long")
+        d, shift = len(names), self.bits - self.level
+        flat = {}
+        for key, h in self.values.items():
+            code = key - (1 << (d * self.level))
+            c = [sum(((code >> (d * b + d - 1 - a)) & 1) << b for b in range(self.level)) for a in range(d)]
+            flat[sum(v << (self.level * (d - 1 - a)) for a, v in enumerate(c))] = h
+        here = None
+        for a, n in enumerate(names):
+            t = F.shiftleft(F.shiftright(F.col(n), shift), self.level * (d - 1 - a))
+            here = t if here is None else here.bitwiseOR(t)
+        # a value a cell of a fixed level: a literal array by row-major place, the default elsewhere
+        table = F.array(*(F.lit(flat.get(i, self.default)).cast("long") for i in range(1 << (d * self.level))))
+        return F.coalesce(F.get(table, here.cast("int")), F.lit(self.default).cast("long"))
