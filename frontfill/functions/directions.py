@@ -41,6 +41,12 @@ def directions(d: int, k: int | None = None, rotations: int = ROTATIONS) -> np.n
                 g = [math.sqrt(-2 * math.log(u[2 * a])) * math.cos(2 * math.pi * u[2 * a + 1]) for a in range(d)]
                 n = math.sqrt(sum(x * x for x in g))
                 out[r, i] = [round(scale * x / n) for x in g]
+    if d > 2:
+        # rounded directions must not be short: the slack covers two axes' error only
+        while (short := (out * out).sum(axis=2) < scale * scale).any():
+            r, i = np.nonzero(short)
+            a = np.abs(out[r, i]).argmax(axis=1)
+            out[r, i, a] += np.sign(out[r, i, a])
     return out
 
 

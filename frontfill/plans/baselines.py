@@ -83,15 +83,32 @@ def voronoi_kd_arrays(domain: Domain, spacing: Spacing, generators: np.ndarray,
     dirs = directions(d, k)
     from frontfill.functions.directions import propose
 
+    # generators lie about one coarse spacing apart, so two rings of twice that hold the nearest two of any inside point
+    gap2 = ((generators[:, None] - generators[None, :64]) ** 2).sum(axis=2).astype(float)
+    gap2[gap2 == 0] = np.inf
+    wide = int(2 * np.sqrt(gap2.min())) if len(generators) > 1 else 1 << 24
+    near_gen = Grid(d, max(1, wide))
+    near_gen.add(generators, 0)
+
     def owner_dist(x):
-        best = np.full(len(x), -1)
+        """Nearest generator of each point, and the squared distances to it and to the next."""
+        best = np.zeros(len(x), np.int64)
         near = np.full(len(x), np.iinfo(np.int64).max)
         second = near.copy()
-        for g in range(len(generators)):
-            q = ((x - generators[g]) ** 2).sum(axis=1)
-            better = q < near
-            second = np.where(better, near, np.minimum(second, q))
-            near, best = np.where(better, q, near), np.where(better, g, best)
+        q, g = near_gen.near(x, 1)
+        d2 = ((x[q] - generators[g]) ** 2).sum(axis=1)
+        order = np.lexsort((g, d2, q))
+        q, g, d2 = q[order], g[order], d2[order]
+        first = np.flatnonzero(np.diff(q, prepend=-1))
+        best[q[first]], near[q[first]] = g[first], d2[first]
+        has = first + 1 < len(q)
+        nxt = first[has] + 1
+        same = q[nxt] == q[first[has]]
+        second[q[nxt[same]]] = d2[nxt[same]]
+        lost = np.setdiff1d(np.arange(len(x)), q[first])
+        for i in lost.tolist():
+            every = ((generators - x[i]) ** 2).sum(axis=1)
+            best[i], near[i] = int(every.argmin()), int(every.min())
         return best, near, second
 
     x = generators[domain.mask(generators)]
