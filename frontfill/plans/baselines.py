@@ -89,23 +89,30 @@ def voronoi_kd_arrays(domain: Domain, spacing: Spacing, generators: np.ndarray,
     wide = int(2 * np.sqrt(gap2.min())) if len(generators) > 1 else 1 << 24
     near_gen = Grid(d, max(1, wide))
     near_gen.add(generators, 0)
+    bits = max(1, int(len(generators)).bit_length())
 
     def owner_dist(x):
         """Nearest generator of each point, and the squared distances to it and to the next."""
-        best = np.zeros(len(x), np.int64)
-        near = np.full(len(x), np.iinfo(np.int64).max)
-        second = near.copy()
+        top = np.iinfo(np.int64).max
+        one, two = np.full(len(x), top), np.full(len(x), top)
         q, g = near_gen.near(x, 1)
-        d2 = ((x[q] - generators[g]) ** 2).sum(axis=1)
-        order = np.lexsort((g, d2, q))
-        q, g, d2 = q[order], g[order], d2[order]
-        first = np.flatnonzero(np.diff(q, prepend=-1))
-        best[q[first]], near[q[first]] = g[first], d2[first]
-        has = first + 1 < len(q)
-        nxt = first[has] + 1
-        same = q[nxt] == q[first[has]]
-        second[q[nxt[same]]] = d2[nxt[same]]
-        lost = np.setdiff1d(np.arange(len(x)), q[first])
+        # squared distance and generator in one number, so that minima carry their owner
+        key = (((x[q] - generators[g]) ** 2).sum(axis=1) << bits) | g
+        cuts = [0, *(np.flatnonzero(np.diff(q) < 0) + 1).tolist(), len(q)]
+        for lo, hi in zip(cuts, cuts[1:], strict=False):
+            if hi == lo:
+                continue
+            qq, kk = q[lo:hi], key[lo:hi]
+            first = np.flatnonzero(np.diff(qq, prepend=-1))
+            least = np.minimum.reduceat(kk, first)
+            runs = np.diff(np.append(first, len(kk)))
+            rest = np.minimum.reduceat(np.where(kk == np.repeat(least, runs), top, kk), first)
+            at = qq[first]
+            two[at] = np.minimum(np.minimum(two[at], rest), np.maximum(one[at], least))
+            one[at] = np.minimum(one[at], least)
+        best, near = one & ((1 << bits) - 1), one >> bits
+        second = two >> bits
+        lost = np.flatnonzero(one == top)
         for i in lost.tolist():
             every = ((generators - x[i]) ** 2).sum(axis=1)
             best[i], near[i] = int(every.argmin()), int(every.min())
