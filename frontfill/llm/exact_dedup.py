@@ -1,8 +1,8 @@
 """Exact duplicates by a content sort, with DataFrame operations only (operator 9).
 
 Texts are equal when their bytes are identical after white space ``[\\x20\\x09-\\x0D]`` is deleted.
-The normalised text is range-partitioned by sampled splitters together with a salt of the row,
-so a text that a third of all rows share is spread over several ranges; within a range an
+The normalised text is range-partitioned by sampled splitters -- its head, a hash of the whole and a salt of
+the row -- so a text that a third of all rows share is spread over several ranges; within a range an
 external sort puts equal texts side by side and a sorted aggregation compares each full
 text with its neighbour, keeping of a run the best row: most code points in the original
 text, then the smallest identifier.  Runs of one text (at most ``SALTS``) then meet by their
@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 from frontfill.llm.common import safe_text, text_bytes
 
 SALTS = 64
+HEAD = 32
 _SPACE = "[\\x20\\x09-\\x0D]+"
 
 
@@ -40,8 +41,10 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     # nulls last among equals
     best = F.struct((-F.col("size")).alias("less"), F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"))
     salted = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id", "size"), F.lit(SALTS)))
-    sorted_runs = salted.repartitionByRange(_ranges(docs, text_col, range_bytes), "norm", "salt").sortWithinPartitions("norm", "salt")
-    runs = sorted_runs.groupBy("norm", "salt").agg(F.min(best).alias("best"), F.count("*").alias("n"))
+    # splitters are short: the head of the bytes, then a hash of all of them and the salt, so sampled keys stay small however long texts are
+    salted = salted.withColumns({"head": F.substring("norm", 1, HEAD), "mark": F.xxhash64("norm")})
+    sorted_runs = salted.repartitionByRange(_ranges(docs, text_col, range_bytes), "head", "mark", "salt").sortWithinPartitions("head", "mark", "salt", "norm")
+    runs = sorted_runs.groupBy("head", "mark", "salt", "norm").agg(F.min(best).alias("best"), F.count("*").alias("n"))
     groups = runs.select(F.sha2("norm", 256).alias("text_sha256"), "best", "n").groupBy("text_sha256").agg(F.min("best").alias("best"), F.sum("n").alias("group_size"))
     each = rows.select("doc_id", F.sha2("norm", 256).alias("text_sha256"))
     return each.join(groups, "text_sha256").select(
