@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-SAMPLE_DOCS, SAMPLE_CHARS, PASSAGE = 256, 1 << 17, 256
+SAMPLE_DOCS, SAMPLE_CHARS, PASSAGE = 256, 1 << 18, 256
 BLOCK, SYMBOLS = 512, 64
 SPACE, DIGIT, LETTER, OTHER, PAD = 0, 1, 2, 3, 63
 _FIRST = 4
