@@ -46,7 +46,9 @@ def frequent_units(docs: DataFrame, text_col: str = "text", vocabulary: str = VO
         if best:
             yield pa.RecordBatch.from_pydict({"unit": [u for u, _ in best], "n": [n for _, n in best]})
 
-    best = some.mapInArrow(count, "unit string, n long").groupBy("unit").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "unit").limit(table_size).collect()
+    # the sample bounds these rows; few partitions, so that their best lists stay small at the driver
+    summed = some.mapInArrow(count, "unit string, n long").repartition(4, "unit")
+    best = summed.groupBy("unit").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "unit").limit(table_size).collect()
     units = [r["unit"] for r in best]
     encoded = tokenizer(vocabulary).encode_batch(units, add_special_tokens=False)
     return {u: len(e) for u, e in zip(units, encoded, strict=True)}
