@@ -49,8 +49,36 @@ SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, coalesce(m.m, d.doc_id)
 FROM documents d LEFT JOIN n USING (doc_id) LEFT JOIN m USING (doc_id)
 """
 
+OP6 = r"""
+WITH RECURSIVE src AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]'),
+t AS (SELECT *, row_number() OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text) - 1 AS i FROM src),
+m AS (SELECT *, CAST(ceil(strlen(text) / 4.0) AS BIGINT) + 3 AS tok,
+             length(replace(replace(role, '\', '\\'), '<|', '<\|')) + length(replace(replace(text, '\', '\\'), '<|', '<\|')) + 15 AS len FROM t),
+c AS (SELECT *, sum(tok) OVER (PARTITION BY conv_id ORDER BY i)::BIGINT - tok AS before FROM m),
+g(conv_id, i, cur, base) AS (
+  SELECT conv_id, 0::BIGINT, 0::BIGINT, 0::BIGINT FROM c WHERE i = 0
+  UNION ALL
+  SELECT c.conv_id, c.i, CASE WHEN c.before + c.tok - base > 512 THEN c.i ELSE cur END, CASE WHEN c.before + c.tok - base > 512 THEN c.before ELSE base END
+  FROM g JOIN c ON c.conv_id = g.conv_id AND c.i = g.i + 1),
+w AS (SELECT DISTINCT conv_id, cur AS lo FROM g WHERE cur > 0),
+b AS (SELECT w.conv_id, lo, lo - max(k) AS back FROM w JOIN c x ON x.conv_id = w.conv_id AND x.i = lo, range(0, 3) r(k)
+      JOIN c y ON y.conv_id = w.conv_id AND y.i = lo - k WHERE x.before - y.before <= 128 GROUP BY w.conv_id, lo),
+again AS (
+  SELECT b.conv_id, sum(c.len + 9) AS chars FROM b JOIN c ON c.conv_id = b.conv_id AND ((c.i >= back AND c.i < lo) OR (c.i = 0 AND c.role = 'system' AND back > 0)) GROUP BY b.conv_id),
+o AS (
+  SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY i)) AS turns_sha256,
+         coalesce(sum(length(text)) FILTER (role = 'assistant'), 0)::BIGINT AS loss_chars,
+         sha256(coalesce(string_agg(text, '' ORDER BY i) FILTER (role = 'assistant'), '')) AS loss_sha256, sum(len + 8) AS chars
+  FROM c GROUP BY conv_id)
+SELECT o.conv_id, n_turns, turns_sha256, loss_chars, loss_sha256, (o.chars + coalesce(again.chars, 0))::BIGINT AS formatted_chars
+FROM o LEFT JOIN again USING (conv_id)
+"""
+
 ORACLES = {
     "op2_minhash_dedup": OP2,
     "op5_substring_dedup": OP5,
+    "op6_chat_format": OP6,
     "op9_exact_dedup": OP9,
 }
