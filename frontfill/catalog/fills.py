@@ -8,7 +8,7 @@ from frontfill.catalog import recursion as R
 from frontfill.functions import domain as D
 from frontfill.functions import spacing as S
 from frontfill.functions.lattice import CENTRE, RADIUS, size_h, size_h3
-from frontfill.operators.tree import uniform, uniform_level
+from frontfill.operators.tree import uniform
 from frontfill.plans import fill
 from frontfill.sources.tables import table
 

@@ -91,7 +91,6 @@ def q70_setops(spark, sf):
     return both.unionByName(a.distinct().exceptAll(b.distinct()).withColumn("side", F.lit("orders"))).unionByName(b.distinct().subtract(a).withColumn("side", F.lit("events")))
 
 
-_C5 = "((x0 >> 19) << 5) + (x1 >> 19)"
 _K5 = "1024 + " + C.morton(["(x0 >> 19)", "(x1 >> 19)"], 5)
 Q70 = f"WITH a AS (SELECT DISTINCT {_K5} AS cell FROM ({C.ORDERS})), b AS (SELECT DISTINCT {_K5} AS cell FROM ({C.EVENTS})) SELECT cell, 'both' AS side FROM a JOIN b USING (cell) UNION ALL SELECT cell, 'orders' FROM a WHERE cell NOT IN (SELECT cell FROM b) UNION ALL SELECT cell, 'events' FROM b WHERE cell NOT IN (SELECT cell FROM a)"
 

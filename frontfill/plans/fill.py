@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from frontfill.functions.directions import directions
 from frontfill.functions.domain import Domain
 from frontfill.functions.kernel import Grid, front_fill, settle
-from frontfill.functions.lattice import BITS, SIDE
+from frontfill.functions.lattice import SIDE
 from frontfill.functions.spacing import Spacing
 from frontfill.operators.tree import DENSITY, Leaves, colours, neighbours, uniform, uniform_level
 from frontfill.sources.store import stored
