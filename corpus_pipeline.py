@@ -2,6 +2,9 @@
 
 Each stage takes what the one before it kept, as a table with the columns of ``documents``, and applies one operator
 with production parameters; :func:`run` writes nothing itself but chains the stages through the shared checkpoint folder.
+
+From the first stage to the last that rejects copies a unique ``row`` number goes with each document, and verdicts are joined
+by it: identifiers may repeat or be null.
 """
 
 from __future__ import annotations
@@ -13,28 +16,43 @@ from frontfill.llm import exact_dedup, language_id, minhash_dedup, packing, subs
 from frontfill.llm.common import checkpointed
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+ROW = "row"
+
+
+def numbered(docs: DataFrame) -> DataFrame:
+    """The documents with their row number; one that is not there yet is stored, because a second run might count otherwise."""
+    if ROW in docs.columns:
+        return docs.select(*COLUMNS, ROW)
+    return checkpointed(docs.select(*COLUMNS).withColumn(ROW, F.monotonically_increasing_id()))
 
 
 def language_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a language: those without a letter are rejected."""
     samples = language_id.training_samples(docs, ~language_id.held_out())
     tagged = language_id.identify(docs.select(*COLUMNS), samples, out=("pred", "pred_score"))
-    return tagged.where("pred <> 'und'").select(*COLUMNS)
+    # numbered here, where the row is stored once and for all
+    return tagged.where("pred <> 'und'").select(*COLUMNS, F.monotonically_increasing_id().alias(ROW))
 
 
-def _only(docs: DataFrame, verdicts: DataFrame) -> DataFrame:
-    """The documents whose verdict is to stay."""
-    return docs.select(*COLUMNS).join(verdicts.where("kept").select("doc_id").distinct(), "doc_id", "left_semi")
+def _only(docs: DataFrame, stay: DataFrame) -> DataFrame:
+    """The documents whose row number is among those that stay."""
+    return docs.join(stay.select(ROW), ROW, "left_semi")
 
 
 def exact_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of equal texts."""
-    return _only(docs, exact_dedup.exact_duplicates(docs))
+    docs = numbered(docs)
+    return _only(docs, exact_dedup.exact_duplicates(docs, row_col=ROW).where("kept")).select(*COLUMNS, ROW)
 
 
 def near_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near copies: five-word shingles, similarity 0.8."""
-    return _only(docs, minhash_dedup.near_duplicates(docs, shingle=5, threshold=0.8)).select(*COLUMNS)
+    """One document of each class of near copies, that with the smallest identifier: five-word shingles, similarity 0.8."""
+    docs = numbered(docs)
+    classes = minhash_dedup.near_duplicates(docs, id_col=ROW, shingle=5, threshold=0.8).select(F.col("doc_id").alias(ROW), "component_id")
+    # a null identifier sorts after all others
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", ROW)).alias("first")
+    stay = docs.select("doc_id", ROW).join(classes, ROW).groupBy("component_id").agg(first).select(F.col(f"first.{ROW}").alias(ROW))
+    return _only(docs, stay).select(*COLUMNS)
 
 
 def passage_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:

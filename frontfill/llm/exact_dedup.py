@@ -9,8 +9,9 @@ text, then the smallest identifier.  Runs of one text (at most ``SALTS``) then m
 SHA-256, and every row looks its run's survivor up by that digest.
 
 Defined results: null text counts as empty, and all empty texts are one group; rows that repeat as a
-whole are separate members of their group and share its verdict; a null identifier sorts
-after all others; other columns are ignored; an empty table gives no rows.
+whole are separate members of their group and share its verdict, unless ``row_col`` names a unique
+column without nulls: it breaks ties of identifiers, so just one row of each group is kept; a null
+identifier sorts after all others; other columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -35,22 +36,25 @@ def _ranges(docs: DataFrame, text_col: str, range_bytes: int) -> int:
     return max(set_to, -(-text_bytes(docs, text_col) // range_bytes))
 
 
-def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", range_bytes: int = 64 << 20) -> DataFrame:
-    """``doc_id, keep_id, group_size, kept, text_sha256`` for every row."""
-    rows = docs.select(F.col(id_col).alias("doc_id"), normalised(text_col).alias("norm"), F.length(safe_text(text_col)).alias("size"))
+def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", range_bytes: int = 64 << 20, row_col: str | None = None) -> DataFrame:
+    """``doc_id, keep_id, group_size, kept, text_sha256`` for every row, and its ``row`` when ``row_col`` is given."""
+    own = [F.col(row_col).alias("row")] if row_col else []
+    key = ["row"] if row_col else []
+    rows = docs.select(F.col(id_col).alias("doc_id"), normalised(text_col).alias("norm"), F.length(safe_text(text_col)).alias("size"), *own)
     # nulls last among equals
-    best = F.struct((-F.col("size")).alias("less"), F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"))
-    salted = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id", "size"), F.lit(SALTS)))
+    best = F.struct((-F.col("size")).alias("less"), F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), *key)
+    salted = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id", "size", *key), F.lit(SALTS)))
     # splitters are short: the head of the bytes, then a hash of all of them and the salt, so sampled keys stay small however long texts are
     salted = salted.withColumns({"head": F.substring("norm", 1, HEAD), "mark": F.xxhash64("norm")})
     sorted_runs = salted.repartitionByRange(_ranges(docs, text_col, range_bytes), "head", "mark", "salt").sortWithinPartitions("head", "mark", "salt", "norm")
     runs = sorted_runs.groupBy("head", "mark", "salt", "norm").agg(F.min(best).alias("best"), F.count("*").alias("n"))
     groups = runs.select(F.sha2("norm", 256).alias("text_sha256"), "best", "n").groupBy("text_sha256").agg(F.min("best").alias("best"), F.sum("n").alias("group_size"))
-    each = rows.select("doc_id", F.sha2("norm", 256).alias("text_sha256"))
+    each = rows.select("doc_id", *key, F.sha2("norm", 256).alias("text_sha256"))
     return each.join(groups, "text_sha256").select(
         "doc_id",
         F.col("best.id").alias("keep_id"),
         F.col("group_size").cast("long").alias("group_size"),
-        F.col("doc_id").eqNullSafe(F.col("best.id")).alias("kept"),
+        (F.col("row") == F.col("best.row") if row_col else F.col("doc_id").eqNullSafe(F.col("best.id"))).alias("kept"),
         "text_sha256",
+        *key,
     )
