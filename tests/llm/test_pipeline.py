@@ -32,6 +32,7 @@ def brute_near(rows):
     classes = defaultdict(list)
     for i, (_, root) in brute_classes([(i, *r[1:]) for i, r in enumerate(rows)], 5).items():
         classes[root].append(rows[i])
+    # rows of equal identifiers stay in the order of the table
     return [min(c, key=order) for c in classes.values()]
 
 
@@ -79,3 +80,15 @@ def test_stages_alone_number_their_rows(spark):
     assert Counter((r.doc_id, r.text) for r in exact.collect()) == Counter((r[0], r[1]) for r in brute_exact(rows))
     near = corpus_pipeline.near_stage(spark, frame(spark, brute_exact(rows)), None)
     assert Counter((r.doc_id, r.text) for r in near.collect()) == Counter((r[0], r[1]) for r in brute_near(brute_exact(rows)))
+
+
+def test_null_identifiers_follow_their_own_verdict(spark):
+    clean, copy, near = say("a", 40), say("b", 45), say("c", 100)
+    rows = [
+        row(None, clean), row(None, copy), row(800, copy), row(None, near), row(None, near + " tail"), row(None, say("d", 70)), row(None, say("d", 70)),
+        row(801, say("e", 30)), row(None, "12 34"), row(None, None),
+    ]
+    got = staged(spark, rows)
+    assert got == expected(rows)
+    assert sorted(t for i, t in got if i is None) == sorted([clean, near, say("d", 70)])
+    assert got[(800, copy)] == 1
