@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frontfill.functions.directions import directions
-from frontfill.functions.kernel import front_fill
+from frontfill.functions.kernel import Grid, front_fill, settle
 from frontfill.functions.lattice import BITS, cell_key, key_array
 from frontfill.operators.rows import within_pairs
 from frontfill.sources.store import stored
@@ -126,29 +126,36 @@ def _local_round(names, schema, domain, spacing, dirs, level, quantum, rnd, held
 def refill(points: DataFrame, names: list[str], domain, old, new, level: int = 4, k: int | None = None) -> DataFrame:
     """Points after the spacing changed from ``old`` to ``new``: ``x0.., kept``.
 
-    Points in cells of ``level`` whose spacing at the centre is unchanged, and not next to a changed cell's border, are kept as they
-    are; the rest is deleted and filled again from what surrounds it.
+    Points in cells of ``level`` whose spacing at the centre is unchanged are kept as they are, the others are deleted.  The fronts of
+    all kept points fill what that opens, on either side of a changed cell's border.  Where they do not reach, the centres of changed cells are
+    seeds, then the deleted points, so every part of the region that had points has some again; no candidate stays open.
     """
     d = len(names)
     side = 1 << (BITS - level)
     mids = {n: F.call_function("div", F.col(n), F.lit(side).cast("long")) * side + side // 2 for n in names}
     there = points.select(*names, *(m.alias(f"m_{n}") for n, m in mids.items()))
     same = old.column([f"m_{n}" for n in names]) == new.column([f"m_{n}" for n in names])
-    keep = there.where(same).select(*names)
     dirs = directions(d, k)
 
+    def grow(x, front):
+        return np.concatenate([x, front_fill(x, front, new.at, domain.mask, dirs, new.most).x])
+
     def run(batches):
         got = [b for b in batches if b.num_rows]
         x = np.concatenate([np.stack([b.column(i).to_numpy() for i in range(d)], axis=1) for b in got]) if got else np.zeros((0, d), np.int64)
-        x = x[np.lexsort([x[:, a] for a in range(d - 1, -1, -1)])]
-
-        def changed(c):
-            m = (c // side) * side + side // 2
-            return old.at(m) != new.at(m)
-
-        inside = lambda c: domain.mask(c) & changed(c)
-        f = front_fill(x, np.arange(len(x)), new.at, inside, dirs, new.most)
-        cols = {n: pa.array(np.concatenate([x[:, a], f.x[:, a]]), pa.int64()) for a, n in enumerate(names)}
-        yield pa.RecordBatch.from_pydict({**cols, "kept": pa.array(np.concatenate([np.ones(len(x), bool), np.zeros(len(f.x), bool)]))})
-
-    return keep.repartition(1).mapInArrow(run, ", ".join(f"{n} long" for n in names) + ", kept boolean")
+        same = np.concatenate([b.column(d).to_numpy(zero_copy_only=False) for b in got]) if got else np.zeros(0, bool)
+        order = np.lexsort([x[:, a] for a in range(d - 1, -1, -1)])
+        x, same = x[order], same[order]
+        n_kept = int(same.sum())
+        mid = np.stack(np.meshgrid(*[np.arange(1 << level, dtype=np.int64)] * d, indexing="ij"), axis=-1).reshape(-1, d) * side + side // 2
+        mid = mid[old.at(mid) != new.at(mid)]
+        full = grow(x[same], np.arange(n_kept))
+        for seeds in (mid, x[~same]):
+            seeds = seeds[domain.mask(seeds)]
+            grid = Grid(d, new.most)
+            grid.add(full, 0)
+            seeds = seeds[settle(seeds, new.at(seeds), grid, full, 1)]
+            full = grow(np.concatenate([full, seeds]), len(full) + np.arange(len(seeds)))
+        yield pa.RecordBatch.from_pydict({**{n: pa.array(full[:, a], pa.int64()) for a, n in enumerate(names)}, "kept": pa.array(np.arange(len(full)) < n_kept)})
+
+    return there.select(*names, same.alias("same")).repartition(1).mapInArrow(run, ", ".join(f"{n} long" for n in names) + ", kept boolean")
