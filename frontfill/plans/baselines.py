@@ -151,6 +151,8 @@ def voronoi_kd_arrays(domain: Domain, spacing: Spacing, generators: np.ndarray,
         regions.append(own[ok])
         region = np.concatenate(regions)
         front = np.arange(first, first + len(new))
+    if len(front):
+        raise RuntimeError("region-locked fill did not finish")
     return {"x": np.concatenate(parts), "region": region, "writes": writes, "reads": reads, "rounds": rounds}
 
 

@@ -301,6 +301,8 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
                 restart = deque(c for c in restart if in_set[c])
         held = np.flatnonzero(state == 2)
         clash += sum(1 for c in held.tolist() for b in nbr[c] if state[b] == 2 and owner[b] != owner[c])
+    else:
+        raise RuntimeError("claims did not finish")
     count["supersteps"], count["stages"] = step, stage
     flat = {m: np.concatenate(v) if v else np.zeros(0, np.int64) for m, v in meta.items()}
     return Report(xs, worker_of, flat["stage"], flat["step"], flat["h"], leaves.cell[cell_of], count, busy, gaps, clash, int((~expanded).sum()), len(restart))

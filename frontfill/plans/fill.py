@@ -228,6 +228,8 @@ def phased_arrays(leaves: Leaves, domain: Domain, spacing: Spacing, k: int | Non
             parts.append(phase_cells(leaves, mine, pts, stage, c, domain, spacing, dirs, stage == 1))
         if not went:
             break
+    else:
+        raise RuntimeError("phased fill did not finish")
     return _join(parts, leaves.d)
 
 
@@ -348,4 +350,6 @@ def fill_phased(
             points = new if points is None else points.unionByName(new)
         if not went:
             break
+    else:
+        raise RuntimeError("phased fill did not finish")
     return points
