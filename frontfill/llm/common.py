@@ -12,12 +12,15 @@ def checkpointed(df: DataFrame) -> DataFrame:
     """Write ``df`` once to the session's shared checkpoint folder and read it from there.
 
     The folder is ``spark.checkpoint.dir``; a private one is made only where the
-    session names none (single-machine tests).  The copy survives lost executors.
+    session names none and runs on one machine (tests), a cluster must name one that all its machines share.
+    The copy survives lost executors.
     """
     spark = df.sparkSession
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
         where = spark.conf.get("spark.checkpoint.dir", None)
+        if not where and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
         sc.setCheckpointDir(where or tempfile.mkdtemp(prefix="frontfill-ckpt-"))
     return df.checkpoint(eager=True)
 

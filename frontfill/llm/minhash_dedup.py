@@ -3,8 +3,8 @@
 Steps, each over all documents:
 
 1. *Sketch.*  A document's shingle set is hashed once; its ``k`` smallest values are its
-   sketch.  Documents with the same set fold into one representative (a partial
-   aggregation on a 128-bit digest, so thousands of copies are one row a task).
+   sketch.  Documents of the same words fold into one representative (a partial
+   aggregation on a 128-bit digest of the words, so thousands of copies are one row a task).
 2. *Inverted lists of retained values.*  Two sets with Jaccard similarity ``t`` or more share
    at least ``o`` of their retained values but for a chance below 1e-8 (``k`` = 48, ``o`` = 18,
    ``t`` = 0.8), hence at least one of the ``k - o + 1`` rarest of each.  Only those are listed;
@@ -15,7 +15,7 @@ Steps, each over all documents:
 4. *Links.*  Families are dealt to units of bounded size; one over the bound is cut into blocks, and every two of its
    blocks meet in a unit.  Inside a unit the most typical documents come first.  Against one document the retained
    values' postings count overlaps, the union of the two sketches estimates the similarity of those that overlap enough,
-   and the postings of the full sets verify exactly.  Documents that are already connected need no comparison, and a unit
+   and the postings of the full sets, whose shingles are numbered by their words and not by a hash, verify exactly.  Documents that are already connected need no comparison, and a unit
    returns one link for each component that a document touches, so copies of one text cost their number, not its square.
 5. Components over all verified links; copies inherit their representative's.
 
@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 
 from frontfill.llm.common import checkpointed
 from frontfill.llm.graph import components
-from frontfill.llm.wordscan import U64, mix, ngrams, pieces, run_hashes, words
+from frontfill.llm.wordscan import LOWER, U64, exact_ngrams, intern, mix, ngrams, pieces, run_hashes, words
 
 K, OVERLAP = 48, 18
 UNIT_BYTES = 4 << 20
@@ -66,15 +66,46 @@ def shingle_sets(column, n: int):
                 yield np.unique(grams[lo : hi - n + 1])
 
 
+def exact_sets(column, n: int) -> list[np.ndarray]:
+    """The shingles of each text of a column, numbered so that equal numbers are equal words: sorted distinct numbers a text."""
+    out: list[np.ndarray] = []
+    for p in pieces(column, limit=1 << 62):
+        w = words(p)
+        ids = intern(p.buf, w, lower=True)
+        grams = exact_ngrams(ids, n)
+        short: dict[tuple, int] = {}
+        first = np.searchsorted(w.doc, np.arange(p.hi - p.lo + 1))
+        for d in range(p.hi - p.lo):
+            lo, hi = int(first[d]), int(first[d + 1])
+            if hi - lo >= n:
+                out.append(np.unique(grams[lo : hi - n + 1]))
+            elif hi > lo:
+                out.append(np.array([-1 - short.setdefault(tuple(ids[lo:hi].tolist()), len(short))], np.int64))
+            else:
+                out.append(np.zeros(0, np.int64))
+    return out
+
+
+def word_digests(column) -> list[bytes | None]:
+    """A 128-bit digest of the lower-cased words of each text; none without words."""
+    out: list[bytes | None] = []
+    for p in pieces(column):
+        raw = LOWER[p.buf].tobytes()
+        for s, e in zip(p.bounds[:-1].tolist(), p.bounds[1:].tolist(), strict=True):
+            line = b" ".join(raw[s:e].split())
+            out.append(hashlib.blake2b(line, digest_size=16).digest() if line else None)
+    return out
+
+
 def sketches(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 4, k: int = K) -> DataFrame:
     """``doc_id, n_shingles, digest, sketch`` for every row."""
 
     def scan(batches):
         for batch in batches:
-            sizes, digests, kept = [], [], []
+            sizes, kept = [], []
+            digests = word_digests(batch.column(1))
             for s in shingle_sets(batch.column(1), shingle):
                 sizes.append(len(s))
-                digests.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
                 kept.append(s[:k].view(np.int64))
             flat = np.concatenate(kept) if kept else np.zeros(0, np.int64)
             offs = np.concatenate([[0], np.cumsum([len(x) for x in kept])]).astype(np.int32)
@@ -126,21 +157,23 @@ def union_estimate(mine: np.ndarray, others: np.ndarray, k: int) -> tuple[np.nda
     return (same & real & (rank <= k)).sum(axis=1), np.minimum(rank[:, -1], k)
 
 
-def unit_links(ids: np.ndarray, sets: list[np.ndarray], percent: int, k: int = K, overlap: int = OVERLAP) -> list[tuple[int, int]]:
-    """Links that join all documents of a unit which the similarity joins, one for each component touched."""
+def unit_links(ids: np.ndarray, sketch: list[np.ndarray], sets: list[np.ndarray], percent: int, k: int = K, overlap: int = OVERLAP) -> list[tuple[int, int]]:
+    """Links that join all documents of a unit which the similarity joins, one for each component touched.
+
+    ``sketch`` holds the retained hash values of each document, ``sets`` its exact shingles.
+    """
     n = len(sets)
     sizes = np.array([len(s) for s in sets], np.int64)
-    owner = np.repeat(np.arange(n), sizes)
-    values = np.concatenate(sets) if n else np.zeros(0, U64)
-    token, own, start, owners = _postings(values, owner)
+    values = np.concatenate(sets) if n else np.zeros(0, np.int64)
+    token, own, start, owners = _postings(values, np.repeat(np.arange(n), sizes))
     first = np.searchsorted(own, np.arange(n + 1))
-    kept = np.minimum(sizes, k)
-    s_values = np.concatenate([s[:k] for s in sets]) if n else values
+    kept = np.array([len(s) for s in sketch], np.int64)
+    s_values = np.concatenate(sketch) if n else np.zeros(0, U64)
     s_token, s_own, s_start, s_owners = _postings(s_values, np.repeat(np.arange(n), kept))
     s_first = np.searchsorted(s_own, np.arange(n + 1))
     matrix = np.full((n, k), np.iinfo(np.uint64).max, U64)
-    for i, s in enumerate(sets):
-        matrix[i, : kept[i]] = s[:k]
+    for i, s in enumerate(sketch):
+        matrix[i, : kept[i]] = s
     weight = np.bincount(own, weights=np.diff(start)[token] if len(token) else None, minlength=n) / np.maximum(sizes, 1)
     label = np.arange(n)
     out = []
@@ -202,11 +235,10 @@ def near_duplicates(
     percent = int(round(100 * threshold))
 
     def link(key, table):
-        ids = table["rep"].to_numpy()
-        sets = list(shingle_sets(table["text"], shingle))
         # one document may come in repeated rows
-        _, at = np.unique(ids, return_index=True)
-        found = unit_links(ids[at], [sets[i] for i in at], percent, k, overlap)
+        ids, at = np.unique(table["rep"].to_numpy(), return_index=True)
+        texts = table["text"].combine_chunks().take(pa.array(at))
+        found = unit_links(ids, [s[:k] for s in shingle_sets(texts, shingle)], exact_sets(texts, shingle), percent, k, overlap)
         return pa.table({"a": pa.array([x for x, _ in found], pa.int64()), "b": pa.array([y for _, y in found], pa.int64())})
 
     units = _units(lists, docs, id_col, text_col, unit_bytes)

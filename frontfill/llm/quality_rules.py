@@ -27,11 +27,11 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frontfill.llm.common import checkpointed
-from frontfill.llm.wordscan import IS_LEAD, IS_WORD, lines, ngrams, pieces, run_hashes, within, words, cover, mix, U64
+from frontfill.llm.wordscan import IS_LEAD, IS_WORD, cover, exact_ngrams, intern, lines, pair_ids, pieces, within, words
 
 MIN_WORDS, MAX_REPEAT_PERCENT = 50, 50
 ALPHA, DELTA = 0.05, 0.05
@@ -58,21 +58,18 @@ def measure(column) -> tuple[np.ndarray, ...]:
         lead = np.concatenate([[0], np.cumsum(IS_LEAD[p.buf] & IS_WORD[p.buf])])
         sym = np.concatenate([[0], np.cumsum(_IS_SYMBOL[p.buf])])
         w = words(p)
-        wh = run_hashes(p.buf, w)
         n_words = np.bincount(w.doc, minlength=n)
-        # repeated three-word windows inside a document
-        ok = within(w.doc, 3)
-        g = np.flatnonzero(ok)
-        key = mix(ngrams(wh, 3)[g] ^ (w.doc[g].astype(U64) * U64(0x9E3779B97F4A7C15)))
-        _, slot, count = np.unique(key, return_inverse=True, return_counts=True)
-        covered = cover(g[count[slot] > 1], len(wh), 3)
+        # repeated three-word windows inside a document, told apart by the words themselves
+        g = np.flatnonzero(within(w.doc, 3))
+        key = pair_ids(exact_ngrams(intern(p.buf, w), 3)[g], w.doc[g])
+        covered = cover(g[np.bincount(key)[key] > 1], len(w.doc), 3)
         n_repeat = np.bincount(w.doc[covered], minlength=n)
         # lines that have a word and equal an earlier line of the document
         ln = lines(p)
         has = np.searchsorted(w.starts, ln.ends) > np.searchsorted(w.starts, ln.starts)
-        lh = mix(run_hashes(p.buf, ln) ^ (ln.doc.astype(U64) * U64(0x9E3779B97F4A7C15)))[has]
-        _, at = np.unique(lh, return_index=True)
-        first = np.zeros(len(lh), dtype=bool)
+        key = pair_ids(intern(p.buf, ln), ln.doc)[has]
+        _, at = np.unique(key, return_index=True)
+        first = np.zeros(len(key), dtype=bool)
         first[at] = True
         n_dup = np.bincount(ln.doc[has][~first], minlength=n)
         out.append((n_words, lead[p.bounds[1:]] - lead[p.bounds[:-1]], sym[p.bounds[1:]] - sym[p.bounds[:-1]], n_dup, n_repeat))
@@ -148,7 +145,9 @@ def calibrate(measures: DataFrame, labels: DataFrame, alpha: float = ALPHA, delt
     good = labels.where(f"{label_col} is not null").groupBy(F.col(id_col).cast("long").alias("doc_id")).agg(F.min(label_col).alias("q")).where("q = 1").select("doc_id")
     passed = measures.where(~base_failed()).join(good, "doc_id", "left_semi")
     counts = passed.groupBy("stratum").agg(F.count("*").alias("n"), *(F.sum((F.expr(e) > F.lit(c)).cast("long")).alias(f"{s}_{c}") for s, e in SCORES.items() for c in GRID))
-    counts = counts.withColumn("strata", F.count("*").over(Window.partitionBy(F.lit(0))))
+    # a row a stratum; one number of them to the driver
+    counts = checkpointed(counts)
+    strata = counts.count()
     each = alpha / len(SCORES)
 
     def choose(batches):
@@ -156,7 +155,7 @@ def calibrate(measures: DataFrame, labels: DataFrame, alpha: float = ALPHA, delt
             rows = b.to_pylist()
             out = {"stratum": pa.array([r["stratum"] for r in rows], pa.string())}
             for s in SCORES:
-                at = [certified([r[f"{s}_{c}"] for c in GRID], r["n"], each, delta / (r["strata"] * len(SCORES))) for r in rows]
+                at = [certified([r[f"{s}_{c}"] for c in GRID], r["n"], each, delta / (strata * len(SCORES))) for r in rows]
                 out[f"cut_{s}"] = pa.array([None if i is None else GRID[i] for i in at], pa.int64())
             yield pa.RecordBatch.from_pydict(out)
 

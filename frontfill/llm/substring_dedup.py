@@ -15,7 +15,7 @@ distinct window, and no row for a window, a pair or an occurrence ever exists.
 
 Defined results: null and empty texts have no words; rows that repeat as a whole
 count as separate documents, so their windows are repeated; extra columns pass
-through untouched; an empty table gives an empty result.  Fingerprints that collide
+through untouched, but columns of the names ``n_words`` and ``n_removed`` give way to the counts; an empty table gives an empty result.  Fingerprints that collide
 at the first levels only cost a survivor; the last level holds 64 bits, of windows
 whose parts were repeated too.
 """
@@ -34,7 +34,6 @@ from frontfill.llm.wordscan import U64, Piece, cover, ladder, ngrams, pieces, ru
 
 MIN_CHUNK, MAX_CHUNK = 8 << 20, 128 << 20
 SEND = "chunk int, level int, bucket int, payload binary"
-_CHUNK = "__sd_chunk"
 
 
 def _groups(owner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -187,15 +186,16 @@ def remove_repeated(
     words start anywhere else in the corpus, its own document included; windows are judged on the input.
     ``base`` is the first window length (a quarter of ``window`` by default).
     """
-    clash = {"n_words", "n_removed"} & set(docs.columns)
-    if clash:
-        raise ValueError(f"input already has columns {sorted(clash)}")
+    docs = docs.drop("n_words", "n_removed")
+    home_col = "chunk"
+    while home_col in (c.lower() for c in docs.columns):
+        home_col = "_" + home_col
     levels = ladder(window, base or max(1, (window + 3) // 4))
     total = text_bytes(docs, text_col)
     size = chunk_bytes or int(min(MAX_CHUNK, max(MIN_CHUNK, total / 2000)))
     chunks = max(1, -(-total // size))
     buckets = max(1, -(-total // (2 * size)))
-    home = docs.withColumn(_CHUNK, F.pmod(F.xxhash64(F.col(id_col), F.col(text_col)), F.lit(chunks)).cast("int"))
+    home = docs.withColumn(home_col, F.pmod(F.xxhash64(F.col(id_col), F.col(text_col)), F.lit(chunks)).cast("int"))
     names = docs.columns
     schema = T.StructType([*docs.schema.fields, T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType())])
     last = len(levels) - 1
@@ -233,11 +233,11 @@ def remove_repeated(
 
     heard = None
     for level in range(len(levels)):
-        by_chunk = home.groupBy(_CHUNK)
+        by_chunk = home.groupBy(home_col)
         if heard is None:
             sent = by_chunk.applyInArrow(sender(0), SEND)
         else:
             sent = by_chunk.cogroup(heard.groupBy("chunk")).applyInArrow(sender(level), SEND)
         answer = sent.groupBy("bucket").applyInArrow(judge(level == last), SEND)
         heard = answer if heard is None else heard.unionByName(answer)
-    return home.groupBy(_CHUNK).cogroup(heard.groupBy("chunk")).applyInArrow(finish, schema)
+    return home.groupBy(home_col).cogroup(heard.groupBy("chunk")).applyInArrow(finish, schema)

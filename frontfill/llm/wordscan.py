@@ -37,22 +37,6 @@ def mix(z: np.ndarray) -> np.ndarray:
     return z
 
 
-#: one random 64-bit weight for each byte value
-BYTE_WEIGHT = mix((np.arange(256, dtype=U64) + U64(1)) * _K1)
-_power = np.ones(1, dtype=U64)
-
-
-def _powers(n: int) -> np.ndarray:
-    """Powers of an odd multiplier modulo 2^64, grown on demand to the longest run seen."""
-    global _power
-    if len(_power) < n:
-        size = max(n, 2 * len(_power), 256)
-        base = np.full(size, _K2, dtype=U64)
-        base[0] = 1
-        _power = np.multiply.accumulate(base)
-    return _power[:n]
-
-
 @dataclass
 class Piece:
     """Documents ``lo..hi`` of a batch: their bytes and the offsets of each in them."""
@@ -123,24 +107,75 @@ def lines(piece: Piece) -> Runs:
     return Runs(starts, ends, doc)
 
 
-def run_hashes(buf: np.ndarray, runs: Runs, lower: bool = False) -> np.ndarray:
-    """A 64-bit fingerprint of the bytes of each run; equal bytes, equal value, wherever they lie."""
+def _blocks(buf: np.ndarray, runs: Runs) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(eight-byte blocks of all runs in order, zero-filled at a run's end; place of each in its run; first block of each run; blocks of each)."""
     lens = runs.ends - runs.starts
+    count = (lens + 7) >> 3
+    first = np.cumsum(count) - count
+    place = np.arange(int(count.sum()), dtype=np.int64) - np.repeat(first, count)
+    # every eight bytes of the buffer as one number, read at any offset
+    wide = np.ndarray(len(buf) + 1, "<u8", np.concatenate([buf, np.zeros(8, np.uint8)]), 0, (1,))
+    value = wide[np.repeat(runs.starts, count) + (place << 3)]
+    # what lies beyond the run's end is not part of it
+    left = np.minimum(np.repeat(lens, count) - (place << 3), 8).astype(U64)
+    value &= ~U64(0) >> (U64(64) - (left << U64(3)))
+    return value, place, first, count
+
+
+def _block_hashes(value: np.ndarray, place: np.ndarray, first: np.ndarray, lens: np.ndarray) -> np.ndarray:
+    mixed = mix((value ^ mix((place.astype(U64) + U64(1)) * _K1)) * _K2)
     out = np.zeros(len(lens), dtype=U64)
     some = np.flatnonzero(lens)
     if len(some):
-        size = lens[some]
-        first = np.cumsum(size) - size
-        pos = np.arange(int(size.sum()), dtype=np.int64) - np.repeat(first, size)
-        at = pos + np.repeat(runs.starts[some], size)
-        b = buf[at]
-        if lower:
-            b = LOWER[b]
-        vals = BYTE_WEIGHT[b] * _powers(int(size.max()))[pos]
-        out[some] = np.add.reduceat(vals, first)
+        out[some] = np.add.reduceat(mixed, first[some])
     return mix(out + lens.astype(U64) * _K1)
 
 
+def run_hashes(buf: np.ndarray, runs: Runs, lower: bool = False) -> np.ndarray:
+    """A 64-bit fingerprint of the bytes of each run; equal bytes, equal value, wherever they lie.
+
+    Each block of eight bytes is mixed with a key of its place before the blocks are summed, so no arrangement of
+    equal blocks cancels out, as it can in a polynomial modulo a power of two.
+    """
+    value, place, first, _ = _blocks(LOWER[buf] if lower else buf, runs)
+    return _block_hashes(value, place, first, runs.ends - runs.starts)
+
+
+def intern(buf: np.ndarray, runs: Runs, lower: bool = False) -> np.ndarray:
+    """A number for each run, the same for two runs just where their bytes are the same.
+
+    Runs are grouped by fingerprint and every one is compared with the first of its group; should two
+    differ, a dictionary of the bytes themselves numbers all.
+    """
+    if lower:
+        buf = LOWER[buf]
+    value, place, first, count = _blocks(buf, runs)
+    lens = runs.ends - runs.starts
+    _, head, ids = np.unique(_block_hashes(value, place, first, lens), return_index=True, return_inverse=True)
+    head = head[ids]
+    if np.array_equal(lens, lens[head]) and np.array_equal(value, value[np.repeat(first[head], count) + place]):
+        return ids.astype(np.int64)
+    raw, seen = buf.tobytes(), {}
+    return np.fromiter((seen.setdefault(raw[s:e], len(seen)) for s, e in zip(runs.starts.tolist(), runs.ends.tolist(), strict=True)), np.int64, len(lens))
+
+
+def pair_ids(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """A number for each pair of numbers under 2^31, the same just where the pairs are the same."""
+    return np.unique((a.astype(np.int64) << 32) | b, return_inverse=True)[1].astype(np.int64)
+
+
+def exact_ngrams(ids: np.ndarray, n: int) -> np.ndarray:
+    """A number for each run of ``n`` items of an interned sequence, the same just where the items are the same."""
+    have, h = 1, ids
+    for want in ladder(n)[1:]:
+        shift = want - have
+        size = len(h) - shift
+        if size <= 0:
+            return np.zeros(0, np.int64)
+        h, have = pair_ids(h[:size], h[shift:]), want
+    return h
+
+
 def combine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Ordered combination of two fingerprints of equal-length word runs."""
     return mix(a * _K1 + (b ^ (b >> U64(29))) * _K2 + U64(0x632BE59BD9B4E019))

@@ -2,9 +2,10 @@ import hashlib
 import re
 from collections import Counter, defaultdict
 
+import pyarrow as pa
 import pytest
 
-from frontfill.llm import exact_dedup, minhash_dedup, substring_dedup
+from frontfill.llm import exact_dedup, minhash_dedup, quality_rules, substring_dedup, wordscan
 from frontfill.llm.graph import components
 from tests.llm.data import WORD, awkward, frame
 
@@ -109,3 +110,40 @@ def test_components(spark):
     links = [(i, i + 1) for i in range(40)] + [(100, 101), (103, 101), (7, 7)]
     got = {r.node: r.root for r in components(spark.createDataFrame(links, "a long, b long")).collect()}
     assert got == {**dict.fromkeys(range(41), 0), 100: 100, 101: 100, 103: 100}
+
+
+def folded(length):
+    """A word and its twin with letters swapped, arranged so that polynomial hashes modulo a power of two agree on them."""
+    bits = [0]
+    while len(bits) < length:
+        bits += [1 - x for x in bits]
+    return "".join("ab"[x] for x in bits[:length]), "".join("ba"[x] for x in bits[:length])
+
+
+@pytest.mark.parametrize("length", [1024, 2048, 4096])
+def test_arranged_words_stay_apart(spark, length):
+    one, two = folded(length)
+    assert quality_rules.measure(pa.array([f"{one}\n{two}\n{one}\n"]))[3].tolist() == [1]
+    assert quality_rules.measure(pa.array([" ".join([one, "x", "y", two, "x", "y"])]))[4].tolist() == [0]
+    fill = [f"w{i}" for i in range(60)]
+    rows = [(i, " ".join([*fill[:30], w, *fill[30:]]), "en", "s", 0, 1, 2, 3, 4, "n", "s") for i, w in enumerate((one, two))]
+    got = substring_dedup.remove_repeated(frame(spark, rows), window=35, layout="spaces").collect()
+    assert [r.n_removed for r in got] == [0, 0]
+    got = minhash_dedup.near_duplicates(frame(spark, [(i, w, "en", "s", 0, 1, 2, 3, 4, "n", "s") for i, w in enumerate((one, two))]), shingle=4).collect()
+    assert all(r.kept for r in got)
+
+
+def test_interning_is_exact_when_hashes_collide(monkeypatch):
+    texts = ["aa bb aa cc", "bb dddddddddd", "dddddddddd aa"]
+    monkeypatch.setattr(wordscan, "_block_hashes", lambda value, place, first, lens: (lens % 2).astype(wordscan.U64))
+    for p in wordscan.pieces(pa.array(texts)):
+        ids = wordscan.intern(p.buf, wordscan.words(p)).tolist()
+    flat = " ".join(texts).split()
+    assert len(set(zip(flat, ids, strict=True))) == len(set(flat)) == len(set(ids))
+
+
+def test_clashing_columns_give_way(spark):
+    df = frame(spark).withColumnsRenamed({"rank": "n_words", "bucket": "n_removed"})
+    got = substring_dedup.remove_repeated(df, window=35, layout="spaces").collect()
+    assert Counter((r.doc_id, r.n_words, r.n_removed, r.text or "") for r in got) == brute_windows(awkward(), 35)
+    assert {r.chunk for r in got} == {2}
