@@ -5,9 +5,10 @@ up to the place is relaxed over them.  Characters that no piece holds become byt
 character to a following word mark or to a character without a piece, so a text falls apart at those places and a unit's
 best path can be cached; the result is the best path of the whole text.
 
-Scores: a unigram model's own.  A merge-ranked (BPE) vocabulary has ranks in their place, whose sum means nothing; they are read as a Zipf law,
-``-log(rank + 2)``.  Ids then are the vocabulary's, the segmentation is the most probable one under that law and may differ
-from the merge order of the library; decoding gives the text back exactly either way.
+Scores: a unigram model's own are summed.  A merge-ranked (BPE) vocabulary has ranks in their place, whose sum means nothing.  There the step at a
+place relaxes over the same output links by another rule: a piece may end there when merging by rank leaves it and the piece before it apart
+as they are.  A sequence is what merging gives just where all its neighbours are so, and the last piece of every prefix is unique, hence the pass finds
+the library's own ids; whether two pieces stay apart is looked up in a bounded cache.
 
 Defined results: null and empty texts have no pieces; a text that holds the word mark itself decodes with spaces, as the library does;
 repeated rows are separate; other columns are ignored; an empty table gives no rows.
@@ -15,7 +16,6 @@ repeated rows are separate; other columns are ignored; an empty table gives no r
 
 from __future__ import annotations
 
-import math
 import re
 import zlib
 
@@ -31,10 +31,24 @@ MARK = "▁"
 LOW = -1e9
 
 
+def merge(text: str, id_of: dict[str, int], score: list[float]) -> list[str]:
+    """Merging by rank, by definition: the best-ranked neighbours that make a piece are joined, the leftmost first, until none do."""
+    parts = list(text)
+    while True:
+        best, at = None, -1
+        for k in range(len(parts) - 1):
+            i = id_of.get(parts[k] + parts[k + 1])
+            if i is not None and (best is None or score[i] > best):
+                best, at = score[i], k
+        if at < 0:
+            return parts
+        parts[at : at + 2] = [parts[at] + parts[at + 1]]
+
+
 class PieceModel:
     """A vocabulary with scores, its automaton, and the cache of unit paths."""
 
-    def __init__(self, pieces: list[str], scores: list[float], byte_ids: list[int], usable: list[bool]):
+    def __init__(self, pieces: list[str], scores: list[float], byte_ids: list[int], usable: list[bool], merged: bool = False):
         import ahocorasick
 
         self.pieces, self.byte_ids = pieces, byte_ids
@@ -50,7 +64,12 @@ class PieceModel:
         self.units = re.compile(f"{MARK}*[{known}]+|{MARK}+|[^{known}{MARK}]+")
         self.known = re.compile(f"[{known}{MARK}]")
         self.byte_of = {i: b for b, i in enumerate(byte_ids)}
-        self.cache = Misses(lambda u: np.array(self.path(u), np.uint32).tobytes(), limit=200_000)
+        self.id_of = {p: i for i, p in enumerate(pieces) if usable[i] and p}
+        self.merged = merged
+        self.apart = Misses(lambda ab: merge(ab[0] + ab[1], self.id_of, scores) == [ab[0], ab[1]], limit=400_000)
+        self.whole = Misses(lambda p: merge(p, self.id_of, scores) == [p], limit=400_000)
+        walk = self.merged_path if merged else self.path
+        self.cache = Misses(lambda u: np.array(walk(u), np.uint32).tobytes(), limit=200_000)
 
     @classmethod
     def load(cls, name: str = VOCABULARY) -> PieceModel:
@@ -61,9 +80,8 @@ class PieceModel:
         pieces = [m.id_to_piece(i) for i in range(n)]
         usable = [not (m.is_control(i) or m.is_unknown(i) or m.is_byte(i) or m.is_unused(i)) for i in range(n)]
         scores = [m.get_score(i) for i in range(n)]
-        if all(s == int(s) for s in scores):
-            scores = [-math.log(2 - s) for s in scores]
-        return cls(pieces, scores, [m.piece_to_id(f"<0x{b:02X}>") for b in range(256)], usable)
+        # whole numbers are ranks: a unigram model's are logarithms of shares
+        return cls(pieces, scores, [m.piece_to_id(f"<0x{b:02X}>") for b in range(256)], usable, all(s == int(s) for s in scores))
 
     def path(self, unit: str) -> list[int]:
         """Ids of the best segmentation of one unit."""
@@ -93,6 +111,33 @@ class PieceModel:
                 at -= len(self.pieces[i])
         return out[::-1]
 
+    def merged_path(self, unit: str) -> list[int]:
+        """Ids that merging by rank gives one unit, found left to right."""
+        n = len(unit)
+        last: list[str | None] = [None] * (n + 1)
+        ends: list[list[str]] = [[] for _ in range(n + 1)]
+        for end, (i, _, _) in self.auto.iter(unit):
+            ends[end + 1].append(self.pieces[i])
+        for end in range(1, n + 1):
+            # a character that is no piece stays as it is until bytes stand for it
+            if unit[end - 1] not in self.id_of:
+                ends[end].append(unit[end - 1])
+            for p in ends[end]:
+                start = end - len(p)
+                if self.whole[p] and (not start or (last[start] is not None and self.apart[last[start], p])):
+                    last[end] = p
+                    break
+            else:
+                raise RuntimeError("no piece ends here")
+        out: list[int] = []
+        at = n
+        while at:
+            p = last[at]
+            i = self.id_of.get(p)
+            out += [self.byte_ids[b] for b in reversed(p.encode())] if i is None else [i]
+            at -= len(p)
+        return out[::-1]
+
     def encode(self, text: str) -> bytes:
         """Ids as little-endian 32-bit numbers."""
         if not text:
