@@ -1,10 +1,13 @@
 """Chat training examples in budgeted windows, with DataFrame operations only (operator 6).
 
 A conversation becomes windows of whole turns.  Prefix sums of the turns' token counts choose the
-spans: a window starts at the first turn not yet shown and runs while the sum since its start stays within
-the budget (a longer turn has a window to itself).  Later windows repeat the system turn and up to
-``history`` turns that precede their span, as far as ``history_budget`` tokens go; repeated turns are
-marked as such and stay outside the loss, so each assistant turn is a target once.
+spans.  A window starts at the first turn not yet shown.  Windows after the first repeat the system turn and up to
+``history`` turns that precede their span, as far as ``history_budget`` tokens go and the first new turn still fits; then the
+span runs on while all that the window shows, repeats included, stays within the budget.  So no window passes the budget unless the system
+turn and one new turn alone do.  Repeated turns are marked as such and stay outside the loss, so each assistant turn is a target once.
+
+A turn's tokens are counted by the pattern ``TOKEN`` (pieces of up to four letters or three digits, other marks one by one)
+and three for the turn's own marks, which a regular expression counts inside the JVM.
 
 Template: ``<|turn|>role<|text|>text<|end|>``; a repeated turn opens with ``<|again|>``.
 Inside roles and texts a backslash is doubled and ``<|`` becomes ``<\\|``, so none of the control
@@ -18,11 +21,12 @@ its turns in order, so one conversation is one row of arrays; its windows hold n
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 TURN, AGAIN, TEXT, END = "<|turn|>", "<|again|>", "<|text|>", "<|end|>"
 BUDGET, HISTORY, HISTORY_BUDGET = 512, 2, 128
+TOKEN, MARKS = r"\p{L}{1,4}|\p{N}{1,3}|[^\x09-\x0D\x20\p{L}\p{N}]", 3
 
 
 def escape(c: Column) -> Column:
@@ -33,9 +37,9 @@ def unescape(c: Column) -> Column:
     return F.replace(F.replace(c, F.lit("<\\|"), F.lit("<|")), F.lit("\\\\"), F.lit("\\"))
 
 
-def token_estimate(c: Column) -> Column:
-    """Turn tokens for the budget: a quarter of the UTF-8 bytes, rounded up, and three for the marks."""
-    return (F.ceil(F.octet_length(c) / F.lit(4.0)) + 3).cast("long")
+def tokens(c: Column) -> Column:
+    """Tokens of a turn's text, its marks included."""
+    return (F.regexp_count(c, F.lit(TOKEN)) + MARKS).cast("long")
 
 
 def windows(
@@ -55,25 +59,38 @@ def windows(
         F.coalesce(F.col(role_col), F.lit("")).alias("role"),
         F.coalesce(F.col(text_col), F.lit("")).alias("text"),
     )
-    item = F.struct("turn", "role", "text", token_estimate(F.col("text")).alias("tokens"))
+    # sums of the tokens before each turn, by one sorted pass; the exchange by conversation serves the collection too
+    order = Window.partitionBy("conv_id").orderBy(F.col("turn").asc_nulls_first(), "role", "text")
+    rows = rows.withColumn("tokens", tokens(F.col("text"))).withColumns({"i": F.row_number().over(order), "sum": F.sum("tokens").over(order.rowsBetween(Window.unboundedPreceding, 0))})
+    item = F.struct("i", "role", "text", "tokens", (F.col("sum") - F.col("tokens")).alias("before"))
     conv = rows.groupBy("conv_id").agg(F.array_sort(F.collect_list(item)).alias("t"))
-    # sums[i]: tokens of the first i turns
-    run = F.aggregate("t", F.struct(F.lit(0).cast("long").alias("sum"), F.array(F.lit(0).cast("long")).alias("sums")), lambda a, x: F.struct((a["sum"] + x["tokens"]).alias("sum"), F.concat(a["sums"], F.array(a["sum"] + x["tokens"])).alias("sums")), lambda a: a["sums"])
-    conv = conv.withColumn("sums", run)
     n = F.size("t")
-    # a new span starts where the sum since the start of the current one would pass the budget
+    first = F.get("t", F.lit(0))
+
+    def repeated(i: Column) -> Column:
+        """(turns of history, tokens of all repeats) of a window that starts at turn ``i``."""
+
+        def cost(k: Column) -> Column:
+            past = F.get("t", i)["before"] - F.get("t", i - k)["before"]
+            system = F.when((first["role"] == "system") & (i > k), first["tokens"]).otherwise(F.lit(0))
+            return F.struct(k.alias("k"), (past + system).alias("cost"), past.alias("past"))
+
+        each = F.transform(F.sequence(F.lit(0), F.least(F.lit(history), i)), cost)
+        fits = F.filter(each, lambda x: (x["k"] == 0) | ((x["past"] <= F.lit(history_budget)) & (x["cost"] + F.get("t", i)["tokens"] <= F.lit(budget))))
+        return F.when(i > 0, F.array_max(fits)).otherwise(F.struct(F.lit(0).alias("k"), F.lit(0).cast("long").alias("cost"), F.lit(0).cast("long").alias("past")))
+
+    conv = conv.withColumn("again", F.transform(F.sequence(F.lit(0), n - 1), repeated))
+    # a new span starts where repeats and span together would pass the budget
     start0 = F.struct(F.lit(0).alias("at"), F.array(F.lit(0)).alias("starts"))
 
     def step(a: Column, i: Column) -> Column:
-        over = (F.element_at("sums", i + 2) - F.element_at("sums", a["at"] + 1)) > F.lit(budget)
-        return F.when(over & (i > a["at"]), F.struct(i.alias("at"), F.concat(a["starts"], F.array(i)).alias("starts"))).otherwise(a)
+        shown = F.get("again", a["at"])["cost"] + F.get("t", i)["before"] + F.get("t", i)["tokens"] - F.get("t", a["at"])["before"]
+        return F.when((shown > F.lit(budget)) & (i > a["at"]), F.struct(i.alias("at"), F.concat(a["starts"], F.array(i)).alias("starts"))).otherwise(a)
 
     conv = conv.withColumn("starts", F.aggregate(F.sequence(F.lit(0), n - 1), start0, step, lambda a: a["starts"]))
-    spans = conv.select("conv_id", "t", "sums", "starts", F.posexplode("starts").alias("window", "lo"))
+    spans = conv.select("conv_id", "t", "again", "starts", F.posexplode("starts").alias("window", "lo"))
     spans = spans.withColumn("hi", F.coalesce(F.get("starts", F.col("window") + 1), n))
-    system = (F.col("lo") > 0) & (F.element_at("t", 1)["role"] == "system")
-    back = F.filter(F.sequence(F.lit(0), F.lit(history)), lambda k: (k <= F.col("lo")) & ((F.element_at("sums", F.col("lo") + 1) - F.element_at("sums", F.col("lo") - k + 1)) <= F.lit(history_budget)))
-    spans = spans.withColumn("from", F.col("lo") - F.when(F.col("lo") > 0, F.array_max(back)).otherwise(0)).withColumn("system", system)
+    spans = spans.withColumn("from", F.col("lo") - F.get("again", F.col("lo"))["k"]).withColumn("system", (F.col("lo") > 0) & (first["role"] == "system"))
     again = F.when(F.col("system") & (F.col("from") > 0), F.slice("t", 1, 1)).otherwise(F.slice("t", 1, 0))
     shown = F.concat(
         F.transform(again, lambda x: F.struct(x["role"].alias("role"), x["text"].alias("text"), F.lit(True).alias("again"))),

@@ -54,17 +54,22 @@ WITH RECURSIVE src AS (
   SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
   UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]'),
 t AS (SELECT *, row_number() OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text) - 1 AS i FROM src),
-m AS (SELECT *, CAST(ceil(strlen(text) / 4.0) AS BIGINT) + 3 AS tok,
+m AS (SELECT *, len(regexp_extract_all(text, '\p{L}{1,4}|\p{N}{1,3}|[^\x09-\x0D\x20\p{L}\p{N}]')) + 3 AS tok,
              length(replace(replace(role, '\', '\\'), '<|', '<\|')) + length(replace(replace(text, '\', '\\'), '<|', '<\|')) + 15 AS len FROM t),
 c AS (SELECT *, sum(tok) OVER (PARTITION BY conv_id ORDER BY i)::BIGINT - tok AS before FROM m),
+p AS (
+  SELECT x.conv_id, x.i, r.k, x.before - y.before AS past,
+         x.before - y.before + CASE WHEN f.role = 'system' AND x.i > r.k THEN f.tok ELSE 0 END AS cost, x.tok
+  FROM c x, range(0, 3) r(k) JOIN c y ON y.conv_id IS NOT DISTINCT FROM x.conv_id AND y.i = x.i - r.k
+  JOIN c f ON f.conv_id IS NOT DISTINCT FROM x.conv_id AND f.i = 0 WHERE x.i > 0),
+h AS (SELECT conv_id, i, max(k) AS k, arg_max(cost, k) AS cost FROM p WHERE k = 0 OR (past <= 128 AND cost + tok <= 512) GROUP BY conv_id, i),
 g(conv_id, i, cur, base) AS (
   SELECT conv_id, 0::BIGINT, 0::BIGINT, 0::BIGINT FROM c WHERE i = 0
   UNION ALL
-  SELECT c.conv_id, c.i, CASE WHEN c.before + c.tok - base > 512 THEN c.i ELSE cur END, CASE WHEN c.before + c.tok - base > 512 THEN c.before ELSE base END
-  FROM g JOIN c ON c.conv_id = g.conv_id AND c.i = g.i + 1),
+  SELECT c.conv_id, c.i, CASE WHEN c.before + c.tok - base > 512 THEN c.i ELSE cur END, CASE WHEN c.before + c.tok - base > 512 THEN c.before - h.cost ELSE base END
+  FROM g JOIN c ON c.conv_id = g.conv_id AND c.i = g.i + 1 JOIN h ON h.conv_id = c.conv_id AND h.i = c.i),
 w AS (SELECT DISTINCT conv_id, cur AS lo FROM g WHERE cur > 0),
-b AS (SELECT w.conv_id, lo, lo - max(k) AS back FROM w JOIN c x ON x.conv_id = w.conv_id AND x.i = lo, range(0, 3) r(k)
-      JOIN c y ON y.conv_id = w.conv_id AND y.i = lo - k WHERE x.before - y.before <= 128 GROUP BY w.conv_id, lo),
+b AS (SELECT w.conv_id, lo, lo - k AS back FROM w JOIN h ON h.conv_id = w.conv_id AND h.i = lo),
 again AS (
   SELECT b.conv_id, sum(c.len + 9) AS chars FROM b JOIN c ON c.conv_id = b.conv_id AND ((c.i >= back AND c.i < lo) OR (c.i = 0 AND c.role = 'system' AND back > 0)) GROUP BY b.conv_id),
 o AS (
