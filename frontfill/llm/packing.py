@@ -1,7 +1,8 @@
 """Packing token pieces into fixed-length sequences (operator 7).
 
 Each document becomes its token ids and one end id, cut into blocks of the sequence length and a remainder.  Full blocks are
-sequences already.  Pieces are dealt to randomised groups by a hash; each group is packed on its own by first-fit decreasing:
+sequences already.  Pieces are stored once with a number of their own and dealt to randomised groups by its hash, so neither one identifier nor
+a row that occurs many times can fill a group; each group is packed on its own by first-fit decreasing:
 pieces from the longest down, each into the first open sequence with room, found by descending a tournament tree that
 holds the largest free space below each node.  A group holds a fixed share of bytes, so its padding does not
 depend on the size of the corpus, groups run in parallel, and only piece lengths travel: ids stay where they were made
@@ -20,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from frontfill.llm.common import text_bytes
+from frontfill.llm.common import checkpointed, text_bytes
 from frontfill.llm.units import WORD_UNITS, Misses, plain, tokenizer
 
 VOCABULARY = "word_bpe_49k.json"
@@ -106,8 +107,10 @@ def first_fit_decreasing(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray,
 
 def pack(pieces: DataFrame, groups: int, length: int = LENGTH, seed: int = 7) -> DataFrame:
     """The pieces with ``sequence_id`` and ``offset``; sequences of one group follow from its number and place."""
-    keyed = pieces.withColumn("pack_group", F.pmod(F.xxhash64(F.lit(seed), "doc_id", "start"), F.lit(groups)))
     names = pieces.columns
+    # stored, because another run of a lost task might number its rows otherwise
+    numbered = checkpointed(pieces.withColumn("piece", F.monotonically_increasing_id()))
+    keyed = numbered.withColumn("pack_group", F.pmod(F.xxhash64(F.lit(seed), "piece"), F.lit(groups)))
 
     def one(key, table):
         table = table.sort_by([("length", "descending"), ("doc_id", "ascending"), ("start", "ascending"), ("ids_crc32", "ascending")])

@@ -23,7 +23,8 @@ SAFE = re.compile(r"[\t\n\r -~¡-¬®-įĲ-ňŊ-ž–—‘’“”…]*")
 _CONTRACT = "'s|'t|'re|'ve|'m|'ll|'d"
 BYTE_UNITS = re.compile(rf"{_CONTRACT}| ?[{_L}]+| ?[{_N}]+| ?[^{_S}{_L}{_N}]+|[{_S}]+(?![^{_S}])|[{_S}]+")
 WORD_UNITS = re.compile(rf"{_CONTRACT}|[{_L}]+|[{_N}]|[^{_S}{_L}{_N}]+")
-MAX_CACHE = 400_000
+#: entries of at most MAX_UNIT characters each: some tens of megabytes a worker
+MAX_CACHE = 200_000
 MAX_UNIT = 64
 
 
