@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from frontfill.llm.common import safe_text
 
-SHARDS, VIRTUAL, SLOTS = 16, 64, 4096
+SHARDS, VIRTUAL, SLOTS = 16, 64, 16_384
 
 
 def ring(shards: int, virtual: int, slots: int) -> list[int]:
