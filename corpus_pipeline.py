@@ -27,11 +27,12 @@ def numbered(docs: DataFrame) -> DataFrame:
 
 
 def language_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a language: those without a letter are rejected."""
+    """Documents in a language, with the predicted one in ``lang``: those without a letter are rejected."""
     samples = language_id.training_samples(docs, ~language_id.held_out())
     tagged = language_id.identify(docs.select(*COLUMNS), samples, out=("pred", "pred_score"))
+    said = tagged.where("pred <> 'und'").withColumn("lang", F.col("pred"))
     # numbered here, where the row is stored once and for all
-    return tagged.where("pred <> 'und'").select(*COLUMNS, F.monotonically_increasing_id().alias(ROW))
+    return said.select(*COLUMNS, F.monotonically_increasing_id().alias(ROW))
 
 
 def _only(docs: DataFrame, stay: DataFrame) -> DataFrame:
