@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from frontfill.llm import quality_rules as q
+
 _WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
 
 OP9 = r"""
@@ -81,7 +83,39 @@ SELECT o.conv_id, n_turns, turns_sha256, loss_chars, loss_sha256, (o.chars + coa
 FROM o LEFT JOIN again USING (conv_id)
 """
 
+OP1 = rf"""
+WITH w AS (SELECT doc_id, lang, coalesce(text, '') AS text, {_WORDS} AS ws FROM documents),
+l AS (SELECT doc_id, [x FOR x IN string_split(text, chr(10)) IF regexp_matches(x, '[^\x20\x09-\x0D]')] AS ls FROM w),
+g AS (SELECT doc_id, unnest(range(1, len(ws) - 1)) AS i, ws FROM w WHERE len(ws) >= 3),
+t AS (SELECT doc_id, i FROM g QUALIFY count(*) OVER (PARTITION BY doc_id, ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2]) > 1),
+r AS (SELECT doc_id, count(DISTINCT k) AS n FROM (SELECT doc_id, unnest([i, i + 1, i + 2]) AS k FROM t) GROUP BY doc_id),
+m AS (
+  SELECT w.doc_id, lang, len(ws)::BIGINT AS n_words, length(array_to_string(ws, ''))::BIGINT AS word_chars,
+         length(regexp_replace(text, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols,
+         (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines, coalesce(r.n, 0)::BIGINT AS n_repeat_words
+  FROM w JOIN l USING (doc_id) LEFT JOIN r USING (doc_id)),
+b AS (SELECT *, n_words < {q.MIN_WORDS} OR 100 * n_repeat_words > {q.MAX_REPEAT_PERCENT} * n_words AS base_failed FROM m),
+s AS (
+  SELECT doc_id, lang, base_failed, unnest([{", ".join(f"{{'s': '{k}', 'v': {e}}}" for k, e in q.SCORES.items())}], recursive := true) FROM b),
+good AS (SELECT doc_id FROM labels WHERE quality IS NOT NULL GROUP BY doc_id HAVING min(quality) = 1),
+cuts AS (SELECT unnest({list(q.GRID)}) AS cut, unnest(range({len(q.GRID)})) AS pos),
+c AS (
+  SELECT s.lang, s.s, pos, cut, count(*) AS n, count(*) FILTER (v > cut) AS k
+  FROM s JOIN good USING (doc_id), cuts WHERE NOT base_failed GROUP BY ALL),
+d AS (SELECT count(*) AS strata FROM (SELECT DISTINCT lang FROM c)),
+-- the chance of k or fewer of n at the rate that must not be passed
+f AS (
+  SELECT *, list_sum([exp(lgamma(n + 1.0) - lgamma(i + 1.0) - lgamma(n - i + 1.0) + i * ln({q.ALPHA / len(q.SCORES)}) + (n - i) * ln({1 - q.ALPHA / len(q.SCORES)})) FOR i IN range(k + 1)])
+            > {q.DELTA} / (strata * {len(q.SCORES)}) AS fails
+  FROM c, d),
+z AS (SELECT lang, s, min(cut) AS cut FROM (SELECT *, bool_or(fails) OVER (PARTITION BY lang, s ORDER BY pos) AS stopped FROM f) WHERE NOT stopped GROUP BY lang, s),
+x AS (SELECT DISTINCT s.doc_id FROM s JOIN z ON s.lang IS NOT DISTINCT FROM z.lang AND s.s = z.s WHERE s.v > z.cut)
+SELECT b.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND x.doc_id IS NULL AS kept
+FROM b LEFT JOIN x USING (doc_id)
+"""
+
 ORACLES = {
+    "op1_quality_rules": OP1,
     "op2_minhash_dedup": OP2,
     "op5_substring_dedup": OP5,
     "op6_chat_format": OP6,

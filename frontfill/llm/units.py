@@ -24,7 +24,7 @@ _CONTRACT = "'s|'t|'re|'ve|'m|'ll|'d"
 BYTE_UNITS = re.compile(rf"{_CONTRACT}| ?[{_L}]+| ?[{_N}]+| ?[^{_S}{_L}{_N}]+|[{_S}]+(?![^{_S}])|[{_S}]+")
 WORD_UNITS = re.compile(rf"{_CONTRACT}|[{_L}]+|[{_N}]|[^{_S}{_L}{_N}]+")
 #: entries of at most MAX_UNIT characters each: some tens of megabytes a worker
-MAX_CACHE = 200_000
+MAX_CACHE = 400_000
 MAX_UNIT = 64
 
 

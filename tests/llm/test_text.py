@@ -68,6 +68,38 @@ def test_quality_cutoffs_hold_their_risk(spark):
     assert sum(r.kept for r in got if r.doc_id % 3 == 0) < 50
 
 
+def test_quality_verdict_by_definition(spark):
+    """``kept`` against cutoffs found by summing binomial terms over the labelled rows."""
+    rnd = random.Random(17)
+    rows, labels = [], []
+    for i in range(4000):
+        words = [f"w{rnd.randint(0, 9999)}" if rnd.random() > (i % 7) * 0.02 else "#$%" for _ in range(rnd.randint(45, 90))]
+        rows.append((i, " ".join(words), ("en", None)[i % 2], "s", 0, 1, 2, 3, 4, "n", "s"))
+        labels += [(i, int(i % 7 < 5))] * (i % 5 > 0) + [(i, 0)] * (i % 211 == 0)
+    got = {r.doc_id: r.kept for r in quality_rules.judge(frame(spark, rows), spark.createDataFrame(labels, "doc_id long, quality int")).collect()}
+    base = {r[0]: base_counts(r[1]) for r in rows}
+    failed = {i: c[0] < 50 or 100 * c[4] > 50 * c[0] for i, c in base.items()}
+    scores = {i: (1000 * c[2] / max(c[1], 1), 1000 * c[3] / max(c[0], 1), 1000 * c[4] / max(c[0], 1), 10 * c[1] / max(c[0], 1)) for i, c in base.items()}
+    least = {}
+    for i, q in labels:
+        least[i] = min(q, least.get(i, 1))
+    lang = {r[0]: r[2] for r in rows}
+    good = defaultdict(list)
+    for i, q in least.items():
+        if q == 1 and not failed[i]:
+            good[lang[i]].append(i)
+    cut = {}
+    for g, ids in good.items():
+        n, p = len(ids), quality_rules.ALPHA / 4
+        for j in range(4):
+            for c in quality_rules.GRID:
+                k = sum(scores[i][j] > c for i in ids)
+                if sum(math.comb(n, x) * p**x * (1 - p) ** (n - x) for x in range(k + 1)) > quality_rules.DELTA / (len(good) * 4):
+                    break
+                cut[g, j] = c
+    assert cut and got == {i: not failed[i] and not any(scores[i][j] > cut.get((lang[i], j), math.inf) for j in range(4)) for i in got}
+
+
 def test_token_counts_are_the_librarys(spark):
     tok = tokenizer(token_counts.VOCABULARY)
     got = token_counts.count_tokens(frame(spark)).collect()
