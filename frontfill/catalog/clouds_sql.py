@@ -47,14 +47,16 @@ def morton(xs: list[str], bits: int) -> str:
 
 def leaves(cloud: str, d: int, limit: int, deep: int) -> str:
     """CTEs ``pts``, ``nodes`` and ``leaves(cell, level, est)`` of the counted tree."""
+    key = morton([f"(x{a} >> {24 - deep})" for a in range(d)], deep)
+    # counted once at the deepest level; coarser nodes are sums
     return f"""
-pts AS ({cloud}),
-nodes AS (
-  SELECT level::INT AS level, (1::BIGINT << ({d} * level)::INT) + {morton([f'(x{a} >> (24 - level::INT))' for a in range(d)], deep)} AS cell, count(*)::BIGINT AS est
-  FROM pts, range(0, {deep + 1}) r(level) WHERE {' AND '.join(f'x{a} IS NOT NULL' for a in range(d))} GROUP BY 1, 2),
-cuts AS (SELECT cell, level FROM nodes WHERE est > {limit} AND level < {deep}),
-every AS (SELECT 1::BIGINT AS cell, 0 AS level UNION ALL SELECT cell * {1 << d} + o, level + 1 FROM cuts, range(0, {1 << d}) t(o)),
-leaves AS (SELECT e.cell, e.level::INT AS level, coalesce(n.est, 0)::BIGINT AS est FROM every e LEFT JOIN nodes n USING (cell) WHERE e.cell NOT IN (SELECT cell FROM cuts))
+pts AS MATERIALIZED ({cloud}),
+deepest AS MATERIALIZED (SELECT {1 << (d * deep)}::BIGINT + {key} AS cell, count(*)::BIGINT AS est FROM pts WHERE {' AND '.join(f'x{a} IS NOT NULL' for a in range(d))} GROUP BY 1),
+nodes AS MATERIALIZED (SELECT level::INT AS level, cell >> ({d} * ({deep} - level))::INT AS cell, sum(est)::BIGINT AS est FROM deepest, range(0, {deep + 1}) r(level) GROUP BY 1, 2),
+every AS (SELECT 1::BIGINT AS cell, 0 AS level UNION ALL SELECT cell * {1 << d} + o, level + 1 FROM nodes, range(0, {1 << d}) t(o) WHERE est > {limit} AND level < {deep}),
+leaves AS MATERIALIZED (
+  SELECT e.cell, e.level::INT AS level, coalesce(n.est, 0)::BIGINT AS est
+  FROM every e LEFT JOIN nodes n ON n.cell = e.cell WHERE e.level = {deep} OR coalesce(n.est, 0) <= {limit})
 """
 
 

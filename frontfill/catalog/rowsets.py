@@ -121,7 +121,7 @@ def q40_halo(spark, sf):
     return rows.halo(cloud, _built(cloud, 2, 400, BITS[2]), XY, 200_000)
 
 
-Q40 = f"""WITH RECURSIVE {C.leaves(C.ORDERS, 2, 400, BITS[2])}, {C.boxes(2, BITS[2])}
+Q40 = f"""WITH {C.leaves(C.ORDERS, 2, 400, BITS[2])}, {C.boxes(2, BITS[2])}
 SELECT p.id, b.cell AS target FROM pts p JOIN boxed b ON p.x0 >= b.lo0 - 200000 AND p.x0 < b.lo0 + b.side + 200000 AND p.x1 >= b.lo1 - 200000 AND p.x1 < b.lo1 + b.side + 200000"""
 
 

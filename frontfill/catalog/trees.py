@@ -40,7 +40,7 @@ def q15_work_tree_ties(spark, sf):
 
 
 def _tree_sql(cloud, d, limit, deep):
-    return f"WITH {C.leaves(cloud, d, limit, deep)} SELECT cell, level, est FROM leaves".replace("WITH ", "WITH RECURSIVE ", 1)
+    return f"WITH {C.leaves(cloud, d, limit, deep)} SELECT cell, level, est FROM leaves"
 
 
 def q16_uniform_tree(spark, sf):
@@ -95,7 +95,7 @@ def q19_neighbors_mixed(spark, sf):
 
 
 def _mixed(cloud, d, limit, deep, select):
-    return f"WITH RECURSIVE {C.leaves(cloud, d, limit, deep)}, {C.boxes(d, deep)} {select}"
+    return f"WITH {C.leaves(cloud, d, limit, deep)}, {C.boxes(d, deep)} {select}"
 
 
 Q19 = _mixed(C.EVENTS, 2, 200, 10, f"SELECT a.cell, b.cell AS nbr FROM boxed a JOIN boxed b ON a.cell <> b.cell AND {_touch(2)}")
@@ -153,7 +153,7 @@ def q48_occupancy(spark, sf):
     return measures.occupancy(rows.locate(cloud, cells, ["x0", "x1", "x2"]), cells, 500, 3)
 
 
-Q48 = f"WITH RECURSIVE {C.leaves(C.LINEITEM, 3, 500, BITS[3])} SELECT count(*) AS cells, min(est) AS fewest, sum(est)::BIGINT AS points, max(est) AS most, sum((est > 500)::INT)::BIGINT AS over, sum((est * 8 < 500)::INT)::BIGINT AS under FROM leaves"
+Q48 = f"WITH {C.leaves(C.LINEITEM, 3, 500, BITS[3])} SELECT count(*) AS cells, min(est) AS fewest, sum(est)::BIGINT AS points, max(est) AS most, sum((est > 500)::INT)::BIGINT AS over, sum((est * 8 < 500)::INT)::BIGINT AS under FROM leaves"
 
 
 def q49_tree_stats(spark, sf):
@@ -180,7 +180,7 @@ def q50_completeness(spark, sf):
     return measures.completeness(rows.locate(cloud.where("x0 < 8388608"), cells, ["x0", "x1"]), cells, 2)
 
 
-Q50 = f"""WITH RECURSIVE {C.leaves(C.ORDERS, 2, 100, BITS[2])},
+Q50 = f"""WITH {C.leaves(C.ORDERS, 2, 100, BITS[2])},
 l AS (SELECT level AS lv, cell AS leaf, est FROM leaves),
 p AS (SELECT leaf, count(*) AS n FROM pts JOIN l ON leaf = (1::BIGINT << (2 * lv)) + {C.morton(['(x0 >> (24 - lv))', '(x1 >> (24 - lv))'], BITS[2])} WHERE x0 < 8388608 GROUP BY leaf)
 SELECT leaf >> (2 * k)::INT AS node, (lv - k)::INT AS level, sum(coalesce(n, 0))::BIGINT AS n, sum(est)::BIGINT AS est
@@ -193,20 +193,20 @@ def q50b_limit_quantisation(spark, sf):
     return measures.distinct_trees([(n, _built(cloud, 2, n, 8)) for n in (32, 50, 100, 200, 500, 1000)])
 
 
-Q50B = "WITH RECURSIVE " + ", ".join(
-    C.leaves(C.CUSTOMER, 2, n, 8).replace("pts ", f"pts{n} ").replace("FROM pts", f"FROM pts{n}").replace("nodes", f"nodes{n}").replace("cuts", f"cuts{n}").replace("every", f"every{n}").replace("leaves", f"leaves{n}").replace(f"pts{n}{n}", f"pts{n}") for n in (32, 50, 100, 200, 500, 1000)
+Q50B = "WITH " + ", ".join(
+    C.leaves(C.CUSTOMER, 2, n, 8).replace("pts ", f"pts{n} ").replace("FROM pts", f"FROM pts{n}").replace("nodes", f"nodes{n}").replace("deepest", f"deepest{n}").replace("every", f"every{n}").replace("leaves", f"leaves{n}").replace(f"pts{n}{n}", f"pts{n}") for n in (32, 50, 100, 200, 500, 1000)
 ) + ", t AS (" + " UNION ALL ".join(f'SELECT {n}::BIGINT AS "limit", count(*) AS cells, sum((cell * 48271 + 11) % 2147483647)::BIGINT AS print FROM leaves{n}' for n in (32, 50, 100, 200, 500, 1000)) + ') SELECT *, min("limit") OVER (PARTITION BY cells, print) AS same_as FROM t'
 
 
 def q50c_merged_tree(spark, sf):
     """Leaves of the point tree with the work cell above each."""
     cloud = T.orders(spark, sf)
-    return tree.merged_tree(_built(cloud, 2, 640, 12), cloud, 2, 40).where("level <= 12").select("cell", "level", "est", "work_cell")
+    return tree.merged_tree(_built(cloud, 2, 640, 12), cloud, 2, 40).select("cell", "level", "est", "work_cell")
 
 
-Q50C = f"""WITH RECURSIVE {C.leaves(C.ORDERS, 2, 40, 24)},
-{C.leaves(C.ORDERS, 2, 640, 12).replace('pts ', 'wpts ').replace('FROM pts', 'FROM wpts').replace('nodes', 'wnodes').replace('cuts', 'wcuts').replace('every', 'wevery').replace('leaves', 'wleaves')}
-SELECT f.cell, f.level, f.est, w.cell AS work_cell FROM leaves f LEFT JOIN wleaves w ON w.level <= f.level AND w.cell = f.cell >> (2 * (f.level - w.level)) WHERE f.level <= 12"""
+Q50C = f"""WITH {C.leaves(C.ORDERS, 2, 40, 24)},
+{C.leaves(C.ORDERS, 2, 640, 12).replace('pts ', 'wpts ').replace('FROM pts', 'FROM wpts').replace('nodes', 'wnodes').replace('deepest', 'wdeepest').replace('every', 'wevery').replace('leaves', 'wleaves')}
+SELECT f.cell, f.level, f.est, w.cell AS work_cell FROM leaves f LEFT JOIN wleaves w ON w.level <= f.level AND w.cell = f.cell >> (2 * (f.level - w.level))"""
 
 QUERIES = {n: f for n, f in list(globals().items()) if n.startswith("q") and callable(f)}
 ORACLES = {
