@@ -36,7 +36,7 @@ def q08b_fill_phased_adaptive(spark, sf):
     from frontfill.sources.store import stored
 
     cells = stored(tree.balance(tree.build_estimated(spark, sp, 2, 60, deepest=5), 2))
-    pts = stored(fill.fill_phased(spark, D.disc(), sp, cells=cells).withColumn("ord", F.struct("stage", "phase", "rank", "seq")))
+    pts = stored(fill.fill_phased(spark, D.disc(), sp, cells=cells, one_task=True).withColumn("ord", F.struct("stage", "phase", "rank", "seq")))
     bad = measures.violations(pts.select("ord", "h_parent", *XY), XY, sp.most).agg(F.count("*").alias("violations"))
     out = pts.agg(F.sum((~D.disc().column(XY)).cast("long")).alias("outside"), (F.count("*") > 100).alias("filled"))
     free = measures.open_candidates(pts.select(*XY, "h"), D.disc(), 2, sp.most).agg(F.count("*").alias("open"))
@@ -226,7 +226,7 @@ def q58_refill(spark, sf):
     from frontfill.sources.store import stored
 
     old, new = S.Constant(h), S.Step(0, CENTRE, h, h // 2)
-    pts = stored(fill.fill_phased(spark, D.disc(), old, limit=32))
+    pts = stored(fill.fill_phased(spark, D.disc(), old, limit=32, one_task=True))
     out = stored(coordinated.refill(pts, XY, D.disc(), old, new))
     lost = pts.where(F.col("x0") < CENTRE).select(*XY).exceptAll(out.where("kept").select(*XY)).agg(F.count("*").alias("lost"))
     near = rows.within_pairs(out.where("not kept"), out, XY, h, F.lit(h // 2).cast("long")).where("a_x0 <> b_x0 or a_x1 <> b_x1").agg(F.count("*").alias("violations"))

@@ -8,8 +8,10 @@ from frontfill.catalog import recursion as R
 from frontfill.functions import domain as D
 from frontfill.functions import spacing as S
 from frontfill.functions.lattice import CENTRE, RADIUS, size_h, size_h3
+from frontfill.operators import measures
 from frontfill.operators.tree import uniform
-from frontfill.plans import fill
+from frontfill.plans import fill, seams
+from frontfill.sources.store import stored
 from frontfill.sources.tables import table
 
 DISC = f"({{x}}0 - {CENTRE}) * ({{x}}0 - {CENTRE}) + ({{x}}1 - {CENTRE}) * ({{x}}1 - {CENTRE}) <= {RADIUS * RADIUS}"
@@ -98,7 +100,7 @@ LEVEL7 = 3
 def q07_fill_phased(spark, sf):
     """The phase-coloured fill, point for point and in its canonical order."""
     h = size_h(_count(spark, sf, "customer") // 3)
-    return fill.fill_phased(spark, D.disc(), S.Constant(h), limit=32).select("x0", "x1", "h", "h_parent", "cell", "by_cell", "stage", "phase", "seq")
+    return fill.fill_phased(spark, D.disc(), S.Constant(h), limit=32, one_task=True).select("x0", "x1", "h", "h_parent", "cell", "by_cell", "stage", "phase", "seq")
 
 
 Q07 = R.phased(f"SELECT {R.H2.format(n='(count(*) // 3)')} AS h FROM customer", LEVEL7, DISC, LEVEL7)
@@ -107,7 +109,78 @@ Q07 = R.phased(f"SELECT {R.H2.format(n='(count(*) // 3)')} AS h FROM customer",
 def q07b_fill_phased_distributed(spark, sf):
     """M11 again with the distributed form forced: the same rows from several tasks and jobs."""
     h = size_h(_count(spark, sf, "customer") // 3)
-    return fill.fill_phased(spark, D.disc(), S.Constant(h), limit=32, one_task_below=0, cells_per_task=3).select("x0", "x1", "h", "h_parent", "cell", "by_cell", "stage", "phase", "seq")
+    return fill.fill_phased(spark, D.disc(), S.Constant(h), limit=32, cells_per_task=3).select("x0", "x1", "h", "h_parent", "cell", "by_cell", "stage", "phase", "seq")
+
+
+def q07c_fill_seams(spark, sf):
+    """All blocks at once, then the seams between them; the points in their canonical order."""
+    h = size_h(_count(spark, sf, "customer"))
+    return seams.fill_seams(spark, D.disc(), S.Constant(h), block_points=300)
+
+
+def q07d_seams_report(spark, sf):
+    """The same fill audited: no violation, nothing outside, nothing open, as dense as it must be, most of it in the first family."""
+    h = size_h(_count(spark, sf, "customer"))
+    pts = stored(q07c_fill_seams(spark, sf).withColumn("ord", F.struct("stage", "phase", "by_zone", "seq")))
+    xy = ["x0", "x1"]
+    bad = measures.violations(pts.select("ord", "h_parent", *xy), xy, h).agg(F.count("*").alias("violations"))
+    out = pts.agg(F.sum((~D.disc().column(xy)).cast("long")).alias("outside"), (F.count("*") * h * h / (3.14159265 * RADIUS * RADIUS)).alias("density"), F.avg((F.col("phase") == 0).cast("double")).alias("first"))
+    free = measures.open_candidates(pts.select(*xy, "h"), D.disc(), 2, h).agg(F.count("*").alias("open"))
+    return bad.crossJoin(out).crossJoin(free).select("violations", "outside", "open", (F.col("density").between(0.8, 1.1)).alias("dense"), (F.col("first") > 0.5).alias("mostly_first"))
+
+
+Q07D = "SELECT 0::BIGINT AS violations, 0::BIGINT AS outside, 0::BIGINT AS open, true AS dense, true AS mostly_first"
+
+
+def q01b_queue_orders(spark, sf):
+    """M1g: last-in-first-out and random fronts leave no violation and nothing open, in other points than the first-in-first-out one."""
+    h = size_h(_count(spark, sf, "supplier"))
+    out = None
+    xy = ["x0", "x1"]
+    for order in ("fifo", "lifo", "random"):
+        pts = stored(_cols(fill.fill_sequential(spark, D.disc(), S.Constant(h), fill.seeds_frame(spark, [C]), order=order), 2).withColumn("h", F.lit(h).cast("long")))
+        bad = measures.violations(pts.select(F.col("seq").alias("ord"), "h_parent", *xy), xy, h).agg(F.count("*").alias("violations"))
+        free = measures.open_candidates(pts.select(*xy, "h"), D.disc(), 2, h).agg(F.count("*").alias("open"))
+        row = bad.crossJoin(free).crossJoin(pts.agg((F.count("*") > 70).alias("filled"))).withColumn("queue", F.lit(order))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+Q01B = "SELECT 0::BIGINT AS violations, 0::BIGINT AS open, true AS filled, queue FROM (VALUES ('fifo'), ('lifo'), ('random')) t(queue)"
+BOX = ((1_000_000, 2_000_000), (13_000_000, 9_000_000))
+KITE = ((2_000_000, 2_000_000), (15_000_000, 4_000_000), (9_000_000, 14_000_000))
+H05 = 900_000
+
+
+def _border(seeds, domain):
+    import numpy as np
+
+    x = np.array(seeds, np.int64)
+    return fill.thin_seeds(x, np.full(len(x), H05), domain.mask(x), H05).tolist()
+
+
+def q05b_fill_box_boundary_seeds(spark, sf):
+    """M1e: a box filled from seeds on its faces."""
+    dom = D.Box(*BOX)
+    return _cols(fill.fill_sequential(spark, dom, S.Constant(H05), fill.seeds_frame(spark, fill.seeds_box(*BOX, H05))), 2)
+
+
+def q05c_fill_polygon_boundary_seeds(spark, sf):
+    """M1e: a polygon filled from seeds on its edges."""
+    dom = D.Polygon(KITE)
+    return _cols(fill.fill_sequential(spark, dom, S.Constant(H05), fill.seeds_frame(spark, fill.seeds_polygon(KITE, H05))), 2)
+
+
+def _seed_lists(seeds):
+    return ["[" + ", ".join(str(int(p[a])) for p in seeds) + "]::BIGINT[]" for a in range(2)]
+
+
+Q05B = R.sequential(f"SELECT {H05}::BIGINT AS h", _seed_lists(_border(fill.seeds_box(*BOX, H05), D.Box(*BOX))), " AND ".join(f"{{x}}{a} >= {BOX[0][a]} AND {{x}}{a} <= {BOX[1][a]}" for a in range(2)), "h", 2)
+_ODD = " + ".join(
+    f"(({{x}}1 >= {min(a, b, key=lambda c: c[1])[1]} AND {{x}}1 < {max(a, b, key=lambda c: c[1])[1]} AND ({{x}}0 - {min(a, b, key=lambda c: c[1])[0]}) * {abs(b[1] - a[1])} < ({{x}}1 - {min(a, b, key=lambda c: c[1])[1]}) * ({max(a, b, key=lambda c: c[1])[0] - min(a, b, key=lambda c: c[1])[0]}))::INT)"
+    for a, b in zip(KITE, (*KITE[1:], KITE[0]), strict=True)
+)
+Q05C = R.sequential(f"SELECT {H05}::BIGINT AS h", _seed_lists(_border(fill.seeds_polygon(KITE, H05), D.Polygon(KITE))), f"({_ODD}) % 2 = 1", "h", 2)
 
 
 def q29_seeds_per_cell(spark, sf):
@@ -147,8 +220,8 @@ def q30_seeds_relaxed(spark, sf):
 
 Q30 = "SELECT count(*) AS n, 0::BIGINT AS outside, true AS spread FROM nation"
 
-QUERIES = {f.__name__: f for f in (q01_fill_disc_seq, q02_fill_segment_seq, q03_fill_ball_seq, q04_fill_variable_seq, q05_fill_annulus_boundary_seeds, q06_fill_annulus_candidates, q07_fill_phased, q07b_fill_phased_distributed, q28_seeds_coarse, q29_seeds_per_cell, q30_seeds_relaxed)}
+QUERIES = {f.__name__: f for f in (q01_fill_disc_seq, q02_fill_segment_seq, q03_fill_ball_seq, q04_fill_variable_seq, q05_fill_annulus_boundary_seeds, q06_fill_annulus_candidates, q07_fill_phased, q07b_fill_phased_distributed, q07c_fill_seams, q07d_seams_report, q01b_queue_orders, q05b_fill_box_boundary_seeds, q05c_fill_polygon_boundary_seeds, q28_seeds_coarse, q29_seeds_per_cell, q30_seeds_relaxed)}
 ORACLES = {
     "q01_fill_disc_seq": Q01, "q02_fill_segment_seq": Q02, "q03_fill_ball_seq": Q03, "q04_fill_variable_seq": Q04, "q05_fill_annulus_boundary_seeds": Q05,
-    "q06_fill_annulus_candidates": Q06, "q07_fill_phased": Q07, "q07b_fill_phased_distributed": Q07, "q28_seeds_coarse": Q28, "q29_seeds_per_cell": Q29, "q30_seeds_relaxed": Q30,
+    "q06_fill_annulus_candidates": Q06, "q07_fill_phased": Q07, "q07b_fill_phased_distributed": Q07, "q07d_seams_report": Q07D, "q01b_queue_orders": Q01B, "q05b_fill_box_boundary_seeds": Q05B, "q05c_fill_polygon_boundary_seeds": Q05C, "q28_seeds_coarse": Q28, "q29_seeds_per_cell": Q29, "q30_seeds_relaxed": Q30,
 }

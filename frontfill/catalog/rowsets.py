@@ -125,6 +125,16 @@ Q40 = f"""WITH {C.leaves(C.ORDERS, 2, 400, BITS[2])}, {C.boxes(2, BITS[2])}
 SELECT p.id, b.cell AS target FROM pts p JOIN boxed b ON p.x0 >= b.lo0 - 200000 AND p.x0 < b.lo0 + b.side + 200000 AND p.x1 >= b.lo1 - 200000 AND p.x1 < b.lo1 + b.side + 200000"""
 
 
+def q40b_halo_share(spark, sf):
+    """Copies that halos of the orders' leaves add, over the rows themselves."""
+    cloud = T.orders(spark, sf)
+    all_ = rows.halo(cloud, _built(cloud, 2, 400, BITS[2]), XY, 200_000).agg(F.count("*").alias("held"))
+    return all_.crossJoin(cloud.agg(F.count("*").alias("points"))).select("held", "points", F.round((F.col("held") - F.col("points")) / F.col("points"), 9).alias("share"))
+
+
+Q40B = f"SELECT a.n AS held, b.n AS points, round((a.n - b.n) / b.n, 9) AS share FROM (SELECT count(*) AS n FROM ({Q40})) a, (SELECT count(*) AS n FROM ({C.ORDERS})) b"
+
+
 def _generators(spark, sf):
     s = T.table(spark, sf, "supplier").select(F.col("s_suppkey").alias("id"))
     return s.select("id", (mix(F.col("id")) % (1 << 24)).alias("x0"), (mix(mix(F.col("id"))) % (1 << 24)).alias("x1"))
@@ -235,6 +245,6 @@ ORACLES = {
     "q34b_thin_embeddings_3d": _T(C.embeddings(3), 1_500_000, 3), "q35_thin_by_group": _T(C.CUSTOMER, 2_000_000, group="grp"),
     "q35b_thin_documents_by_lang": _T(C.DOCUMENTS, 30_000, group="grp"),
     "q35c_thin_labelled": R.thinned(f"SELECT id, x0, x1, quality::VARCHAR AS q, 60000::BIGINT AS h FROM ({C.DOCUMENTS}) JOIN labels ON doc_id = id", 2, group="q"),
-    "q36_violations": Q36, "q37_nn_regularity": Q37, "q38_coverage": Q38, "q39_sep_64d": Q39, "q40_halo": Q40, "q41_voronoi_assign": Q41, "q44_random": Q44,
+    "q36_violations": Q36, "q37_nn_regularity": Q37, "q38_coverage": Q38, "q39_sep_64d": Q39, "q40_halo": Q40, "q40b_halo_share": Q40B, "q41_voronoi_assign": Q41, "q44_random": Q44,
     "q45_lattice_sq": Q45, "q46_lattice_hex": Q46, "q47_packing": Q47, "q59_domain_ops": Q59, "q60_candidates": Q60, "q61_semi_in_domain": Q61, "q62_anti_rejected": Q62,
 }

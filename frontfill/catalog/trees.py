@@ -114,6 +114,15 @@ def q21_point_tree_40(spark, sf):
     return _built(T.lineitem(spark, sf), 3, 40, BITS[3])
 
 
+def q21b_points_in_cell(spark, sf):
+    """The orders of one cell of the full tree, found by ranges of their coordinates."""
+    mid = (1 << 8) + 0b11000000
+    return tree.points_in_cell(T.orders(spark, sf), mid, 4).select("id", "x0", "x1")
+
+
+Q21B = f"SELECT id, x0, x1 FROM ({C.ORDERS}) WHERE x0 >> 20 = 8 AND x1 >> 20 = 8"
+
+
 def q22_balance(spark, sf):
     """After balancing no two neighbours differ by more than a level and the cells still tile the root cube."""
     cells = tree.balance(_built(T.events(spark, sf), 2, 200, 10), 2)
@@ -217,6 +226,6 @@ ORACLES = {
     "q15_work_tree_ties": _tree_sql(C.PART, 2, 8, 6),
     "q16_uniform_tree": Q16, "q17_estimates": Q17, "q18_neighbors_uniform": Q18, "q19_neighbors_mixed": Q19, "q20_spatial_levels": Q20,
     "q21_point_tree_40": _tree_sql(C.LINEITEM, 3, 40, BITS[3]),
-    "q22_balance": Q22, "q23_colours": Q23, "q48_occupancy": Q48, "q49_tree_stats": Q49, "q49b_claim_degree": Q49B, "q50_completeness": Q50,
+    "q21b_points_in_cell": Q21B, "q22_balance": Q22, "q23_colours": Q23, "q48_occupancy": Q48, "q49_tree_stats": Q49, "q49b_claim_degree": Q49B, "q50_completeness": Q50,
     "q50b_limit_quantisation": Q50B, "q50c_merged_tree": Q50C,
 }

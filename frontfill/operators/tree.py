@@ -184,10 +184,17 @@ def balance(cells: DataFrame, d: int, max_rounds: int = BITS) -> DataFrame:
 
 
 def check_width(cells: DataFrame, spacing, d: int) -> DataFrame:
-    """Leaves narrower than three spacings at their centre: ``cell, side, need``."""
+    """Leaves narrower than three times the largest spacing near them: ``cell, side, need``.
+
+    The spacing is read at the centre of the leaf, on its faces and corners, and at the same places of the leaves of its size around it.
+    """
     names = [f"x{a}" for a in range(d)]
-    mid = with_boxes(cells, d).withColumns({n: F.col(f"lo{a}") + F.call_function("div", F.col("side"), F.lit(2).cast("long")) for a, n in enumerate(names)})
-    return mid.withColumn("need", 3 * spacing.column(names) + 6).where("side < need").select("cell", "side", "need")
+    half = F.call_function("div", F.col("side"), F.lit(2).cast("long"))
+    shift = F.array(*(F.array(*(F.lit(o) for o in off)) for off in product((-2, -1, 0, 1, 2), repeat=d)))
+    seen = with_boxes(cells, d).select("cell", "side", *(f"lo{a}" for a in range(d)), F.explode(shift).alias("o"))
+    place = {n: F.greatest(F.lit(0), F.least(F.lit(SIDE - 1), F.col(f"lo{a}") + half * (F.col("o")[a] + 1))) for a, n in enumerate(names)}
+    most = seen.withColumns(place).groupBy("cell", "side").agg(F.max(3 * spacing.column(names) + 6).alias("need"))
+    return most.where("side < need").select("cell", "side", "need")
 
 
 def points_in_cell(points: DataFrame, cell: int, level: int, names: list[str] | None = None) -> DataFrame:

@@ -9,7 +9,9 @@ whatever the number of tasks, and a lost task is simply run again.
 
 from __future__ import annotations
 
+import math
 from functools import reduce
+from itertools import product
 from operator import and_
 
 import numpy as np
@@ -118,6 +120,24 @@ def seeds_boundary(centre: tuple[int, int], radius: int, h: int) -> list[tuple[i
     return [(centre[0] + round(radius * np.cos(2 * np.pi * i / n)), centre[1] + round(radius * np.sin(2 * np.pi * i / n))) for i in range(n)]
 
 
+def seeds_polygon(corners, h: int) -> list[tuple[int, int]]:
+    """Points along the edges of a polygon, corners included, at least about ``h`` apart on each edge."""
+    out = []
+    for (x0, y0), (x1, y1) in zip(corners, [*corners[1:], corners[0]], strict=True):
+        n = max(1, math.isqrt((x1 - x0) ** 2 + (y1 - y0) ** 2) // h)
+        out += [(x0 + (x1 - x0) * i // n, y0 + (y1 - y0) * i // n) for i in range(n)]
+    return out
+
+
+def seeds_box(lo: tuple[int, ...], hi: tuple[int, ...], h: int) -> list[tuple[int, ...]]:
+    """Points on all faces of a box, on a lattice of steps of at least about ``h``."""
+    axes = []
+    for a, b in zip(lo, hi, strict=True):
+        n = max(1, (b - a) // h)
+        axes.append([a + (b - a) * i // n for i in range(n + 1)])
+    return [p for p in product(*axes) if any(v in (a, b) for v, a, b in zip(p, lo, hi, strict=True))]
+
+
 def seeds_coarse(spark, domain: Domain, spacing: Spacing, start: DataFrame, factor: int, d: int = 2) -> DataFrame:
     """Seeds from a fill with ``factor`` times the spacing."""
     from frontfill.functions.spacing import Constant
@@ -248,15 +268,15 @@ def fill_phased(
     limit: int = 100,
     d: int = 2,
     k: int | None = None,
-    one_task_below: int = 200_000,
+    one_task: bool = False,
     cells_per_task: int | None = None,
     max_stages: int = 64,
 ) -> DataFrame:
     """Fill a region from one seed a cell: ``x0.., h, h_parent, cell, by_cell, stage, phase, seq, rank``.
 
     ``cells`` is a work tree (``cell, level``; neighbours at most one level apart); by default the full tree for the least spacing and
-    ``limit``.  Small fills run the same phases in one task and give the same rows.  The leaf table is broadcast; it has a row for
-    ``limit`` points, and its size is checked.
+    ``limit``.  ``one_task`` runs the same phases in one task and gives the same rows.  The leaf table is broadcast; it has a row for
+    ``limit`` points, and its size is checked.  For fills beyond that check, or faster ones, see ``seams.fill_seams``.
     """
     level_parity = cells is not None
     if cells is None:
@@ -269,7 +289,9 @@ def fill_phased(
     leaves = Leaves(flat["cell"].to_numpy(), flat["level"].to_numpy(), flat["colour"].to_numpy().astype(np.int64), d)
     names = [f"x{a}" for a in range(d)]
     schema = point_schema(d)
-    if expected_points(domain, spacing, d) <= one_task_below:
+    if one_task:
+        if expected_points(domain, spacing, d) > ONE_TASK:
+            raise ValueError("too many points for one task")
 
         def alone(_batches):
             for _ in _batches:

@@ -64,7 +64,7 @@ def w6_prebuild(spark, n: int, limit: int = 100) -> DataFrame:
     t0 = time.perf_counter()
     cells = stored(tree.spatial_levels(tree.uniform(spark, tree.uniform_level(limit, h, 2), 2), 2))
     t1 = time.perf_counter()
-    got = fill.fill_phased(spark, D.disc(), S.Constant(h), limit=limit).count()
+    got = fill.fill_phased(spark, D.disc(), S.Constant(h), limit=limit, one_task=True).count()
     t2 = time.perf_counter()
     return spark.createDataFrame([(got, cells.count(), t1 - t0, t2 - t1, (t1 - t0) / (t2 - t1))], "n long, cells long, prebuild_s double, fill_s double, share double")
 
@@ -92,7 +92,7 @@ def w9_variable(spark, cloud: DataFrame, limit: int = 200) -> DataFrame:
     """An adaptive balanced tree and a phased fill with spacing from a table's density."""
     sp = histogram_spacing(cloud)
     cells = stored(tree.balance(tree.build_estimated(spark, sp, 2, limit, deepest=5), 2))
-    pts = fill.fill_phased(spark, D.disc(), sp, cells=cells)
+    pts = fill.fill_phased(spark, D.disc(), sp, cells=cells, one_task=True)
     return pts.groupBy("stage").agg(F.count("*").alias("n"), F.min("h").alias("least"), F.max("h").alias("most"))
 
 
@@ -120,7 +120,7 @@ def w12_membership(spark, n: int) -> DataFrame:
     rows = []
     h = S.Constant(size_h(n))
     for name, dom in (("disc", D.disc()), ("polygon", costly_disc())):
-        for method, run in (("phased", lambda dom=dom: fill.fill_phased(spark, dom, h)), ("voronoi_kd", lambda dom=dom: baselines.voronoi_kd_fill(spark, dom, h))):
+        for method, run in (("phased", lambda dom=dom: fill.fill_phased(spark, dom, h, one_task=True)), ("voronoi_kd", lambda dom=dom: baselines.voronoi_kd_fill(spark, dom, h))):
             t = time.perf_counter()
             k = run().count()
             rows.append((name, method, k, time.perf_counter() - t))
@@ -138,7 +138,7 @@ def locks(spark, n: int, workers: int = 7, limit: int = 100, leaf: int = 40) ->
     coarse = S.Constant(h * 8)
     gens = np.concatenate([at, front_fill(at, np.arange(1), coarse.at, D.disc().mask, directions(2), coarse.h).x])
     v = baselines.voronoi_kd_arrays(D.disc(), S.Constant(h), gens)
-    pts = stored(fill.fill_phased(spark, D.disc(), S.Constant(h), limit=limit).withColumn("id", F.xxhash64(*XY)))
+    pts = stored(fill.fill_phased(spark, D.disc(), S.Constant(h), limit=limit, one_task=True).withColumn("id", F.xxhash64(*XY)))
     lk = baselines.leaf_lock_counts(pts, tree.build_counted(pts, leaf, 10, names=XY), XY, h).first()
     rows = [("claims", r["n"], r["attempts"], r["releases"] + r["entries"]), ("voronoi_kd", len(v["x"]), int(v["writes"]), int(v["reads"])), ("leaf_lock", pts.count(), lk["exclusive"], lk["shared"])]
     return spark.createDataFrame([(m, n_, e, s, e / n_, s / n_) for m, n_, e, s in rows], "method string, n long, exclusive long, other long, exclusive_per_insert double, other_per_insert double")

@@ -11,10 +11,10 @@ from frontfill.plans import baselines, fill
 MIDDLE = np.array([[CENTRE, CENTRE]], np.int64)
 
 
-@pytest.mark.parametrize("below", [200_000, 0])
-def test_phased_fill_raises(spark, below):
+@pytest.mark.parametrize("alone", [True, False])
+def test_phased_fill_raises(spark, alone):
     with pytest.raises(Exception, match="phased fill did not finish"):
-        fill.fill_phased(spark, D.disc(), S.Constant(400_000), limit=32, one_task_below=below, max_stages=2).count()
+        fill.fill_phased(spark, D.disc(), S.Constant(400_000), limit=32, one_task=alone, max_stages=2).count()
 
 
 def test_baseline_raises():

@@ -98,7 +98,7 @@ def test_phased_arrays_hold_the_spacing(level, n):
 def test_phased_needs_no_particular_tasks(spark):
     h = S.Constant(size_h(900))
     key = ["x0", "x1", "cell", "by_cell", "stage", "phase", "seq"]
-    runs = [sorted(map(tuple, fill.fill_phased(spark, D.disc(), h, limit=32, one_task_below=b, cells_per_task=c).select(*key).collect())) for b, c in ((10**9, None), (0, 1), (0, 5), (0, None))]
+    runs = [sorted(map(tuple, fill.fill_phased(spark, D.disc(), h, limit=32, one_task=b, cells_per_task=c).select(*key).collect())) for b, c in ((True, None), (False, 1), (False, 5), (False, None))]
     assert all(r == runs[0] for r in runs) and len(runs[0]) > 700
 
 
@@ -116,7 +116,7 @@ def test_edges_of_the_domain(spark):
     two = D.Ball((4_000_000, CENTRE), 1_500_000) | D.Ball((12_000_000, CENTRE), 1_500_000)
     one = fill.fill_sequential(spark, two, S.Constant(300_000), fill.seeds_frame(spark, [(4_000_000, CENTRE)]))
     assert one.where("x0 > 8000000").count() == 0
-    assert fill.fill_phased(spark, two, S.Constant(300_000), limit=40).where("x0 > 8000000").count() > 20
+    assert fill.fill_phased(spark, two, S.Constant(300_000), limit=40, one_task=True).where("x0 > 8000000").count() > 20
 
 
 @pytest.mark.parametrize("workers,quantum,order,seek", [(1, 64, "fifo", "none"), (7, 8, "shuffled", "none"), (12, 16, "fifo", "enqueued"), (40, 4, "shuffled", "far")])
