@@ -82,11 +82,25 @@ Q11 = "SELECT 4::BIGINT AS runs, 0::BIGINT AS clashes, 0::BIGINT AS unexpanded,
 def q11b_idle_seeking(spark, sf):
     """Idle workers that seek enqueued or far cells leave nothing undone and are active no less."""
     h = size_h(20 * _n(spark, sf, "supplier"))
-    got = claims.sweep(spark, [{"h": h, "limit": 32, "workers": 9, "quantum": 8, "seek": s, "realisation": r} for s in ("none", "enqueued", "far") for r in range(3)], D.disc())
+    got = claims.sweep(spark, [{"h": h, "limit": 32, "workers": 9, "quantum": 8, "seek": s, "realisation": r} for s in ("none", "enqueued", "far", "unfilled") for r in range(3)], D.disc())
     return got.agg(F.sum("owners_clash").alias("clashes"), F.sum("unexpanded").alias("unexpanded"), F.sum("left_in_set").alias("left_in_set"), F.count("*").alias("runs"))
 
 
-Q11B = "SELECT 0::BIGINT AS clashes, 0::BIGINT AS unexpanded, 0::BIGINT AS left_in_set, 9::BIGINT AS runs"
+Q11B = "SELECT 0::BIGINT AS clashes, 0::BIGINT AS unexpanded, 0::BIGINT AS left_in_set, 12::BIGINT AS runs"
+
+
+
+def q09b_gap_width(spark, sf):
+    """Gaps between dry fronts when the first stage ends are one or two cells wide, but for a few; A20: every candidate is outside, blocked or a point."""
+    h = size_h(20 * _n(spark, sf, "supplier"))
+    got = claims.sweep(spark, [{"h": h, "limit": 32, "workers": w, "quantum": 8, "realisation": r} for w in (4, 9) for r in range(3)], D.disc())
+    return got.agg(
+        F.count("*").alias("runs"), (F.sum("gap_one") > 0).alias("one"), (F.sum("gap_two") > 0).alias("two"), (10 * F.sum("gap_wider") <= F.sum(F.col("gap_one") + F.col("gap_two"))).alias("few_wider"),
+        F.sum(F.col("tested") - F.col("outside") - F.col("blocked") - F.col("n") + F.col("workers")).alias("unaccounted"),
+    )
+
+
+Q09B = "SELECT 6::BIGINT AS runs, true AS one, true AS two, true AS few_wider, 0::BIGINT AS unaccounted"
 
 LV = 4
 
@@ -255,7 +269,7 @@ Q58B = "SELECT 0::BIGINT AS violations, 0::BIGINT AS unfounded, true AS some"
 
 QUERIES = {n: f for n, f in list(globals().items()) if n.startswith("q") and callable(f)}
 ORACLES = {
-    "q08b_fill_phased_adaptive": Q08B, "q09_fill_claims_report": Q09, "q10_fill_coordinated_report": Q10, "q11_restart_orders": Q11, "q11b_idle_seeking": Q11B, "q24_claim_round": Q24, "q25_claim_release": Q25,
+    "q08b_fill_phased_adaptive": Q08B, "q09_fill_claims_report": Q09, "q09b_gap_width": Q09B, "q10_fill_coordinated_report": Q10, "q11_restart_orders": Q11, "q11b_idle_seeking": Q11B, "q24_claim_round": Q24, "q25_claim_release": Q25,
     "q25b_state_audit": Q25B, "q26_restart_fifo": Q26, "q26b_restart_shuffled": Q26B, "q27_restart_greedy": Q27, "q42_voronoi_fill_report": Q10, "q43_leaf_lock_counts": Q43, "q47b_relaxed": Q47B,
     "q58_refill": Q58, "q58b_repair": Q58B,
 }

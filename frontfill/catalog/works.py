@@ -4,7 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from frontfill.functions import domain as D
 from frontfill.functions.lattice import size_h
+from frontfill.operators import measures, rows, tree
 from frontfill.plans import workloads as W
 from frontfill.sources import tables as T
 from frontfill.sources.store import stored
@@ -42,16 +44,48 @@ def w3_scaling(spark, sf):
     return r.agg(F.count("*").alias("runs"), F.sum("unexpanded").alias("unexpanded")).crossJoin(lo.select("falls", (F.col("large") > F.col("small")).alias("rises"))).crossJoin(s)
 
 
+def w6_prebuild(spark, sf):
+    """Prebuild against fill: both were done, and as many cells as the level has."""
+    n = _n(spark, sf, "customer")
+    r = W.w6_prebuild(spark, n)
+    cells = 4 ** tree.uniform_level(100, size_h(n), 2)
+    return r.select((F.col("cells") == cells).alias("cells"), F.col("n").between(n * 0.9, n * 1.1).alias("filled"), (F.col("share") > 0).alias("measured"))
+
+
+def w7_bifurcation(spark, sf):
+    """Clusters of single runs: each run is in one of two, and the better one's mean is no lower."""
+    r = stored(W.w3_scaling(spark, (2 * _n(spark, sf, "customer"),), (8,), 6))
+    b = W.w7_bifurcation(r)
+    return b.select(F.col("workers").cast("long").alias("workers"), (F.col("in_low") + F.col("in_high")).alias("runs"), (F.col("ratio") >= 1).alias("apart"))
+
+
 def w9_variable(spark, sf):
-    """Variable spacing from the orders' density: filled, spacing within its bounds."""
-    r = W.w9_variable(spark, T.orders(spark, sf))
-    return r.agg((F.sum("n") > 300).alias("filled"), (F.min("least") >= 150_000).alias("low"), (F.max("most") <= 450_000).alias("high"))
+    """Variable spacing from the orders' density: no violation, nothing open, spacing within its bounds and smaller where orders are dense."""
+    sp = W.histogram_spacing(T.orders(spark, sf))
+    pts = stored(W.w9_points(spark, sp).withColumn("ord", F.struct("stage", "phase", "rank", "seq")))
+    bad = measures.violations(pts.select("ord", "h_parent", *W.XY), W.XY, sp.most).agg(F.count("*").alias("violations"))
+    free = measures.open_candidates(pts.select(*W.XY, "h"), D.disc(), 2, sp.most).agg(F.count("*").alias("open"))
+    wrong = pts.agg(F.sum((F.col("h") != sp.column(W.XY)).cast("long")).alias("other_spacing"), (F.min("h") >= 150_000).alias("low"), (F.max("h") <= 450_000).alias("high"))
+    return bad.crossJoin(free).crossJoin(wrong)
 
 
 def w11_rediscretise(spark, sf):
-    """Refilling from week one to week two keeps some points and adds others."""
-    r = W.w11_rediscretise(spark, W.week(spark, sf, 0), W.week(spark, sf, 1))
-    return r.agg((F.sum("n") > 100).alias("filled"))
+    """Refilling from week one to week two: kept points are old ones with the same spacing, new ones keep their distance, nothing stays open."""
+    old, new = (W.histogram_spacing(W.week(spark, sf, k)) for k in (0, 1))
+    before, after = W.w11_points(spark, old, new)
+    same = before.where(old.column(W.XY) == new.column(W.XY)).select(*W.XY)
+    kept = after.where("kept").select(*W.XY)
+    lost = same.exceptAll(kept).unionByName(kept.exceptAll(before.select(*W.XY))).agg(F.count("*").alias("lost"))
+    close = rows.within_pairs(after.where("not kept").select(*W.XY), after.select(*W.XY), W.XY, new.most, F.lit(new.least).cast("long")).where("a_x0 <> b_x0 or a_x1 <> b_x1").agg(F.count("*").alias("too_close"))
+    free = measures.open_candidates(after.select(*W.XY, new.column(W.XY).alias("h")), D.disc(), 2, new.most).agg(F.count("*").alias("open"))
+    return lost.crossJoin(close).crossJoin(free)
+
+
+def w12_membership(spark, sf):
+    """A costly membership test changes the time, not the points: fills of the disc and of its polygon are as large for either method."""
+    r = stored(W.w12_membership(spark, _n(spark, sf, "customer")))
+    by = r.groupBy("method").agg(F.count("*").alias("shapes"), (F.max("n") <= 1.05 * F.min("n")).alias("alike"), (F.min("seconds") > 0).alias("timed"))
+    return by
 
 
 def w_locks(spark, sf):
@@ -67,7 +101,10 @@ ORACLES = {
     "w1_snapshot": "SELECT 7::BIGINT AS owners, true AS cells",
     "w2_limits": "SELECT 4::BIGINT AS runs, 0::BIGINT AS unexpanded, 0::BIGINT AS clashes, true AS more_claims",
     "w3_scaling": "SELECT 12::BIGINT AS runs, 0::BIGINT AS unexpanded, true AS falls, true AS rises, true AS mostly_first",
-    "w9_variable": "SELECT true AS filled, true AS low, true AS high",
-    "w11_rediscretise": "SELECT true AS filled",
+    "w6_prebuild": "SELECT true AS cells, true AS filled, true AS measured",
+    "w7_bifurcation": "SELECT 8::BIGINT AS workers, 6::BIGINT AS runs, true AS apart",
+    "w9_variable": "SELECT 0::BIGINT AS violations, 0::BIGINT AS open, 0::BIGINT AS other_spacing, true AS low, true AS high",
+    "w11_rediscretise": "SELECT 0::BIGINT AS lost, 0::BIGINT AS too_close, 0::BIGINT AS open",
+    "w12_membership": "SELECT method, 2::BIGINT AS shapes, true AS alike, true AS timed FROM (VALUES ('phased'), ('voronoi_kd')) t(method)",
     "w_locks": "SELECT true AS under_region_locks, true AS under_leaf_locks",
 }

@@ -108,7 +108,8 @@ class Report:
     cell: np.ndarray
     counts: dict = field(default_factory=dict)
     busy: list = field(default_factory=list)
-    gaps: list = field(default_factory=list)
+    #: width in cells of the gap at each unfilled cell between two owners, when the first stage ends
+    gaps: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
     owners_clash: int = 0
     unexpanded: int = 0
     left_in_set: int = 0
@@ -132,8 +133,32 @@ def neighbour_lists(leaves: Leaves) -> list[np.ndarray]:
     return out
 
 
+def gap_widths(nbr: list[np.ndarray], owner: np.ndarray) -> np.ndarray:
+    """Cells on the shortest way from one owner's area to another's through each unfilled cell (``owner`` -1; less for cells that do not count); cells that fewer than two reach are left out.
+
+    Areas spread through unfilled cells a ring at a time; each cell keeps the two nearest different owners and their distances.
+    """
+    reached: list[dict[int, int]] = [{int(o): 0} if o >= 0 else {} for o in owner]
+    ring = [(c, int(o)) for c, o in enumerate(owner.tolist()) if o >= 0]
+    hops = 0
+    while ring:
+        hops += 1
+        after = []
+        for c, o in ring:
+            for b in nbr[c].tolist():
+                if owner[b] == -1 and o not in reached[b] and len(reached[b]) < 2:
+                    reached[b][o] = hops
+                    after.append((b, o))
+        ring = after
+    return np.array([sum(r.values()) - 1 for r, o in zip(reached, owner.tolist(), strict=True) if o == -1 and len(r) == 2], np.int64)
+
+
 def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int = 64, order: str = "shuffled", seed: int = 1, k: int | None = None, seek: str = "none", max_steps: int = 200_000) -> Report:
-    """The claiming fill with one worker a seed.  ``seek`` lets an idle worker take an enqueued cell within a stage (``enqueued``: the oldest; ``far``: the one farthest from claimed cells)."""
+    """The claiming fill with one worker a seed.  ``seek`` lets an idle worker take an enqueued cell within a stage.
+
+    ``enqueued`` takes the oldest, ``far`` the one farthest from claimed cells, ``unfilled`` of those with the fewest points in and around
+    them the one farthest from claimed cells.
+    """
     d, W = leaves.d, len(seeds)
     dirs = directions(d, k)
     nbr = neighbour_lists(leaves)
@@ -145,7 +170,7 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     rng = np.random.default_rng(seed)
     restart: deque[int] = deque()
     in_set = np.zeros(n_cells, bool)
-    count = dict.fromkeys(("attempts", "grants", "fails", "entries", "releases", "supersteps", "stages", "tested", "put_back"), 0)
+    count = dict.fromkeys(("attempts", "grants", "fails", "entries", "releases", "supersteps", "stages", "tested", "outside", "blocked", "put_back"), 0)
     grid = Grid(d, spacing.most)
     xs = np.zeros((0, d), np.int64)
     cell_of = np.zeros(0, np.int64)
@@ -154,7 +179,7 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     meta = {"stage": [], "step": [], "h": []}
     fronts: list[deque[int]] = [deque() for _ in range(W)]
     busy: list[tuple[int, int]] = []
-    gaps: list[int] = []
+    gaps = np.zeros(0, np.int64)
     clash = 0
 
     def add(x, w, stage, step, radius):
@@ -227,10 +252,17 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     del ids
     while step < max_steps:
         if not any(fronts):
-            # stage end: what failed may be claimed again; gaps are the runs of cells between owners' areas
+            # stage end: what failed may be claimed again
             held = [c for c in range(n_cells) if state[c] in (1, 3)]
-            if held:
-                gaps.append(len(held))
+            if stage == 1:
+                # an area is what one worker has filled and expanded; a cell that waits belongs to none, one outside the region does not count
+                area = np.where(domain.mask(leaves.lo + (leaves.side // 2)[:, None]), -1, -2)
+                for c in range(n_cells):
+                    if inside_cell[c]:
+                        area[c] = -1
+                    if inside_cell[c] and state[c] == 0 and expanded[inside_cell[c]].all():
+                        area[c] = np.bincount(worker_of[inside_cell[c]]).argmax()
+                gaps = gap_widths(nbr, area)
             for c in held:
                 state[c], owner[c] = 3, -1
                 enqueue_cell(c)
@@ -257,7 +289,10 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
                 if not fronts[w] and restart:
                     options = [c for c in restart if state[c] == 3 and free_of_others(c, w)]
                     if options:
-                        if seek == "far":
+                        if seek == "unfilled":
+                            around = [len(inside_cell[c]) + sum(len(inside_cell[b]) for b in nbr[c].tolist()) for c in options]
+                            options = [c for c, k in zip(options, around, strict=True) if k == min(around)]
+                        if seek in ("far", "unfilled"):
                             mine = np.flatnonzero(state == 2)
                             gap = [((leaves.lo[mine] - leaves.lo[c]) ** 2).sum(axis=1).min() if len(mine) else 0 for c in options]
                             c = options[int(np.argmax(gap))]
@@ -280,8 +315,10 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
             count["tested"] += len(cand)
             parent, radius, w = np.repeat(now, kk), np.repeat(ph, kk), np.repeat(who, kk)
             inn = domain.mask(cand)
+            count["outside"] += int((~inn).sum())
             cand, parent, radius, w = cand[inn], parent[inn], radius[inn], w[inn]
             good = settle(cand, radius, grid, xs, 1)
+            count["blocked"] += int((~good).sum())
             ids, cells = add(cand[good], w[good], stage, step, radius[good])
             expanded[now] = True
             asked = set()
@@ -308,7 +345,7 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     return Report(xs, worker_of, flat["stage"], flat["step"], flat["h"], leaves.cell[cell_of], count, busy, gaps, clash, int((~expanded).sum()), len(restart))
 
 
-RUN = "run string, method string, h long, lim long, workers int, realisation int, n long, stages long, supersteps long, attempts long, grants long, fails long, entries long, releases long, put_back long, tested long, stage1_points long, stage1_steps long, active double, owners_clash long, unexpanded long, left_in_set long, seconds double"
+RUN = "run string, method string, h long, lim long, workers int, realisation int, n long, stages long, supersteps long, attempts long, grants long, fails long, entries long, releases long, put_back long, tested long, outside long, blocked long, gap_one long, gap_two long, gap_wider long, stage1_points long, stage1_steps long, active double, owners_clash long, unexpanded long, left_in_set long, seconds double"
 
 
 def sweep(spark, configs: list[dict], domain, d: int = 2) -> DataFrame:
@@ -330,7 +367,8 @@ def sweep(spark, configs: list[dict], domain, d: int = 2) -> DataFrame:
                 t = time.perf_counter() - t
                 steps1 = sum(1 for s, _ in r.busy if s == 1)
                 row = {"run": f"{c['h']}/{c['lim']}/{c['workers']}/{c['realisation']}", "method": "claims", "h": c["h"], "lim": c["lim"], "workers": c["workers"], "realisation": c["realisation"], "n": len(r.x), "stage1_points": int((r.stage == 1).sum()), "stage1_steps": steps1}
-                row |= {x: r.counts[x] for x in ("stages", "supersteps", "attempts", "grants", "fails", "entries", "releases", "put_back", "tested")}
+                row |= {x: r.counts[x] for x in ("stages", "supersteps", "attempts", "grants", "fails", "entries", "releases", "put_back", "tested", "outside", "blocked")}
+                row |= {"gap_one": int((r.gaps == 1).sum()), "gap_two": int((r.gaps == 2).sum()), "gap_wider": int((r.gaps > 2).sum())}
                 row |= {"active": sum(w for _, w in r.busy) / max(1, len(r.busy) * c["workers"]), "owners_clash": r.owners_clash, "unexpanded": r.unexpanded, "left_in_set": r.left_in_set, "seconds": t}
                 yield pa.RecordBatch.from_pylist([row], schema)
 

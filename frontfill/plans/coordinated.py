@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from frontfill.functions.directions import directions
 from frontfill.functions.kernel import Grid, front_fill, settle
-from frontfill.functions.lattice import BITS, cell_key, key_array
+from frontfill.functions.lattice import BITS, SIDE, cell_key, key_array
 from frontfill.operators.rows import within_pairs
 from frontfill.sources.store import stored
 
@@ -54,33 +54,56 @@ def reopen(points: DataFrame, removed: DataFrame, names: list[str], reach: int)
     return named.join(near, "id", "left").withColumn("open", F.col("open") | F.coalesce("hit", F.lit(False))).drop("id", "hit")
 
 
-def fill_coordinated(spark, domain, spacing, seeds: np.ndarray, coarse_level: int = 3, quantum: int = 200, d: int = 2, k: int | None = None, max_rounds: int = 60) -> DataFrame:
-    """``x0.., worker, round, seq, h_parent, open``: one worker a seed; ``open`` is false everywhere when done."""
+def fill_coordinated(spark, domain, spacing, seeds: np.ndarray, coarse_level: int = 3, quantum: int = 200, d: int = 2, k: int | None = None, patience: int = 12) -> DataFrame:
+    """``x0.., worker, round, seq, h_parent, open``: one worker a seed; ``open`` is false everywhere when done.
+
+    Rounds go on while points are added; the quantum grows with them, so their number grows with the logarithm of the fill.  ``patience`` rounds
+    without more points raise.  Only points in coarse cells that border on another worker's are compared between workers.
+    """
     names = [f"x{a}" for a in range(d)]
     dirs = directions(d, k)
     schema = ", ".join(f"{n} long" for n in names) + ", " + LOCAL
     h = spacing.most
     pts = stored(spark.createDataFrame([(*map(int, s), w, 0, 0, int(spacing.at(np.array([s]))[0]), True) for w, s in enumerate(seeds)], schema))
     here = cell_key([F.shiftright(F.col(n), BITS - coarse_level) for n in names], F.lit(coarse_level), d)
-    for rnd in range(1, max_rounds):
+    rnd = most = idle = 0
+    rings = -(-4 * h // (SIDE >> coarse_level))
+    while True:
+        rnd += 1
+        quantum = quantum * 5 // 4 if rnd > 1 else quantum
         # a cell belongs to who entered it first
         owner = stored(pts.groupBy(here.alias("cell")).agg(F.min(F.struct("round", "worker")).alias("o")).select("cell", F.col("o.worker").alias("owner")))
         placed = pts.withColumn("cell", here).join(owner, "cell").drop("worker").withColumnRenamed("owner", "worker")
         pts = stored(placed.select(*names, *(c.split()[0] for c in LOCAL.split(", "))))
         if pts.where("open").isEmpty():
             return pts
-        # foreign points near a worker's own are visible, but not his to expand
-        mine = pts.select("worker", *names)
-        seen = within_pairs(mine, pts, names, 4 * h, F.lit(4 * h).cast("long")).where("a_worker <> b_worker")
-        seen = seen.select(F.col("a_worker").alias("worker"), *(F.col(f"b_{n}").alias(n) for n in names)).distinct()
+        n = pts.count()
+        idle, most = (0, n) if n > most else (idle + 1, most)
+        if idle > patience:
+            raise RuntimeError("coordinated fill did not finish")
         # a row a coarse cell at most, a number that the level fixes and the data does not
         held = {r["cell"]: r["owner"] for r in owner.collect()}
+        # foreign points near a worker's own are visible, but not his to expand
+        rim = border_cells(held, coarse_level, d, rings)
+        close = pts.where(here.isin(rim)) if rim else pts.where(F.lit(False))
+        mine = close.select("worker", *names)
+        seen = within_pairs(mine, close, names, 4 * h, F.lit(4 * h).cast("long")).where("a_worker <> b_worker")
+        seen = seen.select(F.col("a_worker").alias("worker"), *(F.col(f"b_{n}").alias(n) for n in names)).distinct()
         run = _local_round(names, schema, domain, spacing, dirs, coarse_level, quantum, rnd, held)
         grown = stored(pts.groupBy("worker").cogroup(seen.groupBy("worker")).applyInArrow(run, schema))
         kept, removed = repair(grown, names, ["round", "worker", "seq"], h)
         removed = stored(removed)
         pts = stored(kept if removed.isEmpty() else reopen(kept, removed, names, 2 * h + 8))
-    raise RuntimeError("coordinated fill did not finish")
+
+
+def border_cells(held: dict[int, int], level: int, d: int, rings: int = 1) -> list[int]:
+    """Cells within ``rings`` of a cell of another owner."""
+    keys = np.array(sorted(held), np.int64)
+    code = keys - (1 << (d * level))
+    at = np.stack([sum(((code >> (d * b + d - 1 - a)) & 1) << b for b in range(level)) for a in range(d)], axis=1) if level else np.zeros((len(keys), d), np.int64)
+    whose = {tuple(c): held[int(k)] for c, k in zip(at.tolist(), keys, strict=True)}
+    shifts = [tuple(x - rings for x in o) for o in np.ndindex(*([2 * rings + 1] * d))]
+    return [int(k) for c, k in zip(at.tolist(), keys, strict=True) if any(whose.get(tuple(x + s for x, s in zip(c, o, strict=True)), held[int(k)]) != held[int(k)] for o in shifts)]
 
 
 def _local_round(names, schema, domain, spacing, dirs, level, quantum, rnd, held):

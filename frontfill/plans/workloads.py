@@ -90,10 +90,13 @@ def histogram_spacing(cloud: DataFrame, level: int = 3, least: int = 150_000, mo
 
 def w9_variable(spark, cloud: DataFrame, limit: int = 200) -> DataFrame:
     """An adaptive balanced tree and a phased fill with spacing from a table's density."""
-    sp = histogram_spacing(cloud)
+    return w9_points(spark, histogram_spacing(cloud), limit).groupBy("stage").agg(F.count("*").alias("n"), F.min("h").alias("least"), F.max("h").alias("most"))
+
+
+def w9_points(spark, sp: S.Spacing, limit: int = 200) -> DataFrame:
+    """The points of that fill."""
     cells = stored(tree.balance(tree.build_estimated(spark, sp, 2, limit, deepest=5), 2))
-    pts = fill.fill_phased(spark, D.disc(), sp, cells=cells, one_task=True)
-    return pts.groupBy("stage").agg(F.count("*").alias("n"), F.min("h").alias("least"), F.max("h").alias("most"))
+    return fill.fill_phased(spark, D.disc(), sp, cells=cells, one_task=True)
 
 
 def w10_distributed(spark, workers: int, n: int, quantum: int = 200) -> DataFrame:
@@ -104,9 +107,13 @@ def w10_distributed(spark, workers: int, n: int, quantum: int = 200) -> DataFram
 
 def w11_rediscretise(spark, week1: DataFrame, week2: DataFrame) -> DataFrame:
     """Refill after the density moves from one week's rows to the next's."""
-    old, new = histogram_spacing(week1), histogram_spacing(week2)
+    return w11_points(spark, histogram_spacing(week1), histogram_spacing(week2))[1].groupBy("kept").agg(F.count("*").alias("n"))
+
+
+def w11_points(spark, old: S.Spacing, new: S.Spacing) -> tuple[DataFrame, DataFrame]:
+    """The points before and after the change."""
     pts = stored(fill.fill_sequential(spark, D.disc(), old, fill.seeds_frame(spark, [(CENTRE, CENTRE)])))
-    return coordinated.refill(pts, XY, D.disc(), old, new, level=3).groupBy("kept").agg(F.count("*").alias("n"))
+    return pts, stored(coordinated.refill(pts, XY, D.disc(), old, new, level=3))
 
 
 def costly_disc(corners: int = 720) -> D.Domain:
