@@ -90,6 +90,19 @@ Q11B = "SELECT 0::BIGINT AS clashes, 0::BIGINT AS unexpanded, 0::BIGINT AS left_
 
 
 
+def q09c_claims_in_tasks(spark, sf):
+    """The claiming fill with a task a worker and superstep has the points, owners and cells of the simulated one."""
+    h = size_h(5 * _n(spark, sf, "supplier"))
+    args = {"workers": 4, "limit": 32, "quantum": 1000}
+    one = claims.fill_claims(spark, D.disc(), S.Constant(h), **args).select(*XY, "h_parent", "worker", "cell")
+    many = claims.fill_claims_tasks(spark, D.disc(), S.Constant(h), **args).select(*XY, "h_parent", "worker", "cell")
+    both = one.withColumn("s", F.lit(1)).unionByName(many.withColumn("s", F.lit(-1))).groupBy(*XY, "h_parent", "worker", "cell").agg(F.sum("s").alias("s"))
+    return both.agg(F.sum((F.col("s") != 0).cast("long")).alias("differ"), (F.count("*") > 100).alias("filled"))
+
+
+Q09C = "SELECT 0::BIGINT AS differ, true AS filled"
+
+
 def q09b_gap_width(spark, sf):
     """Gaps between dry fronts when the first stage ends are one or two cells wide, but for a few; A20: every candidate is outside, blocked or a point."""
     h = size_h(20 * _n(spark, sf, "supplier"))
@@ -269,7 +282,7 @@ Q58B = "SELECT 0::BIGINT AS violations, 0::BIGINT AS unfounded, true AS some"
 
 QUERIES = {n: f for n, f in list(globals().items()) if n.startswith("q") and callable(f)}
 ORACLES = {
-    "q08b_fill_phased_adaptive": Q08B, "q09_fill_claims_report": Q09, "q09b_gap_width": Q09B, "q10_fill_coordinated_report": Q10, "q11_restart_orders": Q11, "q11b_idle_seeking": Q11B, "q24_claim_round": Q24, "q25_claim_release": Q25,
+    "q08b_fill_phased_adaptive": Q08B, "q09_fill_claims_report": Q09, "q09b_gap_width": Q09B, "q09c_claims_in_tasks": Q09C, "q10_fill_coordinated_report": Q10, "q11_restart_orders": Q11, "q11b_idle_seeking": Q11B, "q24_claim_round": Q24, "q25_claim_release": Q25,
     "q25b_state_audit": Q25B, "q26_restart_fifo": Q26, "q26b_restart_shuffled": Q26B, "q27_restart_greedy": Q27, "q42_voronoi_fill_report": Q10, "q43_leaf_lock_counts": Q43, "q47b_relaxed": Q47B,
     "q58_refill": Q58, "q58b_repair": Q58B,
 }

@@ -3,7 +3,7 @@
 The relational steps (`arbitrate`, `release`, `enqueue`, `greedy_restart`) state the rules as joins.  `simulate` runs the complete
 multi-stage algorithm for measurement: supersteps in which every worker expands a quantum of its front against the state of the
 superstep before, and all claims are decided together.  A simulation is one task; sweeps over workers, sizes, limits and realisations
-run one task a configuration.
+run one task a configuration.  `fill_claims_tasks` runs the same algorithm with a task a worker and superstep.
 """
 
 from __future__ import annotations
@@ -11,9 +11,11 @@ from __future__ import annotations
 import time
 from collections import defaultdict, deque
 from dataclasses import dataclass, field
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -153,11 +155,22 @@ def gap_widths(nbr: list[np.ndarray], owner: np.ndarray) -> np.ndarray:
     return np.array([sum(r.values()) - 1 for r, o in zip(reached, owner.tolist(), strict=True) if o == -1 and len(r) == 2], np.int64)
 
 
-def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int = 64, order: str = "shuffled", seed: int = 1, k: int | None = None, seek: str = "none", max_steps: int = 200_000) -> Report:
+def _candidates(x: np.ndarray, spacing, domain, dirs: np.ndarray):
+    """(candidates inside, place of the parent of each, radius of each, how many lie outside)"""
+    ph = spacing.at(x)
+    cand = propose(x, ph, dirs)
+    at, radius = np.repeat(np.arange(len(x)), cand.shape[1]), np.repeat(ph, cand.shape[1])
+    cand = cand.reshape(-1, x.shape[1])
+    inn = domain.mask(cand)
+    return cand[inn], at[inn], radius[inn], int((~inn).sum())
+
+
+def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int = 64, order: str = "shuffled", seed: int = 1, k: int | None = None, seek: str = "none", max_steps: int = 200_000, expand=None) -> Report:
     """The claiming fill with one worker a seed.  ``seek`` lets an idle worker take an enqueued cell within a stage.
 
     ``enqueued`` takes the oldest, ``far`` the one farthest from claimed cells, ``unfilled`` of those with the fewest points in and around
-    them the one farthest from claimed cells.
+    them the one farthest from claimed cells.  ``expand(points, workers, nbr)`` does the expansions of a superstep elsewhere and
+    returns the accepted candidates, their parents' places in the list and their radii, in order; claims are always decided here.
     """
     d, W = leaves.d, len(seeds)
     dirs = directions(d, k)
@@ -185,7 +198,8 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     def add(x, w, stage, step, radius):
         nonlocal xs, cell_of, expanded, worker_of
         first = len(xs)
-        grid.add(x, first)
+        if expand is None:
+            grid.add(x, first)
         xs = np.concatenate([xs, x])
         c = leaves.of(x)
         cell_of = np.concatenate([cell_of, c])
@@ -308,21 +322,20 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
         busy.append((stage, len(set(who))))
         if now:
             now, who = np.array(now), np.array(who)
-            ph = spacing.at(xs[now])
-            cand = propose(xs[now], ph, dirs)
-            kk = cand.shape[1]
-            cand = cand.reshape(-1, d)
-            count["tested"] += len(cand)
-            parent, radius, w = np.repeat(now, kk), np.repeat(ph, kk), np.repeat(who, kk)
-            inn = domain.mask(cand)
-            count["outside"] += int((~inn).sum())
-            cand, parent, radius, w = cand[inn], parent[inn], radius[inn], w[inn]
-            good = settle(cand, radius, grid, xs, 1)
-            count["blocked"] += int((~good).sum())
-            ids, cells = add(cand[good], w[good], stage, step, radius[good])
+            if expand is None:
+                cand, at, radius, outside = _candidates(xs[now], spacing, domain, dirs)
+                good = settle(cand, radius, grid, xs, 1)
+                cand, at, radius, blocked = cand[good], at[good], radius[good], int((~good).sum())
+            else:
+                cand, at, radius, outside, blocked = expand(xs[now], who, nbr)
+            count["tested"] += len(cand) + outside + blocked
+            count["outside"] += outside
+            count["blocked"] += blocked
+            w = who[at]
+            ids, cells = add(cand, w, stage, step, radius)
             expanded[now] = True
             asked = set()
-            for i, c, ww in zip(ids.tolist(), cells.tolist(), w[good].tolist(), strict=True):
+            for i, c, ww in zip(ids.tolist(), cells.tolist(), w.tolist(), strict=True):
                 if state[c] == 2 and owner[c] == ww:
                     fronts[ww].append(i)
                     front_count[c] += 1
@@ -393,3 +406,71 @@ def fill_claims(spark, domain, spacing, workers: int, limit: int = 100, d: int =
         yield pa.RecordBatch.from_pydict({c: pa.array(v, pa.int64()) for c, v in cols.items()})
 
     return spark.range(1).repartition(1).mapInArrow(run, "ord long, " + ", ".join(f"x{a} long" for a in range(d)) + ", h_parent long, worker long, stage long, step long, cell long")
+
+
+#: the coordinator of a parallel run holds the cells, the fronts and each point's cell; more points than this are refused
+MOST_POINTS = 20_000_000
+
+
+def fill_claims_tasks(spark, domain, spacing, workers: int, limit: int = 100, d: int = 2, quantum: int = 256, order: str = "shuffled", seed: int = 1, seek: str = "none", seeds=None, merge_every: int = 8) -> DataFrame:
+    """The claiming fill run in parallel: ``x0.., h_parent, worker, step, ord, cell``, the points of ``fill_claims``.
+
+    A superstep is one job: a task for each worker expands a quantum of its front against the stored points in the cells of that
+    quantum and next to them, and stores what it accepts.  Workers never hold neighbouring cells, which are three spacings wide, so no candidate of one can clash
+    with another's.  The coordinator decides the claims between the jobs, from the cells of the new points.
+    """
+    from frontfill.operators.tree import uniform_level
+    from frontfill.plans.fill import expected_points, seeds_relaxed, thin_seeds
+
+    if expected_points(domain, spacing, d) > MOST_POINTS:
+        raise ValueError("too many points for one coordinator; use seams.fill_seams")
+    leaves = Leaves.uniform(uniform_level(limit, spacing.most, d), d)
+    start = seeds_relaxed(domain, workers, d, seed=seed) if seeds is None else np.asarray(seeds, np.int64)
+    names = [f"x{a}" for a in range(d)]
+    dirs = directions(d)
+    schema = ", ".join(f"{c} long" for c in (*names, "h_parent", "worker", "step", "ord", "cell", "at", "outside", "blocked"))
+    first = thin_seeds(start, spacing.at(start), domain.mask(start), spacing.most)
+    owner = {tuple(p): w for w, p in reversed(list(enumerate(start.tolist())))}
+    rows = [(*p, int(spacing.at(np.array([p]))[0]), owner[tuple(p)], 0, i, int(leaves.cell[leaves.of(np.array([p]))[0]]), -1, 0, 0) for i, p in enumerate(first.tolist())]
+    parts = [stored(spark.createDataFrame(rows, schema))]
+    shared = spark.sparkContext.broadcast(leaves)
+    step = 0
+
+    def task(key, front, near):
+        front = front.sort_by("at")
+        x = np.stack([front[n].to_numpy() for n in names], axis=1)
+        known = np.stack([near[n].to_numpy() for n in names], axis=1) if near.num_rows else np.zeros((0, d), np.int64)
+        cand, at, radius, outside = _candidates(x, spacing, domain, dirs)
+        grid = Grid(d, spacing.most)
+        grid.add(known, 0)
+        good = settle(cand, radius, grid, known, 1)
+        x, n = cand[good], int(good.sum())
+        lv = shared.value
+        cols = {nm: x[:, a] for a, nm in enumerate(names)} | {"h_parent": radius[good], "cell": lv.cell[lv.of(x)], "ord": np.arange(n), "at": front["at"].to_numpy()[at[good]]}
+        cols |= {c: np.full(n, v) for c, v in (("worker", key[0].as_py()), ("step", front["step"][0].as_py()), ("outside", 0), ("blocked", 0))}
+        # one more row without a place carries the counts
+        told = {c: pa.array([*np.asarray(v).tolist(), None], pa.int64()) for c, v in cols.items()}
+        told["worker"] = pa.array([key[0].as_py()] * (n + 1), pa.int64())
+        told["outside"], told["blocked"] = (pa.array([0] * n + [v], pa.int64()) for v in (outside, int((~good).sum())))
+        return pa.table({c.split()[0]: told[c.split()[0]] for c in schema.split(", ")})
+
+    def expand(x, who, nbr):
+        nonlocal step, parts
+        step += 1
+        sent = spark.createDataFrame([(int(w), i, step, *map(int, p)) for i, (p, w) in enumerate(zip(x, who, strict=True))], "worker long, at long, step long, " + ", ".join(f"{n} long" for n in names))
+        # a row for each cell next to the quantum, bounded by it
+        seen = {(int(leaves.cell[b]), int(w)) for c, w in zip(leaves.of(x).tolist(), who.tolist(), strict=True) for b in (c, *nbr[c].tolist())}
+        cells = spark.createDataFrame(sorted(seen), "cell long, to long")
+        if len(parts) > merge_every:
+            parts = [stored(reduce(DataFrame.unionByName, parts))]
+        near = reduce(DataFrame.unionByName, parts).select("cell", *names).join(F.broadcast(cells), "cell").select(F.col("to").alias("worker"), *names)
+        out = stored(sent.groupBy("worker").cogroup(near.groupBy("worker")).applyInArrow(task, schema))
+        parts.append(out.where("x0 is not null"))
+        # what a superstep adds: at most the candidates of its quanta
+        got = out.select(*names, "h_parent", "worker", "ord", "at", "outside", "blocked").orderBy("worker", "ord").toArrow()
+        real = got.filter(pa.compute.is_valid(got["x0"]))
+        new = np.stack([real[n].to_numpy() for n in names], axis=1) if real.num_rows else np.zeros((0, d), np.int64)
+        return new, real["at"].to_numpy().astype(np.int64), real["h_parent"].to_numpy().astype(np.int64), pa.compute.sum(got["outside"]).as_py(), pa.compute.sum(got["blocked"]).as_py()
+
+    simulate(leaves, domain, spacing, start, quantum, order, seed, seek=seek, expand=expand)
+    return reduce(DataFrame.unionByName, parts).select(*names, "h_parent", "worker", "step", "ord", "cell")
