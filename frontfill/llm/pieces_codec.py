@@ -16,6 +16,7 @@ repeated rows are separate; other columns are ignored; an empty table gives no r
 
 from __future__ import annotations
 
+import math
 import re
 import zlib
 
@@ -31,18 +32,23 @@ MARK = "▁"
 LOW = -1e9
 
 
-def merge(text: str, id_of: dict[str, int], score: list[float]) -> list[str]:
+def merge(text: str, rank: dict[str, float]) -> list[str]:
     """Merging by rank, by definition: the best-ranked neighbours that make a piece are joined, the leftmost first, until none do."""
+    none = math.inf
     parts = list(text)
-    while True:
-        best, at = None, -1
-        for k in range(len(parts) - 1):
-            i = id_of.get(parts[k] + parts[k + 1])
-            if i is not None and (best is None or score[i] > best):
-                best, at = score[i], k
-        if at < 0:
-            return parts
-        parts[at : at + 2] = [parts[at] + parts[at + 1]]
+    pairs = [rank.get(x + y, none) for x, y in zip(parts, parts[1:], strict=False)]
+    while pairs:
+        best = min(pairs)
+        if best == none:
+            break
+        k = pairs.index(best)
+        parts[k : k + 2] = [parts[k] + parts[k + 1]]
+        del pairs[k]
+        if k:
+            pairs[k - 1] = rank.get(parts[k - 1] + parts[k], none)
+        if k < len(pairs):
+            pairs[k] = rank.get(parts[k] + parts[k + 1], none)
+    return parts
 
 
 class PieceModel:
@@ -66,8 +72,9 @@ class PieceModel:
         self.byte_of = {i: b for b, i in enumerate(byte_ids)}
         self.id_of = {p: i for i, p in enumerate(pieces) if usable[i] and p}
         self.merged = merged
-        self.apart = Misses(lambda ab: merge(ab[0] + ab[1], self.id_of, scores) == [ab[0], ab[1]], limit=400_000)
-        self.whole = Misses(lambda p: merge(p, self.id_of, scores) == [p], limit=400_000)
+        rank = {p: -scores[i] for p, i in self.id_of.items()}
+        self.apart = Misses(lambda ab: merge(ab[0] + ab[1], rank) == [*ab], limit=400_000)
+        self.whole = Misses(lambda p: merge(p, rank) == [p], limit=400_000)
         walk = self.merged_path if merged else self.path
         self.cache = Misses(lambda u: np.array(walk(u), np.uint32).tobytes(), limit=200_000)
 
@@ -115,20 +122,27 @@ class PieceModel:
         """Ids that merging by rank gives one unit, found left to right."""
         n = len(unit)
         last: list[str | None] = [None] * (n + 1)
-        ends: list[list[str]] = [[] for _ in range(n + 1)]
-        for end, (i, _, _) in self.auto.iter(unit):
-            ends[end + 1].append(self.pieces[i])
-        for end in range(1, n + 1):
+        last[0] = ""
+        pieces, whole, apart = self.pieces, self.whole, self.apart
+
+        def reach(end: int, p: str) -> None:
+            before = last[end - len(p)]
+            if before is not None and whole[p] and (not before or apart[before, p]):
+                last[end] = p
+
+        done = 0
+        for at, (i, _, _) in self.auto.iter(unit):
             # a character that is no piece stays as it is until bytes stand for it
-            if unit[end - 1] not in self.id_of:
-                ends[end].append(unit[end - 1])
-            for p in ends[end]:
-                start = end - len(p)
-                if self.whole[p] and (not start or (last[start] is not None and self.apart[last[start], p])):
-                    last[end] = p
-                    break
-            else:
-                raise RuntimeError("no piece ends here")
+            while done < at:
+                done += 1
+                if last[done] is None and unit[done - 1] not in self.id_of:
+                    reach(done, unit[done - 1])
+            if last[at + 1] is None:
+                reach(at + 1, pieces[i])
+        while done < n:
+            done += 1
+            if last[done] is None and unit[done - 1] not in self.id_of:
+                reach(done, unit[done - 1])
         out: list[int] = []
         at = n
         while at:
