@@ -32,8 +32,11 @@ MARK = "▁"
 LOW = -1e9
 
 
-def merge(text: str, rank: dict[str, float]) -> list[str]:
-    """Merging by rank, by definition: the best-ranked neighbours that make a piece are joined, the leftmost first, until none do."""
+def merge(text: str, rank: dict[str, float], made: bool = False) -> list[str]:
+    """Merging by rank, by definition: the best-ranked neighbours that make a piece are joined, the leftmost first, until none do.
+
+    ``made`` asks for the two parts that the last join puts together, and for none where it does not leave one piece.
+    """
     none = math.inf
     parts = list(text)
     pairs = [rank.get(x + y, none) for x, y in zip(parts, parts[1:], strict=False)]
@@ -42,13 +45,15 @@ def merge(text: str, rank: dict[str, float]) -> list[str]:
         if best == none:
             break
         k = pairs.index(best)
+        if made and len(pairs) == 1:
+            return parts
         parts[k : k + 2] = [parts[k] + parts[k + 1]]
         del pairs[k]
         if k:
             pairs[k - 1] = rank.get(parts[k - 1] + parts[k], none)
         if k < len(pairs):
             pairs[k] = rank.get(parts[k] + parts[k + 1], none)
-    return parts
+    return [] if made else parts
 
 
 class PieceModel:
@@ -63,8 +68,11 @@ class PieceModel:
         chars: set[str] = set()
         for i, p in enumerate(pieces):
             if usable[i] and p:
-                self.auto.add_word(p, (i, len(p), scores[i]))
+                self.auto.add_word(p, (i, len(p), scores[i], p))
                 chars |= set(p)
+        # a character of some piece that is none itself stays as it is until bytes stand for it
+        for c in chars - {p for i, p in enumerate(pieces) if usable[i]}:
+            self.auto.add_word(c, (-1, 1, LOW, c))
         self.auto.make_automaton()
         known = "".join(re.escape(c) for c in sorted(chars - {MARK})) or MARK
         self.units = re.compile(f"{MARK}*[{known}]+|{MARK}+|[^{known}{MARK}]+")
@@ -72,9 +80,10 @@ class PieceModel:
         self.byte_of = {i: b for b, i in enumerate(byte_ids)}
         self.id_of = {p: i for i, p in enumerate(pieces) if usable[i] and p}
         self.merged = merged
-        rank = {p: -scores[i] for p, i in self.id_of.items()}
-        self.apart = Misses(lambda ab: merge(ab[0] + ab[1], rank) == [*ab], limit=400_000)
-        self.whole = Misses(lambda p: merge(p, rank) == [p], limit=400_000)
+        self.rank = {p: -scores[i] for p, i in self.id_of.items()}
+        self.made = Misses(lambda p: merge(p, self.rank, made=True), limit=400_000)
+        self.whole = Misses(lambda p: len(p) == 1 or bool(self.made[p]), limit=400_000)
+        self.apart = Misses(lambda ab: self.stay_apart(*ab), limit=400_000)
         walk = self.merged_path if merged else self.path
         self.cache = Misses(lambda u: np.array(walk(u), np.uint32).tobytes(), limit=200_000)
 
@@ -100,7 +109,7 @@ class PieceModel:
             # one character by its bytes, where nothing better ends here
             top, how = best[end - 1] + LOW, -1
             while nxt is not None and nxt[0] == end - 1:
-                i, size, score = nxt[1]
+                i, size, score, _ = nxt[1]
                 s = best[end - size] + score
                 if s > top or (s == top and how >= 0 and i < how):
                     top, how = s, i
@@ -118,31 +127,46 @@ class PieceModel:
                 at -= len(self.pieces[i])
         return out[::-1]
 
+    def stay_apart(self, a: str, b: str) -> bool:
+        """Whether merging leaves two whole pieces side by side.
+
+        Back in time from the finished pieces: undoing the later of the two last merges gives the neighbours that met at the border before it.
+        If any such two make a piece of a better rank than the merge that came next there, they would have been joined instead.
+        """
+        rank, made = self.rank, self.made
+        early = -math.inf
+        made_a, made_b = (rank[a] if len(a) > 1 else early), (rank[b] if len(b) > 1 else early)
+        bound, tie = math.inf, False
+        while True:
+            r = rank.get(a + b)
+            if r is not None and (r < bound or (tie and r == bound)):
+                return False
+            if made_a == early and made_b == early:
+                return True
+            if made_a > made_b:
+                # leftmost first: a join across the border comes after an equal one inside the left piece
+                bound, tie = made_a, False
+                a = made[a][1]
+                made_a = rank[a] if len(a) > 1 else early
+            else:
+                bound, tie = made_b, True
+                b = made[b][0]
+                made_b = rank[b] if len(b) > 1 else early
+
     def merged_path(self, unit: str) -> list[int]:
         """Ids that merging by rank gives one unit, found left to right."""
+        if not self.known.match(unit):
+            # characters of no piece: the cut puts them in units of their own
+            return [self.byte_ids[b] for b in unit.encode()]
         n = len(unit)
         last: list[str | None] = [None] * (n + 1)
         last[0] = ""
-        pieces, whole, apart = self.pieces, self.whole, self.apart
-
-        def reach(end: int, p: str) -> None:
-            before = last[end - len(p)]
-            if before is not None and whole[p] and (not before or apart[before, p]):
-                last[end] = p
-
-        done = 0
-        for at, (i, _, _) in self.auto.iter(unit):
-            # a character that is no piece stays as it is until bytes stand for it
-            while done < at:
-                done += 1
-                if last[done] is None and unit[done - 1] not in self.id_of:
-                    reach(done, unit[done - 1])
+        whole, apart = self.whole, self.apart
+        for at, (_, size, _, p) in self.auto.iter(unit):
             if last[at + 1] is None:
-                reach(at + 1, pieces[i])
-        while done < n:
-            done += 1
-            if last[done] is None and unit[done - 1] not in self.id_of:
-                reach(done, unit[done - 1])
+                before = last[at + 1 - size]
+                if before is not None and whole[p] and (not before or apart[before, p]):
+                    last[at + 1] = p
         out: list[int] = []
         at = n
         while at:

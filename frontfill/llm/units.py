@@ -43,18 +43,25 @@ def vocabulary_path(name: str) -> str:
 
 
 class Misses(dict):
-    """A bounded cache that computes what it lacks; long units are computed each time."""
+    """A bounded cache that computes what it lacks; long units are computed each time.
+
+    Full, it stays as it is while four times as many misses go by, so that units met early, the frequent ones, are not lost at once; then it starts anew.
+    """
 
     def __init__(self, compute, start=None, limit: int = MAX_CACHE):
         super().__init__(start or {})
-        self.compute, self.limit = compute, limit
+        self.compute, self.limit, self.passed = compute, limit, 0
 
     def __missing__(self, unit):
         value = self.compute(unit)
         if len(unit) <= MAX_UNIT:
-            if len(self) >= self.limit:
-                self.clear()
-            self[unit] = value
+            if len(self) < self.limit:
+                self[unit] = value
+            else:
+                self.passed += 1
+                if self.passed >= 4 * self.limit:
+                    self.clear()
+                    self.passed = 0
         return value
 
 
