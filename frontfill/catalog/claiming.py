@@ -92,7 +92,7 @@ Q11B = "SELECT 0::BIGINT AS clashes, 0::BIGINT AS unexpanded, 0::BIGINT AS left_
 
 def q09c_claims_in_tasks(spark, sf):
     """The claiming fill with a task a worker and superstep has the points, owners and cells of the simulated one."""
-    h = size_h(5 * _n(spark, sf, "supplier"))
+    h = size_h(max(500, 5 * _n(spark, sf, "supplier")))
     args = {"workers": 4, "limit": 32, "quantum": 1000}
     one = claims.fill_claims(spark, D.disc(), S.Constant(h), **args).select(*XY, "h_parent", "worker", "cell")
     many = claims.fill_claims_tasks(spark, D.disc(), S.Constant(h), **args).select(*XY, "h_parent", "worker", "cell")
@@ -105,7 +105,7 @@ Q09C = "SELECT 0::BIGINT AS differ, true AS filled"
 
 def q09b_gap_width(spark, sf):
     """Gaps between dry fronts when the first stage ends are one or two cells wide, but for a few; A20: every candidate is outside, blocked or a point."""
-    h = size_h(20 * _n(spark, sf, "supplier"))
+    h = size_h(max(2000, 20 * _n(spark, sf, "supplier")))
     got = claims.sweep(spark, [{"h": h, "limit": 32, "workers": w, "quantum": 8, "realisation": r} for w in (4, 9) for r in range(3)], D.disc())
     return got.agg(
         F.count("*").alias("runs"), (F.sum("gap_one") > 0).alias("one"), (F.sum("gap_two") > 0).alias("two"), (10 * F.sum("gap_wider") <= F.sum(F.col("gap_one") + F.col("gap_two"))).alias("few_wider"),

@@ -112,16 +112,16 @@ def q07b_fill_phased_distributed(spark, sf):
     return fill.fill_phased(spark, D.disc(), S.Constant(h), limit=32, cells_per_task=3).select("x0", "x1", "h", "h_parent", "cell", "by_cell", "stage", "phase", "seq")
 
 
-def q07c_fill_seams(spark, sf):
+def fill_seams_points(spark, sf):
     """All blocks at once, then the seams between them; the points in their canonical order."""
     h = size_h(_count(spark, sf, "customer"))
     return seams.fill_seams(spark, D.disc(), S.Constant(h), block_points=300)
 
 
 def q07d_seams_report(spark, sf):
-    """The same fill audited: no violation, nothing outside, nothing open, as dense as it must be, most of it in the first family."""
-    h = size_h(_count(spark, sf, "customer"))
-    pts = stored(q07c_fill_seams(spark, sf).withColumn("ord", F.struct("stage", "phase", "by_zone", "seq")))
+    """M10, M11 by blocks and seams, audited: no violation, nothing outside, nothing open, as dense as it must be, most of it in the first family."""
+    h = size_h(max(1500, _count(spark, sf, "customer")))
+    pts = stored(seams.fill_seams(spark, D.disc(), S.Constant(h), block_points=300).withColumn("ord", F.struct("stage", "phase", "by_zone", "seq")))
     xy = ["x0", "x1"]
     bad = measures.violations(pts.select("ord", "h_parent", *xy), xy, h).agg(F.count("*").alias("violations"))
     out = pts.agg(F.sum((~D.disc().column(xy)).cast("long")).alias("outside"), (F.count("*") * h * h / (3.14159265 * RADIUS * RADIUS)).alias("density"), F.avg((F.col("phase") == 0).cast("double")).alias("first"))
@@ -141,7 +141,7 @@ def q01b_queue_orders(spark, sf):
         pts = stored(_cols(fill.fill_sequential(spark, D.disc(), S.Constant(h), fill.seeds_frame(spark, [C]), order=order), 2).withColumn("h", F.lit(h).cast("long")))
         bad = measures.violations(pts.select(F.col("seq").alias("ord"), "h_parent", *xy), xy, h).agg(F.count("*").alias("violations"))
         free = measures.open_candidates(pts.select(*xy, "h"), D.disc(), 2, h).agg(F.count("*").alias("open"))
-        row = bad.crossJoin(free).crossJoin(pts.agg((F.count("*") > 70).alias("filled"))).withColumn("queue", F.lit(order))
+        row = bad.crossJoin(free).crossJoin(pts.agg((F.count("*") > 0.7 * _count(spark, sf, "supplier")).alias("filled"))).withColumn("queue", F.lit(order))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -220,7 +220,7 @@ def q30_seeds_relaxed(spark, sf):
 
 Q30 = "SELECT count(*) AS n, 0::BIGINT AS outside, true AS spread FROM nation"
 
-QUERIES = {f.__name__: f for f in (q01_fill_disc_seq, q02_fill_segment_seq, q03_fill_ball_seq, q04_fill_variable_seq, q05_fill_annulus_boundary_seeds, q06_fill_annulus_candidates, q07_fill_phased, q07b_fill_phased_distributed, q07c_fill_seams, q07d_seams_report, q01b_queue_orders, q05b_fill_box_boundary_seeds, q05c_fill_polygon_boundary_seeds, q28_seeds_coarse, q29_seeds_per_cell, q30_seeds_relaxed)}
+QUERIES = {f.__name__: f for f in (q01_fill_disc_seq, q02_fill_segment_seq, q03_fill_ball_seq, q04_fill_variable_seq, q05_fill_annulus_boundary_seeds, q06_fill_annulus_candidates, q07_fill_phased, q07b_fill_phased_distributed, q07d_seams_report, q01b_queue_orders, q05b_fill_box_boundary_seeds, q05c_fill_polygon_boundary_seeds, q28_seeds_coarse, q29_seeds_per_cell, q30_seeds_relaxed)}
 ORACLES = {
     "q01_fill_disc_seq": Q01, "q02_fill_segment_seq": Q02, "q03_fill_ball_seq": Q03, "q04_fill_variable_seq": Q04, "q05_fill_annulus_boundary_seeds": Q05,
     "q06_fill_annulus_candidates": Q06, "q07_fill_phased": Q07, "q07b_fill_phased_distributed": Q07, "q07d_seams_report": Q07D, "q01b_queue_orders": Q01B, "q05b_fill_box_boundary_seeds": Q05B, "q05c_fill_polygon_boundary_seeds": Q05C, "q28_seeds_coarse": Q28, "q29_seeds_per_cell": Q29, "q30_seeds_relaxed": Q30,

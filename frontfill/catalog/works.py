@@ -46,7 +46,7 @@ def w3_scaling(spark, sf):
 
 def w6_prebuild(spark, sf):
     """Prebuild against fill: both were done, and as many cells as the level has."""
-    n = _n(spark, sf, "customer")
+    n = max(1500, _n(spark, sf, "customer"))
     r = W.w6_prebuild(spark, n)
     cells = 4 ** tree.uniform_level(100, size_h(n), 2)
     return r.select((F.col("cells") == cells).alias("cells"), F.col("n").between(n * 0.9, n * 1.1).alias("filled"), (F.col("share") > 0).alias("measured"))
@@ -83,7 +83,7 @@ def w11_rediscretise(spark, sf):
 
 def w12_membership(spark, sf):
     """A costly membership test changes the time, not the points: fills of the disc and of its polygon are as large for either method."""
-    r = stored(W.w12_membership(spark, _n(spark, sf, "customer")))
+    r = stored(W.w12_membership(spark, max(1500, _n(spark, sf, "customer"))))
     by = r.groupBy("method").agg(F.count("*").alias("shapes"), (F.max("n") <= 1.05 * F.min("n")).alias("alike"), (F.min("seconds") > 0).alias("timed"))
     return by
 
