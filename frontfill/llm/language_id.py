@@ -9,7 +9,7 @@ Each language has its own alphabet: letters of its sample have symbols of their
 letters that the sample lacks match nothing, so scripts tell languages apart.  White space, digits and all else are three classes.
 
 The automata are built once, on the driver, and laid out as dense tables of next states with a mark for what a step closes; the tables are
-broadcast, with a size that the sample's bound limits (two states a symbol of sample, 256 bytes a state).  A batch of documents
+broadcast, packed, with a size that the sample's bound limits (two states a symbol of sample, 256 bytes a state once unpacked).  A batch of documents
 advances one symbol at a time in array operations: all blocks of ``BLOCK`` symbols of all documents and all
 languages at once.  The parse restarts at each block of a long text; every symbol of every text takes part.
 
@@ -27,6 +27,7 @@ from __future__ import annotations
 import math
 import sys
 import unicodedata
+import zlib
 from array import array
 from collections import Counter
 
@@ -176,6 +177,13 @@ class CrossParser:
         self.table = np.concatenate(tables) if tables else np.zeros(0, np.int32)
         self.weight = np.array([math.log2(len(samples[k])) for k in self.names])
 
+    def __getstate__(self) -> dict:
+        # most entries repeat the start's row: packed for the way to the workers and for the disk there
+        return self.__dict__ | {k: zlib.compress(getattr(self, k).tobytes(), 1) for k in ("table", "place")}
+
+    def __setstate__(self, state: dict) -> None:
+        self.__dict__.update(state | {k: np.frombuffer(zlib.decompress(state[k]), np.int32) for k in ("table", "place")})
+
     def codes(self, text: str) -> np.ndarray:
         return np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32)
 
