@@ -18,6 +18,7 @@ from frontfill.functions.directions import directions
 from frontfill.functions.kernel import Grid, front_fill, settle
 from frontfill.functions.lattice import BITS, SIDE, cell_key, key_array
 from frontfill.operators.rows import within_pairs
+from frontfill.plans import seams
 from frontfill.sources.store import stored
 
 LOCAL = "worker long, round long, seq long, h_parent long, open boolean"
@@ -146,18 +147,41 @@ def _local_round(names, schema, domain, spacing, dirs, level, quantum, rnd, held
     return run
 
 
-def refill(points: DataFrame, names: list[str], domain, old, new, level: int = 4, k: int | None = None) -> DataFrame:
+def _split(points: DataFrame, names: list[str], old, new, level: int) -> tuple[DataFrame, object]:
+    """The points with ``same``: is the spacing at the centre of their cell unchanged; and the function that says where it is not."""
+    side = 1 << (BITS - level)
+    mids = {n: F.call_function("div", F.col(n), F.lit(side).cast("long")) * side + side // 2 for n in names}
+    there = points.select(*names, *(m.alias(f"m_{n}") for n, m in mids.items()))
+    same = old.column([f"m_{n}" for n in names]) == new.column([f"m_{n}" for n in names])
+
+    def changed(x: np.ndarray) -> np.ndarray:
+        mid = x // side * side + side // 2
+        return old.at(mid) != new.at(mid)
+
+    return there.select(*names, same.alias("same")), changed
+
+
+def refill(points: DataFrame, names: list[str], domain, old, new, level: int = 4, k: int | None = None, block_points: int = 20_000) -> DataFrame:
     """Points after the spacing changed from ``old`` to ``new``: ``x0.., kept``.
 
     Points in cells of ``level`` whose spacing at the centre is unchanged are kept as they are, the others are deleted.  The fronts of
-    all kept points fill what that opens, on either side of a changed cell's border.  Where they do not reach, the centres of changed cells are
+    all kept points fill what that opens, on either side of a changed cell's border.  Where they do not reach, places in changed cells are
     seeds, then the deleted points, so every part of the region that had points has some again; no candidate stays open.
+
+    The work is dealt by blocks and seams (:mod:`frontfill.plans.seams`), so a spacing too wide for blocks raises; that is a matter of a few hundred points
+    a region and :func:`refill_sequential` does it.
     """
+    marked, changed = _split(points, names, old, new, level)
+    marked = stored(marked)
+    kept, gone = marked.where("same"), marked.where("not same or same is null")
+    out = seams.fill_seams(points.sparkSession, domain, new, len(names), k, block_points, given=kept, tries=gone, changed=changed)
+    return out.select(*names, (F.col("by_zone") == -1).alias("kept"))
+
+
+def refill_sequential(points: DataFrame, names: list[str], domain, old, new, level: int = 4, k: int | None = None) -> DataFrame:
+    """:func:`refill` as one front in one task, with the centres of changed cells as seeds; for any spacing, and for points that one task can hold."""
     d = len(names)
     side = 1 << (BITS - level)
-    mids = {n: F.call_function("div", F.col(n), F.lit(side).cast("long")) * side + side // 2 for n in names}
-    there = points.select(*names, *(m.alias(f"m_{n}") for n, m in mids.items()))
-    same = old.column([f"m_{n}" for n in names]) == new.column([f"m_{n}" for n in names])
     dirs = directions(d, k)
 
     def grow(x, front):
@@ -171,7 +195,7 @@ def refill(points: DataFrame, names: list[str], domain, old, new, level: int = 4
         x, same = x[order], same[order]
         n_kept = int(same.sum())
         mid = np.stack(np.meshgrid(*[np.arange(1 << level, dtype=np.int64)] * d, indexing="ij"), axis=-1).reshape(-1, d) * side + side // 2
-        mid = mid[old.at(mid) != new.at(mid)]
+        mid = mid[changed(mid)]
         full = grow(x[same], np.arange(n_kept))
         for seeds in (mid, x[~same]):
             seeds = seeds[domain.mask(seeds)]
@@ -181,4 +205,5 @@ def refill(points: DataFrame, names: list[str], domain, old, new, level: int = 4
             full = grow(np.concatenate([full, seeds]), len(full) + np.arange(len(seeds)))
         yield pa.RecordBatch.from_pydict({**{n: pa.array(full[:, a], pa.int64()) for a, n in enumerate(names)}, "kept": pa.array(np.arange(len(full)) < n_kept)})
 
-    return there.select(*names, same.alias("same")).repartition(1).mapInArrow(run, ", ".join(f"{n} long" for n in names) + ", kept boolean")
+    marked, changed = _split(points, names, old, new, level)
+    return marked.repartition(1).mapInArrow(run, ", ".join(f"{n} long" for n in names) + ", kept boolean")

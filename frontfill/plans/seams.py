@@ -35,6 +35,8 @@ from frontfill.sources.store import stored
 WIDTH = 20
 #: places to start from lie so many candidate radii apart: about a hundred points each in the plane
 SEED_GAP = 10
+#: stage of a row that is no point but a place to start from
+TRY = -1
 POINT = ("h", "h_parent", "zone", "family", "by_zone", "stage", "phase", "seq")
 
 
@@ -132,8 +134,13 @@ class Zones:
         return out
 
 
-def fill_zones(zones: Zones, domain: Domain, spacing: Spacing, dirs: np.ndarray, mine: np.ndarray, pts: dict[str, np.ndarray], stage: int, p: int) -> dict[str, np.ndarray]:
-    """Fill the given zones of family ``p`` from the points around them; returns the new points' columns."""
+def fill_zones(
+    zones: Zones, domain: Domain, spacing: Spacing, dirs: np.ndarray, mine: np.ndarray, pts: dict[str, np.ndarray], stage: int, p: int, changed=None, tries: np.ndarray | None = None
+) -> dict[str, np.ndarray]:
+    """Fill the given zones of family ``p`` from the points around them; returns the new points' columns.
+
+    ``changed`` says at which places the lattice of starts may be used; ``tries`` are further places to start from, after it.
+    """
     d, now = zones.d, stage * (zones.d + 1) + p
     x = pts["x"]
     born = pts["stage"] * (d + 1) + pts["phase"]
@@ -162,11 +169,18 @@ def fill_zones(zones: Zones, domain: Domain, spacing: Spacing, dirs: np.ndarray,
 
     grow(waits)
     if stage == 1:
-        tries = np.concatenate([zones.trials(int(z)) for z in mine] or [np.zeros((0, d), np.int64)])
-        ok = domain.mask(tries) & (zones.home(tries)[1] == p)
+        places = np.concatenate([zones.trials(int(z)) for z in mine] or [np.zeros((0, d), np.int64)])
+        ok = domain.mask(places) & (zones.home(places)[1] == p)
+        if changed is not None:
+            ok &= changed(places)
         # many fronts in a zone: waves are wide, and every part of the region that holds a place of the lattice is reached
         if ok.any():
-            grow(plant(tries[ok]))
+            grow(plant(places[ok]))
+        if tries is not None and len(tries):
+            key, family = zones.home(tries)
+            ok = domain.mask(tries) & (family == p) & np.isin(key, mine)
+            if ok.any():
+                grow(plant(tries[ok]))
     new = np.concatenate(added) if added else np.zeros((0, d), np.int64)
     zone, family = zones.home(new)
     by = zones.holder(new, p)
@@ -200,10 +214,31 @@ def seam_arrays(domain: Domain, spacing: Spacing, d: int = 2, k: int | None = No
     raise RuntimeError("seam fill did not finish")
 
 
-def fill_seams(spark, domain: Domain, spacing: Spacing, d: int = 2, k: int | None = None, block_points: int = 20_000, tasks: int | None = None, max_stages: int = 64) -> DataFrame:
+def placed(points: DataFrame, names: list[str], zones: Zones, spacing: Spacing, stage: int) -> DataFrame:
+    """Points of another origin as rows of the fill, waiting for their homes."""
+
+    def run(batches):
+        for b in batches:
+            x = np.stack([b.column(a).to_numpy() for a in range(len(names))], axis=1)
+            h = spacing.at(x)
+            zone, family = zones.home(x)
+            same = {"by_zone": -1, "stage": stage, "phase": 0, "seq": 0}
+            cols = {"h": h, "h_parent": h, "zone": zone, "family": family, **{c: np.full(len(x), v) for c, v in same.items()}}
+            yield pa.RecordBatch.from_pydict({**{n: b.column(a) for a, n in enumerate(names)}, **{c: pa.array(np.asarray(cols[c], np.int64)) for c in POINT}})
+
+    return points.select(*(F.col(n).cast("long") for n in names)).mapInArrow(run, ", ".join(f"{c} long" for c in (*names, *POINT)))
+
+
+def fill_seams(
+    spark, domain: Domain, spacing: Spacing, d: int = 2, k: int | None = None, block_points: int = 20_000, tasks: int | None = None, max_stages: int = 64,
+    given: DataFrame | None = None, tries: DataFrame | None = None, changed=None,
+) -> DataFrame:
     """Fill a region block by block, then the seams: ``x0.., h, h_parent, zone, family, by_zone, stage, phase, seq``.
 
     ``block_points`` is about how many points a whole block gets, and with it what a task holds; ``tasks`` is the number of tasks of a family.
+
+    A region that holds points already is filled up: ``given`` (``x0..``) are points that stay and whose fronts go on, in the result with ``by_zone`` -1;
+    ``tries`` are places to start from where those do not reach; ``changed`` says where the lattice of starts may be used.
     """
     zones = Zones(spacing, d, block_points)
     dirs = directions(d, k)
@@ -219,11 +254,16 @@ def fill_seams(spark, domain: Domain, spacing: Spacing, d: int = 2, k: int | Non
             table = pa.Table.from_batches(got)
             mine = np.unique(table["target"].to_numpy())
             real = table.filter(pa.compute.is_valid(table["x0"])) if "x0" in table.column_names else table.slice(0, 0)
+            starts = np.zeros((0, d), np.int64)
+            if real.num_rows:
+                sought = pa.compute.equal(real["stage"], TRY)
+                starts = np.unique(np.stack([c.to_numpy() for c in real.filter(sought).select(names).columns], axis=1), axis=0)
+                real = real.filter(pa.compute.invert(sought))
             x = np.stack([real[n].to_numpy() for n in names], axis=1) if real.num_rows else np.zeros((0, d), np.int64)
             # a point near two zones of the task has come twice
             x, once = np.unique(x, axis=0, return_index=True) if len(x) else (x, np.zeros(0, np.int64))
             pts = {"x": x, **{c: real[c].to_numpy()[once] if len(x) else np.zeros(0, np.int64) for c in POINT}}
-            new = fill_zones(zones, domain, spacing, dirs, mine, pts, stage, p)
+            new = fill_zones(zones, domain, spacing, dirs, mine, pts, stage, p, changed, starts)
             cols = {**{n: new["x"][:, a] for a, n in enumerate(names)}, **{c: new[c] for c in POINT}}
             yield from pa.table({c: pa.array(np.asarray(v), pa.int64()) for c, v in cols.items()}).to_batches(max_chunksize=1 << 17)
 
@@ -231,11 +271,19 @@ def fill_seams(spark, domain: Domain, spacing: Spacing, d: int = 2, k: int | Non
 
     # seams hold a share of the points that falls with the block's size
     few = max(spark.sparkContext.defaultParallelism, tasks // 8)
-    blocks = zones.frame(spark, 0, domain.box()).repartition(tasks)
+    held_before = [placed(f, names, zones, spacing, s) for f, s in ((given, 1), (tries, TRY)) if f is not None]
+    blocks = zones.frame(spark, 0, domain.box())
+    if held_before:
+        before = stored(reduce(DataFrame.unionByName, held_before))
+        blocks = before.select(*names, *POINT, F.explode(zones.near_keys(names, 0)).alias("target")).unionByName(blocks, allowMissingColumns=True).repartition(tasks, "target")
+    else:
+        blocks = blocks.repartition(tasks)
     inner = stored(blocks.mapInArrow(kernel(1, 0), schema))
     at = [F.pmod(F.col(n), F.lit(zones.side).cast("long")) for n in names]
     near = reduce(or_, ((o <= zones.rim) | (o >= zones.side - zones.rim) for o in at))
-    parts, rim = [inner], [stored(inner.where(near).coalesce(few))]
+    parts = [before.where(F.col("stage") != TRY), inner] if held_before else [inner]
+    rim = [stored(reduce(DataFrame.unionByName, parts).where(near).coalesce(few))]
+    sought = [before.where(F.col("stage") == TRY)] if tries is not None else []
     clock = F.col("stage") * (d + 1) + F.col("phase")
     waiting = set(range(1, d + 1))
     for stage in range(1, max_stages):
@@ -244,7 +292,7 @@ def fill_seams(spark, domain: Domain, spacing: Spacing, d: int = 2, k: int | Non
             # what this stage has added may wait for any family that comes after
             if p not in waiting and not went:
                 continue
-            source = reduce(DataFrame.unionByName, rim if p else parts)
+            source = reduce(DataFrame.unionByName, [*(rim if p else parts), *(sought if stage == 1 else [])])
             sent = source.select(*names, *POINT, F.explode(zones.near_keys(names, p)).alias("target"))
             if stage == 1:
                 rows = sent.unionByName(zones.frame(spark, p, domain.box()), allowMissingColumns=True)
