@@ -56,7 +56,7 @@ def measure(cores: int, n: int, realisations: int) -> None:
     for r in range(realisations):
         h = S.Constant(size_h(n) + size_h(n) * r // 1000)
         # the same blocks on every number of cores, so that the work is the same
-        runs = {"seams": lambda h=h: seams.fill_seams(spark, D.disc(), h, block_points=max(2000, n // 32), tasks=64)}
+        runs = {"seams": lambda h=h: seams.fill_seams(spark, D.disc(), h, block_points=max(2000, n // 32))}
         if cores == 1:
             runs["baseline"] = lambda h=h: baselines.voronoi_kd_fill(spark, D.disc(), h, 32)
         for method, run in runs.items():

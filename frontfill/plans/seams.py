@@ -35,6 +35,10 @@ from frontfill.sources.store import stored
 WIDTH = 20
 #: places to start from lie so many candidate radii apart: about a hundred points each in the plane
 SEED_GAP = 10
+#: about how many points one call of the kernel fills, and with it what a task holds at a time
+CALL_POINTS = 100_000
+#: about how many points a task fills before its result is written
+TASK_POINTS = 1_000_000
 #: stage of a row that is no point but a place to start from
 TRY = -1
 POINT = ("h", "h_parent", "zone", "family", "by_zone", "stage", "phase", "seq")
@@ -214,6 +218,22 @@ def seam_arrays(domain: Domain, spacing: Spacing, d: int = 2, k: int | None = No
     raise RuntimeError("seam fill did not finish")
 
 
+def by_zones(batches, most: int):
+    """Tables of up to ``most`` whole zones from batches in which a zone's rows are adjacent."""
+    rest: pa.Table | None = None
+    for b in batches:
+        if not b.num_rows:
+            continue
+        rest = pa.Table.from_batches([b]) if rest is None else pa.concat_tables([rest, pa.Table.from_batches([b])])
+        target = rest["target"].to_numpy()
+        first = np.flatnonzero(np.diff(target, prepend=target[0] - 1))
+        for lo, hi in zip(first[::most], first[most::most], strict=False):
+            yield rest.slice(int(lo), int(hi - lo))
+        rest = rest.slice(int(first[(len(first) - 1) // most * most]))
+    if rest is not None and rest.num_rows:
+        yield rest
+
+
 def placed(points: DataFrame, names: list[str], zones: Zones, spacing: Spacing, stage: int) -> DataFrame:
     """Points of another origin as rows of the fill, waiting for their homes."""
 
@@ -235,7 +255,8 @@ def fill_seams(
 ) -> DataFrame:
     """Fill a region block by block, then the seams: ``x0.., h, h_parent, zone, family, by_zone, stage, phase, seq``.
 
-    ``block_points`` is about how many points a whole block gets, and with it what a task holds; ``tasks`` is the number of tasks of a family.
+    ``block_points`` is about how many points a whole block gets; a task works through its zones some ``CALL_POINTS`` points at a time, and that is what it holds.
+    ``tasks`` is the number of tasks of the first family.
 
     A region that holds points already is filled up: ``given`` (``x0..``) are points that stay and whose fronts go on, in the result with ``by_zone`` -1;
     ``tries`` are places to start from where those do not reach; ``changed`` says where the lattice of starts may be used.
@@ -244,14 +265,16 @@ def fill_seams(
     dirs = directions(d, k)
     names = [f"x{a}" for a in range(d)]
     schema = ", ".join(f"{c} long" for c in (*names, *POINT))
-    tasks = tasks or min(zones.count**d, 16 * spark.sparkContext.defaultParallelism)
+    whole = zones.count**d
+    tasks = tasks or min(whole, max(2 * spark.sparkContext.defaultParallelism, whole * block_points // TASK_POINTS))
+    a_call = max(1, CALL_POINTS // block_points)
 
     def kernel(stage: int, p: int):
         def run(batches):
-            got = [b for b in batches if b.num_rows]
-            if not got:
-                return
-            table = pa.Table.from_batches(got)
+            for table in by_zones(batches, a_call):
+                yield from fill(table)
+
+        def fill(table):
             mine = np.unique(table["target"].to_numpy())
             real = table.filter(pa.compute.is_valid(table["x0"])) if "x0" in table.column_names else table.slice(0, 0)
             starts = np.zeros((0, d), np.int64)
@@ -260,7 +283,7 @@ def fill_seams(
                 starts = np.unique(np.stack([c.to_numpy() for c in real.filter(sought).select(names).columns], axis=1), axis=0)
                 real = real.filter(pa.compute.invert(sought))
             x = np.stack([real[n].to_numpy() for n in names], axis=1) if real.num_rows else np.zeros((0, d), np.int64)
-            # a point near two zones of the task has come twice
+            # a point near two zones of the call has come twice
             x, once = np.unique(x, axis=0, return_index=True) if len(x) else (x, np.zeros(0, np.int64))
             pts = {"x": x, **{c: real[c].to_numpy()[once] if len(x) else np.zeros(0, np.int64) for c in POINT}}
             new = fill_zones(zones, domain, spacing, dirs, mine, pts, stage, p, changed, starts)
@@ -275,7 +298,7 @@ def fill_seams(
     blocks = zones.frame(spark, 0, domain.box())
     if held_before:
         before = stored(reduce(DataFrame.unionByName, held_before))
-        blocks = before.select(*names, *POINT, F.explode(zones.near_keys(names, 0)).alias("target")).unionByName(blocks, allowMissingColumns=True).repartition(tasks, "target")
+        blocks = before.select(*names, *POINT, F.explode(zones.near_keys(names, 0)).alias("target")).unionByName(blocks, allowMissingColumns=True).repartition(tasks, "target").sortWithinPartitions("target")
     else:
         blocks = blocks.repartition(tasks)
     inner = stored(blocks.mapInArrow(kernel(1, 0), schema))
@@ -299,7 +322,7 @@ def fill_seams(
             else:
                 held = source.where((F.col("family") == p) & (F.col("by_zone") != F.col("zone")) & (clock > stage * (d + 1) + p - (d + 1)))
                 rows = sent.join(held.select(F.col("zone").alias("target")).distinct(), "target", "left_semi")
-            new = stored(rows.repartition(few, "target").mapInArrow(kernel(stage, p), schema))
+            new = stored(rows.repartition(few, "target").sortWithinPartitions("target").mapInArrow(kernel(stage, p), schema))
             parts.append(new)
             rim.append(new)
             went = True
