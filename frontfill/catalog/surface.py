@@ -261,9 +261,64 @@ def q80_stream_windows(spark, sf):
 
 Q80 = "SELECT epoch_us(ts) // 86400000000 * 86400000000 AS start, count(*) AS n FROM events GROUP BY 1"
 
+def _events_stream(spark, sf):
+    src = spark.readStream.schema(spark.read.parquet(f"{sf}/events.parquet").schema).parquet(f"{sf}/events.parquet*")
+    return src.select(F.col("event_id").alias("id"), "user_id", "event_type", F.col("ts").cast("timestamp").alias("ts"))
+
+
+def _run(spark, df, mode):
+    """All rows that a stream gives in one available-now run."""
+    import uuid
+
+    name = f"ff_{uuid.uuid4().hex[:12]}"
+    df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{_folder(spark)}/{name}").trigger(availableNow=True).start().awaitTermination()
+    return spark.table(name)
+
+
+def q80b_stream_late(spark, sf):
+    """Late rows by micro-batch: the events arrive in three files, dealt by their number, and the later files are late in part."""
+    import uuid
+
+    base = f"{_folder(spark)}/late-{uuid.uuid4().hex}"
+    every = spark.read.parquet(f"{sf}/events.parquet").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    for k in range(3):
+        every.where(F.col("event_id") % 3 == k).coalesce(1).write.mode("append").parquet(f"{base}/in")
+    src = spark.readStream.schema(every.schema).option("maxFilesPerTrigger", 1).parquet(f"{base}/in")
+    online.late_counts(src, f"{base}/out", f"{base}/state", late="20 days").awaitTermination()
+    return spark.read.parquet(f"{base}/out/mark=*").select("batch", "n", "late")
+
+
+Q80B = """
+WITH e AS (SELECT event_id % 3 AS batch, ts FROM events),
+m AS (SELECT k.batch, max(e.ts) AS mark FROM (SELECT DISTINCT batch FROM e) k LEFT JOIN e ON e.batch < k.batch GROUP BY 1)
+SELECT e.batch, count(*) AS n, count(*) FILTER (e.ts < m.mark - INTERVAL 20 DAY) AS late FROM e JOIN m USING (batch) GROUP BY 1
+"""
+
+
+def q80c_stream_static_join(spark, sf):
+    """Streamed events by nation of their user, from a table."""
+    who = T.table(spark, sf, "customer").select("c_custkey", "c_nationkey")
+    return _run(spark, online.with_static(_events_stream(spark, sf), who, "user_id", "c_custkey").groupBy("c_nationkey").agg(F.count("*").alias("n")), "complete")
+
+
+Q80C = "SELECT c_nationkey, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1"
+
+
+def q80d_stream_stream_join(spark, sf):
+    """Purchases within six hours of a click of the same user, both streamed."""
+    seen, bought = (_events_stream(spark, sf).where(F.col("event_type") == kind) for kind in ("click", "purchase"))
+    return _run(spark, online.follow_ups(seen, bought, "user_id", "6 hours"), "append")
+
+
+Q80D = """
+SELECT a.user_id, a.event_id AS first_id, b.event_id AS second_id FROM events a JOIN events b ON a.user_id = b.user_id
+AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 6 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase'
+"""
+
 QUERIES = {n: f for n, f in list(globals().items()) if n.startswith("q") and callable(f)}
 ORACLES = {
     "q63_cube_runs": Q63, "q64_rollup_levels": Q64, "q65_grouping_sets": Q65, "q66_window_rank": Q66, "q67_window_rows_frame": Q67, "q68_window_range_frame": Q68, "q69_topk_cells": Q69, "q70_setops": Q70,
     "q71_json_array_map": Q71, "q72_asof_state": Q72, "q73_interval_overlap": Q73, "q74_session_windows": Q74, "q74b_rate_windows": Q74B, "q75_star_join_seeds": Q75, "q76_string_date_features": Q76,
     "q76b_clouds": Q76B, "q77_udtf_fill": Q77, "q78_agg_udf": Q78, "q78b_lattice_source": Q78B, "q79_stream_thin": Q79, "q80_stream_windows": Q80,
+    "q80b_stream_late": Q80B, "q80c_stream_static_join": Q80C, "q80d_stream_stream_join": Q80D,
 }

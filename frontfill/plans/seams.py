@@ -323,6 +323,8 @@ def fill_seams(
                 held = source.where((F.col("family") == p) & (F.col("by_zone") != F.col("zone")) & (clock > stage * (d + 1) + p - (d + 1)))
                 rows = sent.join(held.select(F.col("zone").alias("target")).distinct(), "target", "left_semi")
             new = stored(rows.repartition(few, "target").sortWithinPartitions("target").mapInArrow(kernel(stage, p), schema))
+            if stage > 1 and new.isEmpty():
+                continue
             parts.append(new)
             rim.append(new)
             went = True

@@ -52,6 +52,45 @@ def rate_windows(events: DataFrame, ts: str = "ts", late: str = "1 hour", width:
     return src.groupBy(win.alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n")
 
 
+def late_counts(stream: DataFrame, path: str, checkpoint: str, ts: str = "ts", late: str = "1 hour"):
+    """Start a query that counts each micro-batch's rows and, of these, the late ones: ``batch, n, late, latest`` rows under ``path``.
+
+    A row is late when it is older by more than ``late`` than the newest row of the batches before its own.  A batch leaves one row, and the next one
+    reads the marks of those before it; a batch that is run again rewrites its own, so recovery counts nothing twice.
+    """
+
+    def step(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        root = spark._jvm.org.apache.hadoop.fs.Path(path)
+        fs = root.getFileSystem(spark._jsc.hadoopConfiguration())
+        seen = [s.getPath().getName() for s in fs.listStatus(root)] if fs.exists(root) else []
+        old = [f"{path}/{s}" for s in seen if s.startswith("mark=") and int(s.split("=")[1]) < number]
+        mark = spark.read.parquet(*old).agg(F.max("latest")).first()[0] if old else None  # one value
+        behind = F.col(ts) < F.lit(mark) - F.expr(f"INTERVAL {late}") if mark is not None else F.lit(False)
+        row = batch.agg(F.count("*").alias("n"), F.coalesce(F.sum(behind.cast("long")), F.lit(0)).cast("long").alias("late"), F.max(ts).alias("latest"))
+        row.select(F.lit(number).cast("long").alias("batch"), "n", "late", "latest").coalesce(1).write.mode("overwrite").parquet(f"{path}/mark={number}")
+
+    return stream.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def with_static(stream: DataFrame, static: DataFrame, on: str, key: str, how: str = "inner") -> DataFrame:
+    """A stream's rows with those of a table; which side is sent to all tasks is left to the optimiser's size check, batch by batch."""
+    return stream.join(static, stream[on] == static[key], how)
+
+
+def follow_ups(first: DataFrame, second: DataFrame, key: str, within: str, ts: str = "ts", late: str = "1 day") -> DataFrame:
+    """``key, first_id, second_id``: rows of the second stream at most ``within`` after one of the first with the same key.
+
+    Both sides (``id, key, ts``) carry a watermark, and the bound on their times lets the state drop what nothing can match any more.
+    """
+    a = first.select(F.col(key).alias("key"), F.col("id").alias("first_id"), F.col(ts).alias("t1"))
+    b = second.select(F.col(key).alias("key2"), F.col("id").alias("second_id"), F.col(ts).alias("t2"))
+    if first.isStreaming:
+        a, b = a.withWatermark("t1", late), b.withWatermark("t2", late)
+    met = (F.col("key") == F.col("key2")) & (F.col("t2") >= F.col("t1")) & (F.col("t2") <= F.col("t1") + F.expr(f"INTERVAL {within}"))
+    return a.join(b, met).select(F.col("key").alias(key), "first_id", "second_id")
+
+
 def sessions(events: DataFrame, key: str, ts: str = "ts", gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
     """Runs of a key's rows without a pause of ``gap``."""
     src = events.withWatermark(ts, late) if events.isStreaming else events
