@@ -13,8 +13,8 @@ from operator import and_
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from frontfill.functions.lattice import SIDE, priority, squared
-from frontfill.operators.tree import neighbours, with_boxes
+from frontfill.functions.lattice import BITS, SIDE, cell_key, max_level, priority, squared
+from frontfill.operators.tree import point_key, with_boxes
 from frontfill.sources.store import stored
 
 
@@ -82,21 +82,37 @@ def thin(rows: DataFrame, names: list[str], h: int | Column, h_most: int | None
     return kept_all.select("id", *names)
 
 
-def halo(points: DataFrame, cells: DataFrame, names: list[str], gap: int) -> DataFrame:
-    """``id, target``: every point with each leaf whose box is at most ``gap`` away, its own included."""
+def around(points: DataFrame, cells: DataFrame, names: list[str], reach: int) -> DataFrame:
+    """The points with ``target, lo0.., side`` of every leaf that may lie within ``reach`` of them, however small the leaves are.
+
+    Points are gathered in grid cells at least as wide as ``reach``.  A leaf is met through the grid cell that holds it, or, where it
+    is coarser, as an ancestor of one; so two equi-joins on keys find the leaves of the cells around, of any level.
+    """
     d = len(names)
-    edges = neighbours(cells, d, include_self=True)
+    level = min(max_level(d), BITS - max(0, int(reach) - 1).bit_length()) if reach < SIDE else 0
+    located = points.withColumn("__at", point_key(names, level))
+    here = with_boxes(located.select(F.col("__at").alias("cell")).distinct().withColumn("level", F.lit(level)), d)
+    spread = here.select(F.col("cell").alias("__at"), *(f"c{a}" for a in range(d)), F.explode(_offsets(d)).alias("o"))
+    at = [F.col(f"c{a}") + F.col("o")[a] for a in range(d)]
+    inside = reduce(and_, ((x >= 0) & (x < (1 << level)) for x in at))
+    near = spread.where(inside).select("__at", cell_key(at, F.lit(level), d).alias("near"))
+    up = near.select("__at", F.explode(F.sequence(F.lit(0), F.lit(level))).alias("k"), "near")
+    up = up.select("__at", F.call_function("shiftright", F.col("near"), (F.lit(d) * F.col("k")).cast("int")).alias("__meet")).distinct()
     boxed = with_boxes(cells.select("cell", "level"), d)
-    near = edges.join(boxed.select(F.col("cell").alias("nbr"), *(f"lo{a}" for a in range(d)), "side"), "nbr")
-    located = locate(points, cells, names)
+    finer = F.greatest(F.lit(0), F.col("level") - level)
+    leaf = boxed.select(F.col("cell").alias("target"), *(f"lo{a}" for a in range(d)), "side", F.call_function("shiftright", F.col("cell"), (F.lit(d) * finer).cast("int")).alias("__meet"))
+    met = up.join(leaf, "__meet").drop("__meet")
+    return located.join(met, "__at").drop("__at")
+
+
+def halo(points: DataFrame, cells: DataFrame, names: list[str], gap: int) -> DataFrame:
+    """``id, target``: every point with each leaf whose box is at most ``gap`` away, its own included."""
     close = reduce(and_, ((F.col(n) >= F.col(f"lo{a}") - gap) & (F.col(n) < F.col(f"lo{a}") + F.col("side") + gap) for a, n in enumerate(names)))
-    return located.join(near, "cell").where(close).select("id", F.col("nbr").alias("target"))
+    return around(points, cells, names, gap).where(close).select("id", "target")
 
 
 def locate(points: DataFrame, cells: DataFrame, names: list[str]) -> DataFrame:
     """Points with the leaf that holds them: one equi-join on the keys of the levels in use."""
-    from frontfill.functions.lattice import BITS, cell_key
-
     d = len(names)
     levels = [r["level"] for r in cells.select("level").distinct().collect()]  # at most one a level of the tree
     keyed = points.select("*", F.explode(F.array(*(cell_key([F.shiftright(F.col(n), BITS - v) for n in names], F.lit(v), d) for v in sorted(levels)))).alias("cell"))
