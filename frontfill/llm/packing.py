@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from frontfill.llm.common import checkpointed, text_bytes
-from frontfill.llm.units import WORD_UNITS, Misses, plain, tokenizer
+from frontfill.llm.units import WORD_UNITS, Misses, plain, tokenizer, unit_ids
 
 VOCABULARY = "word_bpe_49k.json"
 LENGTH, END_ID = 2048, 1
@@ -37,7 +37,7 @@ def token_pieces(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     def scan(batches):
         tok = tokenizer(vocabulary)
         if vocabulary not in _cache:
-            _cache[vocabulary] = Misses(lambda u: np.array(tok.encode(u, add_special_tokens=False).ids, np.uint32).tobytes())
+            _cache[vocabulary] = Misses(unit_ids(tok))
         known = _cache[vocabulary].__getitem__
         for b in batches:
             ids = b.column(0).to_pylist()
