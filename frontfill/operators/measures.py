@@ -5,12 +5,16 @@ from __future__ import annotations
 from functools import reduce
 from operator import and_
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from frontfill.functions.directions import candidates
 from frontfill.operators.rows import _div, within_pairs
 from frontfill.operators.tree import with_boxes
+from frontfill.sources.store import stored
 
 
 def violations(points: DataFrame, names: list[str], side: int, order: str = "ord", radius: str = "h_parent") -> DataFrame:
@@ -91,17 +95,60 @@ def distinct_trees(trees: list[tuple[int, DataFrame]]) -> DataFrame:
     return rows.groupBy("limit").agg(F.count("*").alias("cells"), F.sum(F.pmod(F.col("cell") * 48271 + 11, F.lit(2147483647))).cast("long").alias("print")).withColumn("same_as", F.min("limit").over(Window.partitionBy("cells", "print")))
 
 
-def separation(vectors: DataFrame, tau: float) -> DataFrame:
-    """Pairs of vectors nearer than ``tau``, by exact distance.
+def separation(vectors: DataFrame, tau: float, most: int = 16_384) -> DataFrame:
+    """Pairs of vectors of one length nearer than ``tau``, by exact distance: ``a, b, dist`` with ``a < b``.
 
-    High dimension has no useful grid; rows are cut into blocks by their first component, and since a pair nearer than ``tau``
-    differs by less than that in any component, only neighbouring blocks meet.
+    High dimension has no useful grid, so all pairs meet, as products of blocks of at most about ``most`` rows, two blocks a task.  A product
+    only proposes: what it does not rule out with room for rounding is decided by the sum of squares, component by component.
+    Rows without an id, a vector or one of its components have no pairs.
     """
-    v = vectors.select("id", "vec", F.floor(F.col("vec")[0] / F.lit(tau)).cast("long").alias("slot"))
-    a = v.select(F.col("id").alias("a"), F.col("vec").alias("va"), F.explode(F.array(F.col("slot") - 1, F.col("slot"), F.col("slot") + 1)).alias("slot"))
-    b = v.select(F.col("id").alias("b"), F.col("vec").alias("vb"), "slot")
-    dist = F.sqrt(F.aggregate(F.zip_with("va", "vb", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
-    return a.join(b, "slot").where("a < b").withColumn("dist", dist).where(F.col("dist") < tau).select("a", "b", "dist")
+    whole = F.col("id").isNotNull() & F.col("vec").isNotNull() & ~F.exists("vec", lambda x: x.isNull())
+    v = stored(vectors.where(whole).select("id", F.col("vec").cast("array<double>").alias("vec"), F.monotonically_increasing_id().alias("row")))
+    n = v.count()
+    blocks = max(1, -(-n // most), min(8, -(-n // 256)))
+    dealt = v.select("id", "vec", (F.col("row") % blocks).alias("block"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("other"))
+    lo, hi = F.least("block", "other"), F.greatest("block", "other")
+    # two blocks' place among all unordered ones
+    unit = lo * blocks - F.call_function("div", lo * (lo - 1), F.lit(2).cast("long")) + hi - lo
+    units = blocks * (blocks + 1) // 2
+    dealt = dealt.select("id", "vec", "block", (F.col("block") == F.col("other")).alias("alone"), unit.cast("int").alias("unit"))
+
+    def meet(batches):
+        got = [b for b in batches if b.num_rows]
+        if not got:
+            return
+        t = pa.Table.from_batches(got)
+        ids, block, alone = t["id"].to_numpy(), t["block"].to_numpy(), bool(t["alone"][0].as_py())
+        vec = t["vec"].combine_chunks()
+        size = pa.compute.list_value_length(vec).to_numpy(zero_copy_only=False)
+        begin = np.cumsum(size) - size
+        flat = vec.flatten().to_numpy(zero_copy_only=False)
+        for d in np.unique(size).tolist():
+            mine = np.flatnonzero(size == d)
+            x = flat[begin[mine][:, None] + np.arange(d)]
+            p = np.arange(len(mine)) if alone else np.flatnonzero(block[mine] == block[mine].min())
+            q = p if alone else np.setdiff1d(np.arange(len(mine)), p)
+            if not alone and len(np.unique(block[mine])) < 2:
+                continue
+            norm = (x * x).sum(axis=1)
+            for at in range(0, len(p), 256):
+                rows = p[at : at + 256]
+                both = norm[rows][:, None] + norm[q][None, :]
+                i, j = np.nonzero(~(both - 2 * (x[rows] @ x[q].T) > tau * tau + 1e-9 * (both + tau * tau)))
+                i, j = rows[i], q[j]
+                once = ids[mine[i]] < ids[mine[j]] if alone else ids[mine[i]] != ids[mine[j]]
+                i, j = i[once], j[once]
+                for k in range(0, len(i), 100_000):
+                    a, b = i[k : k + 100_000], j[k : k + 100_000]
+                    total = np.zeros(len(a))
+                    for c in range(d):
+                        total += (x[a, c] - x[b, c]) ** 2
+                    dist = np.sqrt(total)
+                    near = dist < tau
+                    first, second = ids[mine[a[near]]], ids[mine[b[near]]]
+                    yield pa.RecordBatch.from_pydict({"a": pa.array(np.minimum(first, second), pa.int64()), "b": pa.array(np.maximum(first, second), pa.int64()), "dist": pa.array(dist[near], pa.float64())})
+
+    return dealt.repartitionById(units, F.col("unit")).mapInArrow(meet, "a long, b long, dist double")
 
 
 def boxes(cells: DataFrame, d: int) -> DataFrame:
