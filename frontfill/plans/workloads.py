@@ -138,16 +138,10 @@ def locks(spark, n: int, workers: int = 7, limit: int = 100, leaf: int = 40) ->
     """Synchronisation events for each insert: claims (M10), region locks (B2), leaf locks."""
     h = size_h(n)
     r = claims.sweep(spark, [{"h": h, "limit": limit, "workers": workers}], D.disc()).first()
-    at = np.array([[CENTRE, CENTRE]], np.int64)
-    from frontfill.functions.directions import directions
-    from frontfill.functions.kernel import front_fill
-
-    coarse = S.Constant(h * 8)
-    gens = np.concatenate([at, front_fill(at, np.arange(1), coarse.at, D.disc().mask, directions(2), coarse.h).x])
-    v = baselines.voronoi_kd_arrays(D.disc(), S.Constant(h), gens)
+    v = baselines.voronoi_kd_locks(spark, D.disc(), S.Constant(h)).first()
     pts = stored(fill.fill_phased(spark, D.disc(), S.Constant(h), limit=limit, one_task=True).withColumn("id", F.xxhash64(*XY)))
     lk = baselines.leaf_lock_counts(pts, tree.build_counted(pts, leaf, 10, names=XY), XY, h).first()
-    rows = [("claims", r["n"], r["attempts"], r["releases"] + r["entries"]), ("voronoi_kd", len(v["x"]), int(v["writes"]), int(v["reads"])), ("leaf_lock", pts.count(), lk["exclusive"], lk["shared"])]
+    rows = [("claims", r["n"], r["attempts"], r["releases"] + r["entries"]), ("voronoi_kd", v["n"], v["writes"], v["reads"]), ("leaf_lock", pts.count(), lk["exclusive"], lk["shared"])]
     return spark.createDataFrame([(m, n_, e, s, e / n_, s / n_) for m, n_, e, s in rows], "method string, n long, exclusive long, other long, exclusive_per_insert double, other_per_insert double")
 
 
