@@ -29,3 +29,12 @@ def test_halo_reaches_beyond_the_next_leaf(spark):
         want = {(i, b.cell) for i, x, y in at for b in boxes if all(lo - gap <= v < lo + b.side + gap for v, lo in ((x, b.lo0), (y, b.lo1)))}
         got = [tuple(r) for r in rows.halo(pts, cells, XY, gap).select("id", "target").collect()]
         assert len(got) == len(want) and set(got) == want
+
+
+def test_merged_tree_broadcasts_nothing(spark, small):
+    from frontfill.catalog import trees
+
+    df = trees.q50c_merged_tree(spark, small)
+    df.collect()
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "BroadcastExchange" not in plan
