@@ -20,8 +20,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from frontfill.functions.directions import directions, propose
-from frontfill.functions.kernel import Grid, settle
-from frontfill.functions.lattice import mix
+from frontfill.functions.kernel import Grid, Tiers, settle
+from frontfill.functions.lattice import SIDE, mix
 from frontfill.operators.tree import Leaves
 from frontfill.sources.store import stored
 
@@ -122,6 +122,11 @@ def neighbour_lists(leaves: Leaves) -> list[np.ndarray]:
     d = leaves.d
     wide = int(leaves.side.max())
     slot = leaves.lo // wide
+    if (leaves.side == wide).all() and len(slot) == (SIDE // wide) ** d:
+        shifts = np.array([o for o in np.ndindex(*([3] * d)) if any(v != 1 for v in o)], np.int64) - 1
+        at = slot[:, None, :] + shifts
+        real = ((at >= 0) & (at < SIDE // wide)).all(axis=2)
+        return [row[ok] for row, ok in zip(leaves.of(at * wide), real, strict=True)]
     table = defaultdict(list)
     for i, s in enumerate(map(tuple, slot.tolist())):
         table[s].append(i)
@@ -165,77 +170,171 @@ def _candidates(x: np.ndarray, spacing, domain, dirs: np.ndarray):
     return cand[inn], at[inn], radius[inn], int((~inn).sum())
 
 
-def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int = 64, order: str = "shuffled", seed: int = 1, k: int | None = None, seek: str = "none", max_steps: int = 200_000, expand=None) -> Report:
+class Cells:
+    """State, owner and restart set of the cells.  For each cell the flags (failed or claimed) next to it are kept as a number, a sum of owners and
+    a sum of their squares: all of them are one worker's if and only if both sums are that number's multiples, whatever their order."""
+
+    def __init__(self, leaves: Leaves, nbr: list[np.ndarray]):
+        n = len(leaves.cell)
+        self.nbr, self.lo = nbr, leaves.lo
+        self.state = bytearray(n)
+        self.states = np.frombuffer(self.state, np.uint8)
+        self.owner = [-1] * n
+        self.flags = np.zeros((n, 3), np.int64)
+        #: place in the restart set by order of entry; -1: not in it
+        self.place = np.full(n, -1, np.int64)
+        self.entered = self.waiting = 0
+        self.points = np.zeros(n + 1, np.int64)
+        self.claimed: set[int] = set()
+        #: claimed neighbours of different owners, counted from both
+        self.clashes = 0
+        wide = max((len(b) for b in nbr), default=0)
+        self.around = np.full((n, wide), n, np.int32)
+        for c, b in enumerate(nbr):
+            self.around[c, : len(b)] = b
+
+    def put(self, c: int, state: int, owner: int) -> None:
+        was, by = self.state[c], self.owner[c]
+        if was in (1, 2):
+            self.flags[self.nbr[c]] -= (1, by, by * by)
+        if state in (1, 2):
+            self.flags[self.nbr[c]] += (1, owner, owner * owner)
+        if was == 2:
+            self.clashes -= 2 * self._rivals(c, by)
+            self.claimed.discard(c)
+        if state == 2:
+            self.clashes += 2 * self._rivals(c, owner)
+            self.claimed.add(c)
+        self.state[c], self.owner[c] = state, owner
+
+    def _rivals(self, c: int, w: int) -> int:
+        return sum(1 for b in self.nbr[c].tolist() if self.state[b] == 2 and self.owner[b] != w)
+
+    def free_of_others(self, c: int, w: int) -> bool:
+        n, one, two = self.flags[c].tolist()
+        return one == n * w and two == n * w * w
+
+    def enter(self, c: int) -> bool:
+        """Put a cell at the end of the restart set; was it not there?"""
+        if self.place[c] >= 0:
+            return False
+        self.place[c] = self.entered
+        self.entered += 1
+        self.waiting += 1
+        return True
+
+    def leave(self, c: int) -> None:
+        self.waiting -= int(self.place[c] >= 0)
+        self.place[c] = -1
+
+    def entries(self) -> list[int]:
+        """The restart set in order."""
+        c = np.flatnonzero(self.place >= 0)
+        return c[np.argsort(self.place[c])].tolist()
+
+    def sought(self, w: int, seek: str) -> int:
+        """The enqueued cell that an idle worker takes, -1 for none."""
+        c = np.flatnonzero(self.states == 3)
+        n, one, two = self.flags[c].T
+        c = c[(one == n * w) & (two == n * w * w) & (self.place[c] >= 0)]
+        if not len(c):
+            return -1
+        if seek == "enqueued":
+            return int(c[self.place[c].argmin()])
+        if seek == "unfilled":
+            k = self.points[c] + self.points[self.around[c]].sum(axis=1)
+            c = c[k == k.min()]
+        c = c[np.argsort(self.place[c])]
+        gap = np.full(len(c), np.iinfo(np.int64).max if self.claimed else 0)
+        for m in self.claimed:
+            gap = np.minimum(gap, ((self.lo[c] - self.lo[m]) ** 2).sum(axis=1))
+        return int(c[gap.argmax()])
+
+
+class Columns:
+    """Arrays that grow at their end at a cost in proportion to what is added."""
+
+    def __init__(self, **kinds):
+        self.n = 0
+        self._held = {c: np.zeros((1024, *shape), kind) for c, (kind, shape) in kinds.items()}
+
+    def __getitem__(self, c: str) -> np.ndarray:
+        return self._held[c][: self.n]
+
+    def add(self, n: int, **values) -> None:
+        for c, v in values.items():
+            held = self._held[c]
+            if self.n + n > len(held):
+                held = np.zeros((max(self.n + n, len(held) * 3 // 2), *held.shape[1:]), held.dtype)
+                held[: self.n] = self._held[c][: self.n]
+                self._held[c] = held
+            held[self.n : self.n + n] = v
+        self.n += n
+
+
+#: about how many points one call of the kernel expands for supersteps to come
+AHEAD = 4096
+
+
+def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int = 64, order: str = "shuffled", seed: int = 1, k: int | None = None, seek: str = "none", max_steps: int | None = None, expand=None) -> Report:
     """The claiming fill with one worker a seed.  ``seek`` lets an idle worker take an enqueued cell within a stage.
 
     ``enqueued`` takes the oldest, ``far`` the one farthest from claimed cells, ``unfilled`` of those with the fewest points in and around
     them the one farthest from claimed cells.  ``expand(points, workers, nbr)`` does the expansions of a superstep elsewhere and
     returns the accepted candidates, their parents' places in the list and their radii, in order; claims are always decided here.
+
+    A superstep costs its quanta and the claims they lead to, not the points or cells there are.  Children join the end of their worker's queue, so what the
+    next supersteps expand is known as far as every queue reaches, and one call of the kernel tests the candidates of them all, in order.  ``max_steps`` is by default more than the
+    points of the fill, each superstep expanding one at least.
     """
+    from frontfill.plans.fill import expected_points
+
     d, W = leaves.d, len(seeds)
     dirs = directions(d, k)
     nbr = neighbour_lists(leaves)
     n_cells = len(leaves.cell)
-    state = np.zeros(n_cells, np.int8)
-    owner = np.full(n_cells, -1, np.int64)
+    max_steps = max_steps or max(200_000, 4 * int(expected_points(domain, spacing, d)))
+    cells = Cells(leaves, nbr)
+    state, owner = cells.state, cells.owner
     front_count = np.zeros(n_cells, np.int64)
-    inside_cell: list[list[int]] = [[] for _ in range(n_cells)]
+    #: points that no front holds yet, by cell
+    unheld: dict[int, list[int]] = defaultdict(list)
     rng = np.random.default_rng(seed)
-    restart: deque[int] = deque()
-    in_set = np.zeros(n_cells, bool)
     count = dict.fromkeys(("attempts", "grants", "fails", "entries", "releases", "supersteps", "stages", "tested", "outside", "blocked", "put_back"), 0)
-    grid = Grid(d, spacing.most)
-    xs = np.zeros((0, d), np.int64)
-    cell_of = np.zeros(0, np.int64)
-    expanded = np.zeros(0, bool)
-    worker_of = np.zeros(0, np.int64)
-    meta = {"stage": [], "step": [], "h": []}
+    grid = Tiers(d, spacing.most)
+    pts = Columns(x=(np.int32, (d,)), cell=(np.int32, ()), worker=(np.int32, ()), stage=(np.int32, ()), step=(np.int32, ()), h=(np.int32, ()), expanded=(bool, ()))
     fronts: list[deque[int]] = [deque() for _ in range(W)]
+    #: of supersteps to come: points, workers, accepted candidates, their parents' places and radii
+    ahead: deque[tuple] = deque()
     busy: list[tuple[int, int]] = []
     gaps = np.zeros(0, np.int64)
     clash = 0
 
     def add(x, w, stage, step, radius):
-        nonlocal xs, cell_of, expanded, worker_of
-        first = len(xs)
-        if expand is None:
-            grid.add(x, first)
-        xs = np.concatenate([xs, x])
+        first = pts.n
         c = leaves.of(x)
-        cell_of = np.concatenate([cell_of, c])
-        expanded = np.concatenate([expanded, np.zeros(len(x), bool)])
-        worker_of = np.concatenate([worker_of, w])
-        meta["stage"].append(np.full(len(x), stage))
-        meta["step"].append(np.full(len(x), step))
-        meta["h"].append(radius)
-        for i, cc in enumerate(c.tolist()):
-            inside_cell[cc].append(first + i)
+        pts.add(len(x), x=x, cell=c, worker=w, stage=stage, step=step, h=radius, expanded=False)
+        np.add.at(cells.points, c, 1)
         return np.arange(first, first + len(x)), c
 
     def enqueue_cell(c):
-        if not in_set[c]:
-            in_set[c] = True
-            restart.append(c)
-            count["entries"] += 1
-
-    def free_of_others(c, w):
-        return all(not (state[b] in (1, 2) and owner[b] != w) for b in nbr[c])
+        count["entries"] += cells.enter(c)
 
     def grant(c, w):
-        state[c], owner[c] = 2, w
-        in_set[c] = False
-        waiting = [p for p in inside_cell[c] if not expanded[p]]
+        cells.put(c, 2, w)
+        cells.leave(c)
+        waiting = unheld.pop(c, [])
         fronts[w].extend(waiting)
         front_count[c] = len(waiting)
         count["grants"] += 1
 
     def drop(c):
         w = owner[c]
-        state[c], owner[c] = 0, -1
+        cells.put(c, 0, -1)
         count["releases"] += 1
-        for b in nbr[c]:
+        for b in nbr[c].tolist():
             if state[b] == 1 and owner[b] == w:
-                state[b], owner[b] = 3, -1
+                cells.put(b, 3, -1)
                 enqueue_cell(b)
 
     def settle_claims(asked):
@@ -245,117 +344,115 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
             if state[c] == 2:
                 count["fails"] += owner[c] != w
                 continue
-            if state[c] in (0, 3) and free_of_others(c, w):
+            if state[c] in (0, 3) and cells.free_of_others(c, w):
                 grant(c, w)
                 continue
             count["fails"] += 1
             if state[c] != 1:
-                state[c], owner[c] = 1, w
+                cells.put(c, 1, w)
                 enqueue_cell(c)
 
     seeds = np.asarray(seeds, np.int64)
     ok = domain.mask(seeds)
-    ok[ok] = settle(seeds[ok], spacing.at(seeds[ok]), grid, xs, 1)
-    ids, cells = add(seeds[ok], np.flatnonzero(ok), 1, 0, spacing.at(seeds[ok]))
-    settle_claims([(int(w), int(c)) for w, c in zip(np.flatnonzero(ok), cells, strict=True)])
-    for c in cells.tolist():
+    ok[ok] = settle(seeds[ok], spacing.at(seeds[ok]), grid, pts["x"], 1)
+    grid.add(seeds[ok], 0)
+    ids, at_cells = add(seeds[ok], np.flatnonzero(ok), 1, 0, spacing.at(seeds[ok]))
+    for i, c in zip(ids.tolist(), at_cells.tolist(), strict=True):
+        unheld[c].append(i)
+    settle_claims([(int(w), int(c)) for w, c in zip(np.flatnonzero(ok), at_cells, strict=True)])
+    for c in at_cells.tolist():
         if state[c] == 0:
             enqueue_cell(c)
-            state[c] = 3
+            cells.put(c, 3, -1)
     stage, step = 1, 0
     del ids
     while step < max_steps:
-        if not any(fronts):
+        if not ahead and not any(fronts):
             # stage end: what failed may be claimed again
-            held = [c for c in range(n_cells) if state[c] in (1, 3)]
+            held = np.flatnonzero((cells.states == 1) | (cells.states == 3)).tolist()
             if stage == 1:
                 # an area is what one worker has filled and expanded; a cell that waits belongs to none, one outside the region does not count
-                area = np.where(domain.mask(leaves.lo + (leaves.side // 2)[:, None]), -1, -2)
-                for c in range(n_cells):
-                    if inside_cell[c]:
-                        area[c] = -1
-                    if inside_cell[c] and state[c] == 0 and expanded[inside_cell[c]].all():
-                        area[c] = np.bincount(worker_of[inside_cell[c]]).argmax()
+                area = np.where((cells.points[:n_cells] > 0) | domain.mask(leaves.lo + (leaves.side // 2)[:, None]), -1, -2)
+                done = (cells.points[:n_cells] > 0) & (cells.states == 0)
+                done[pts["cell"][~pts["expanded"]]] = False
+                pair, many = np.unique(pts["cell"].astype(np.int64) * W + pts["worker"], return_counts=True)
+                best = np.lexsort((-(pair % W), many, pair // W))
+                last = best[np.flatnonzero(np.diff(pair[best] // W, append=-1))]
+                most = np.full(n_cells, -1)
+                most[pair[last] // W] = pair[last] % W
+                area = np.where(done, most, area)
                 gaps = gap_widths(nbr, area)
             for c in held:
-                state[c], owner[c] = 3, -1
+                cells.put(c, 3, -1)
                 enqueue_cell(c)
-            if not restart:
+            if not cells.waiting:
                 break
             stage += 1
-            entries = list(restart)
-            restart.clear()
-            in_set[:] = False
+            entries = cells.entries()
+            cells.place[:] = -1
+            cells.waiting = 0
             if order == "shuffled":
                 rng.shuffle(entries)
             w = 0
             for c in entries:
-                if w < W and free_of_others(c, w) and state[c] == 3:
+                if w < W and cells.free_of_others(c, w) and state[c] == 3:
                     grant(c, w)
                     w += 1
                 else:
                     count["put_back"] += 1
-                    in_set[c] = True
-                    restart.append(c)
+                    cells.enter(c)
         step += 1
-        if seek != "none":
+        if seek != "none" and not ahead:
             for w in range(W):
-                if not fronts[w] and restart:
-                    options = [c for c in restart if state[c] == 3 and free_of_others(c, w)]
-                    if options:
-                        if seek == "unfilled":
-                            around = [len(inside_cell[c]) + sum(len(inside_cell[b]) for b in nbr[c].tolist()) for c in options]
-                            options = [c for c, k in zip(options, around, strict=True) if k == min(around)]
-                        if seek in ("far", "unfilled"):
-                            mine = np.flatnonzero(state == 2)
-                            gap = [((leaves.lo[mine] - leaves.lo[c]) ** 2).sum(axis=1).min() if len(mine) else 0 for c in options]
-                            c = options[int(np.argmax(gap))]
-                        else:
-                            c = options[0]
-                        restart.remove(c)
+                if not fronts[w] and cells.waiting:
+                    c = cells.sought(w, seek)
+                    if c >= 0:
                         grant(c, w)
-        now, who = [], []
-        for w in range(W):
-            take = [fronts[w].popleft() for _ in range(min(quantum, len(fronts[w])))]
-            now += take
-            who += [w] * len(take)
-        busy.append((stage, len(set(who))))
-        if now:
-            now, who = np.array(now), np.array(who)
+        if not ahead and any(fronts):
+            at_work = [len(f) for f in fronts if f]
+            known = expand is None and (seek == "none" or len(at_work) == W)
+            sent = [[(f.popleft(), w) for w, f in enumerate(fronts) for _ in range(min(quantum, len(f)))] for _ in range(max(1, min(min(at_work), AHEAD // len(at_work)) // quantum) if known else 1)]
+            now, who = np.array([p for part in sent for p in part]).T
+            x = pts["x"][now].astype(np.int64)
             if expand is None:
-                cand, at, radius, outside = _candidates(xs[now], spacing, domain, dirs)
-                good = settle(cand, radius, grid, xs, 1)
+                cand, at, radius, outside = _candidates(x, spacing, domain, dirs)
+                good = settle(cand, radius, grid, pts["x"], 1)
                 cand, at, radius, blocked = cand[good], at[good], radius[good], int((~good).sum())
+                grid.add(cand, pts.n)
             else:
-                cand, at, radius, outside, blocked = expand(xs[now], who, nbr)
+                cand, at, radius, outside, blocked = expand(x, who, nbr)
             count["tested"] += len(cand) + outside + blocked
             count["outside"] += outside
             count["blocked"] += blocked
+            end = np.cumsum([len(part) for part in sent])
+            for i, j in zip(end - [len(part) for part in sent], end, strict=True):
+                a, b = (0, len(at)) if len(sent) == 1 else np.searchsorted(at, (i, j))
+                ahead.append((now[i:j], who[i:j], cand[a:b], at[a:b] - i, radius[a:b]))
+        now, who, cand, at, radius = ahead.popleft() if ahead else ((),) * 5
+        busy.append((stage, len(set(who))))
+        if len(now):
             w = who[at]
-            ids, cells = add(cand, w, stage, step, radius)
-            expanded[now] = True
+            ids, at_cells = add(cand, w, stage, step, radius)
+            pts["expanded"][now] = True
             asked = set()
-            for i, c, ww in zip(ids.tolist(), cells.tolist(), w.tolist(), strict=True):
+            for i, c, ww in zip(ids.tolist(), at_cells.tolist(), w.tolist(), strict=True):
                 if state[c] == 2 and owner[c] == ww:
                     fronts[ww].append(i)
                     front_count[c] += 1
                 else:
+                    unheld[c].append(i)
                     asked.add((ww, c))
             settle_claims(asked)
-            np.subtract.at(front_count, cell_of[now], 1)
-            for c in np.unique(cell_of[now]).tolist():
+            cell_of = pts["cell"][now]
+            np.subtract.at(front_count, cell_of, 1)
+            for c in np.unique(cell_of).tolist():
                 if state[c] == 2 and front_count[c] <= 0:
                     drop(c)
-            # restart entries that a front has claimed meanwhile leave the set
-            if any(not in_set[c] for c in restart):
-                restart = deque(c for c in restart if in_set[c])
-        held = np.flatnonzero(state == 2)
-        clash += sum(1 for c in held.tolist() for b in nbr[c] if state[b] == 2 and owner[b] != owner[c])
+        clash += cells.clashes
     else:
         raise RuntimeError("claims did not finish")
     count["supersteps"], count["stages"] = step, stage
-    flat = {m: np.concatenate(v) if v else np.zeros(0, np.int64) for m, v in meta.items()}
-    return Report(xs, worker_of, flat["stage"], flat["step"], flat["h"], leaves.cell[cell_of], count, busy, gaps, clash, int((~expanded).sum()), len(restart))
+    return Report(pts["x"], pts["worker"], pts["stage"], pts["step"], pts["h"], leaves.cell[pts["cell"]], count, busy, gaps, clash, int((~pts["expanded"]).sum()), cells.waiting)
 
 
 RUN = "run string, method string, h long, lim long, workers int, realisation int, n long, stages long, supersteps long, attempts long, grants long, fails long, entries long, releases long, put_back long, tested long, outside long, blocked long, gap_one long, gap_two long, gap_wider long, stage1_points long, stage1_steps long, active double, owners_clash long, unexpanded long, left_in_set long, seconds double"
