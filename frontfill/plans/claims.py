@@ -304,18 +304,17 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     grid = Tiers(d, spacing.most)
     pts = Columns(x=(np.int32, (d,)), cell=(np.int32, ()), worker=(np.int32, ()), stage=(np.int32, ()), step=(np.int32, ()), h=(np.int32, ()), expanded=(bool, ()))
     fronts: list[deque[int]] = [deque() for _ in range(W)]
-    #: of supersteps to come: points, workers, accepted candidates, their parents' places and radii
+    #: of supersteps to come: points, workers, accepted candidates, their cells, parents' places and radii
     ahead: deque[tuple] = deque()
     busy: list[tuple[int, int]] = []
     gaps = np.zeros(0, np.int64)
     clash = 0
 
-    def add(x, w, stage, step, radius):
+    def add(x, c, w, stage, step, radius):
         first = pts.n
-        c = leaves.of(x)
         pts.add(len(x), x=x, cell=c, worker=w, stage=stage, step=step, h=radius, expanded=False)
         np.add.at(cells.points, c, 1)
-        return np.arange(first, first + len(x)), c
+        return range(first, first + len(x))
 
     def enqueue_cell(c):
         count["entries"] += cells.enter(c)
@@ -356,8 +355,8 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     ok = domain.mask(seeds)
     ok[ok] = settle(seeds[ok], spacing.at(seeds[ok]), grid, pts["x"], 1)
     grid.add(seeds[ok], 0)
-    ids, at_cells = add(seeds[ok], np.flatnonzero(ok), 1, 0, spacing.at(seeds[ok]))
-    for i, c in zip(ids.tolist(), at_cells.tolist(), strict=True):
+    at_cells = leaves.of(seeds[ok])
+    for i, c in zip(add(seeds[ok], at_cells, np.flatnonzero(ok), 1, 0, spacing.at(seeds[ok])), at_cells.tolist(), strict=True):
         unheld[c].append(i)
     settle_claims([(int(w), int(c)) for w, c in zip(np.flatnonzero(ok), at_cells, strict=True)])
     for c in at_cells.tolist():
@@ -365,7 +364,6 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
             enqueue_cell(c)
             cells.put(c, 3, -1)
     stage, step = 1, 0
-    del ids
     while step < max_steps:
         if not ahead and not any(fronts):
             # stage end: what failed may be claimed again
@@ -424,18 +422,19 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
             count["tested"] += len(cand) + outside + blocked
             count["outside"] += outside
             count["blocked"] += blocked
+            of = leaves.of(cand)
             end = np.cumsum([len(part) for part in sent])
             for i, j in zip(end - [len(part) for part in sent], end, strict=True):
                 a, b = (0, len(at)) if len(sent) == 1 else np.searchsorted(at, (i, j))
-                ahead.append((now[i:j], who[i:j], cand[a:b], at[a:b] - i, radius[a:b]))
-        now, who, cand, at, radius = ahead.popleft() if ahead else ((),) * 5
+                ahead.append((now[i:j], who[i:j], cand[a:b], of[a:b], at[a:b] - i, radius[a:b]))
+        now, who, cand, at_cells, at, radius = ahead.popleft() if ahead else ((),) * 6
         busy.append((stage, len(set(who))))
         if len(now):
             w = who[at]
-            ids, at_cells = add(cand, w, stage, step, radius)
+            ids = add(cand, at_cells, w, stage, step, radius)
             pts["expanded"][now] = True
             asked = set()
-            for i, c, ww in zip(ids.tolist(), at_cells.tolist(), w.tolist(), strict=True):
+            for i, c, ww in zip(ids, at_cells.tolist(), w.tolist(), strict=True):
                 if state[c] == 2 and owner[c] == ww:
                     fronts[ww].append(i)
                     front_count[c] += 1

@@ -58,3 +58,25 @@ def test_neighbours_of_a_full_tree_are_those_of_touching_boxes():
     for c, near in enumerate(claims.neighbour_lists(leaves)):
         gap = np.abs(leaves.lo - leaves.lo[c]).max(axis=1)
         assert sorted(near.tolist()) == np.flatnonzero((gap > 0) & (gap <= leaves.side[c])).tolist()
+
+
+@pytest.mark.parametrize("seek", ["enqueued", "far", "unfilled"])
+def test_idle_worker_takes_the_cell_that_looking_at_all_gives(seek):
+    leaves = Leaves.uniform(4, 2)
+    nbr = claims.neighbour_lists(leaves)
+    rng = np.random.default_rng(3)
+    for _ in range(30):
+        cells = claims.Cells(leaves, nbr)
+        cells.points[:-1] = rng.integers(0, 5, len(nbr))
+        for c in rng.permutation(len(nbr)).tolist():
+            state = int(rng.choice([0, 1, 2, 3, 3, 3], p=[0.6, 0.02, 0.02, 0.12, 0.12, 0.12]))
+            cells.put(c, state, int(rng.integers(3)) if state in (1, 2) else -1)
+            if state in (1, 3):
+                cells.enter(c)
+        options = [c for c in cells.entries() if cells.state[c] == 3 and all(not (cells.state[b] in (1, 2) and cells.owner[b] != 1) for b in nbr[c])]
+        if seek == "unfilled":
+            around = [cells.points[c] + sum(cells.points[b] for b in nbr[c]) for c in options]
+            options = [c for c, k in zip(options, around, strict=True) if k == min(around)]
+        gap = [min((((leaves.lo[m] - leaves.lo[c]) ** 2).sum() for m in cells.claimed), default=0) for c in options]
+        want = -1 if not options else options[0] if seek == "enqueued" else options[int(np.argmax(gap))]
+        assert cells.sought(1, seek) == want
