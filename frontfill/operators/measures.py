@@ -40,14 +40,48 @@ def open_candidates(points: DataFrame, domain, d: int, side: int, k: int | None
     here = cand.withColumns({f"c{i}": _div(F.col(n), side) for i, n in enumerate(names)})
     cond = reduce(and_, (F.col(f"c{i}") == F.col(f"g{i}") for i in range(d)))
     near = squared([F.col(n) for n in names], [F.col(f"q_{n}") for n in names]) < F.col("h") * F.col("h")
-    return here.join(spread, cond & near, "left_anti")
+    # shuffled sizes are compressed and hide what a broadcast would hold
+    return here.join(spread.hint("merge"), cond & near, "left_anti")
 
 
 def nearest(points: DataFrame, names: list[str], reach: int) -> DataFrame:
-    """``id, d2``: squared distance to the nearest other row nearer than ``reach`` (null: none)."""
+    """``id, d2``: squared distance to the nearest other row nearer than ``reach`` (null: none).
+
+    Rows of one place are folded into it; with another id there the distance is nought.  The other places search cells that hold few places, and
+    those that find nothing nearer than a cell's side search cells twice as wide, up to ``reach``.
+    """
     pts = points.select("id", *names)
-    got = within_pairs(pts, pts, names, reach, F.lit(reach).cast("long")).where("a_id <> b_id").groupBy(F.col("a_id").alias("id")).agg(F.min("d2").alias("d2"))
-    return pts.select("id").join(got, "id", "left")
+    real = reduce(and_, (F.col(n).isNotNull() for n in ("id", *names)))
+    sites = stored(pts.where(real).groupBy(*names).agg(F.min("id").alias("id"), F.max("id").alias("last")))
+    found = [pts.where(real).join(sites.where("id <> last").select(*names), names, "left_semi").select("id", F.lit(0).cast("long").alias("d2"))] if reach > 0 else []
+    side = _crowded_side(sites, names, reach)
+    left = sites.where("id = last").select("id", *names)
+    while reach > 0:
+        near = within_pairs(left, sites, names, side, F.lit(side).cast("long")).where("not (b_id = a_id and b_last = a_id)")
+        got = stored(near.groupBy(F.col("a_id").alias("id"), *(F.col(f"a_{n}").alias(n) for n in names)).agg(F.min("d2").alias("d2")))
+        found.append(got.select("id", "d2"))
+        if side >= reach:
+            break
+        left = stored(left.join(got.hint("merge"), ["id", *names], "left_anti"))
+        if left.isEmpty():
+            break
+        side = min(2 * side, reach)
+    if not found:
+        return pts.select("id", F.lit(None).cast("long").alias("d2"))
+    best = reduce(DataFrame.unionByName, found).groupBy("id").agg(F.min("d2").alias("d2"))
+    return pts.select("id").join(best.hint("merge"), "id", "left")
+
+
+def _crowded_side(sites: DataFrame, names: list[str], reach: int, most: int = 64) -> int:
+    """The widest of ``reach`` and its halves whose cells hold at most ``most`` different places."""
+    side = max(1, reach)
+    while side > 1:
+        n = sites.groupBy(*(_div(F.col(n), side) for n in names)).count().agg(F.max("count")).first()[0] or 0
+        if n <= most:
+            break
+        # a cell's half holds a fourth in the plane, if it is not crowded itself
+        side = max(1, side >> max(1, int(np.log2(n / most) / len(names))))
+    return side
 
 
 def regularity(points: DataFrame, names: list[str], h: int) -> DataFrame:
