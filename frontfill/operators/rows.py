@@ -40,7 +40,8 @@ def within_pairs(a: DataFrame, b: DataFrame, names: list[str], side: int, radius
     for k in keys:
         cond = cond & (F.col(f"a_{k}") == F.col(f"b_{k}"))
     d2 = squared([F.col(f"a_{n}") for n in names], [F.col(f"b_{n}") for n in names])
-    joined = left.join(right, cond).withColumn("d2", d2).where(F.col("d2") < radius * radius)
+    # shuffled sizes are compressed and hide what a broadcast would hold
+    joined = left.join(right.hint("merge"), cond).withColumn("d2", d2).where(F.col("d2") < radius * radius)
     return joined.drop("__o", *(f"__g{i}" for i in range(d)), *(f"__r{i}" for i in range(d)))
 
 

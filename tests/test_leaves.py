@@ -38,3 +38,15 @@ def test_merged_tree_broadcasts_nothing(spark, small):
     df.collect()
     plan = df._jdf.queryExecution().executedPlan().toString()
     assert "SortMergeJoin" in plan and "BroadcastExchange" not in plan
+
+def test_pairs_and_open_candidates_merge(spark):
+    from frontfill.functions import domain as D
+    from frontfill.operators import measures
+    from frontfill.operators.rows import within_pairs
+    from pyspark.sql import functions as F
+
+    p = spark.createDataFrame([(i, 8_000_000 + i, 8_000_000, 100) for i in range(20)], "id long, x0 long, x1 long, h long")
+    for df in (within_pairs(p, p, ["x0", "x1"], 100, F.lit(100)), measures.open_candidates(p, D.disc(), 2, 100)):
+        df.collect()
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert "SortMergeJoin" in plan and "Broadcast" not in plan
