@@ -23,6 +23,10 @@ SELECT event_id AS id, event_type AS grp, {axis('((epoch_us(ts) - 17040672000000
 CUSTOMER = f"""
 SELECT c_custkey AS id, c_nationkey::VARCHAR AS grp, {axis(cents('c_acctbal'), -100_000, 1_110_000)} AS x0,
        {axis('(((c_custkey * 48271 + 11) % 2147483647) % 10007)', 0, 10_007)} AS x1 FROM customer"""
+SUPPLIER = f"""
+SELECT s_suppkey AS id, s_nationkey::VARCHAR AS grp, {axis(cents('s_acctbal'), -100_000, 1_110_000)} AS x0,
+       {axis('(((s_suppkey * 48271 + 11) % 2147483647) % 10007)', 0, 10_007)} AS x1,
+       {axis('(((((s_suppkey * 48271 + 11) % 2147483647) * 48271 + 11) % 2147483647) % 10007)', 0, 10_007)} AS x2 FROM supplier"""
 PART = f"""
 SELECT p_partkey AS id, p_brand AS grp, {axis('p_size::BIGINT', 0, 51)} AS x0,
        {axis('CAST(ROUND(p_retailprice * 10) AS BIGINT)', 9000, 1000)} AS x1 FROM part"""
