@@ -272,6 +272,13 @@ class Columns:
         self.n += n
 
 
+def step_bound(domain, spacing, d: int) -> int:
+    """More supersteps than a fill can need: each expands a point at least."""
+    from frontfill.plans.fill import expected_points
+
+    return max(200_000, 4 * int(expected_points(domain, spacing, d)))
+
+
 #: about how many points one call of the kernel expands for supersteps to come
 AHEAD = 4096
 
@@ -287,13 +294,11 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     next supersteps expand is known as far as every queue reaches, and one call of the kernel tests the candidates of them all, in order.  ``max_steps`` is by default more than the
     points of the fill, each superstep expanding one at least.
     """
-    from frontfill.plans.fill import expected_points
-
     d, W = leaves.d, len(seeds)
     dirs = directions(d, k)
     nbr = neighbour_lists(leaves)
     n_cells = len(leaves.cell)
-    max_steps = max_steps or max(200_000, 4 * int(expected_points(domain, spacing, d)))
+    max_steps = max_steps or step_bound(domain, spacing, d)
     cells = Cells(leaves, nbr)
     state, owner = cells.state, cells.owner
     front_count = np.zeros(n_cells, np.int64)

@@ -80,3 +80,7 @@ def test_idle_worker_takes_the_cell_that_looking_at_all_gives(seek):
         gap = [min((((leaves.lo[m] - leaves.lo[c]) ** 2).sum() for m in cells.claimed), default=0) for c in options]
         want = -1 if not options else options[0] if seek == "enqueued" else options[int(np.argmax(gap))]
         assert cells.sought(1, seek) == want
+
+
+def test_bound_on_supersteps_is_beyond_one_worker_on_fourteen_million_points():
+    assert claims.step_bound(D.disc(), S.Constant(size_h(14_400_000)), 2) > 14_400_000 / 64
