@@ -456,7 +456,7 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     else:
         raise RuntimeError("claims did not finish")
     count["supersteps"], count["stages"] = step, stage
-    return Report(pts["x"], pts["worker"], pts["stage"], pts["step"], pts["h"], leaves.cell[pts["cell"]], count, busy, gaps, clash, int((~pts["expanded"]).sum()), cells.waiting)
+    return Report(pts["x"].astype(np.int64), pts["worker"], pts["stage"], pts["step"], pts["h"], leaves.cell[pts["cell"]], count, busy, gaps, clash, int((~pts["expanded"]).sum()), cells.waiting)
 
 
 RUN = "run string, method string, h long, lim long, workers int, realisation int, n long, stages long, supersteps long, attempts long, grants long, fails long, entries long, releases long, put_back long, tested long, outside long, blocked long, gap_one long, gap_two long, gap_wider long, stage1_points long, stage1_steps long, active double, owners_clash long, unexpanded long, left_in_set long, seconds double"
