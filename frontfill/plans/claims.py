@@ -20,8 +20,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from frontfill.functions.directions import directions, propose
-from frontfill.functions.kernel import Grid, Tiers, settle
-from frontfill.functions.lattice import SIDE, mix
+from frontfill.functions.kernel import Grid, Spots, Tiers, settle
+from frontfill.functions.lattice import PRIME, SIDE, mix
 from frontfill.operators.tree import Leaves
 from frontfill.sources.store import stored
 
@@ -117,16 +117,35 @@ class Report:
     left_in_set: int = 0
 
 
-def neighbour_lists(leaves: Leaves) -> list[np.ndarray]:
+class Near:
+    """Neighbours of each cell as rows of one table, filled up with the number of cells."""
+
+    def __init__(self, table: np.ndarray):
+        self.table = table
+        self.many = (table < len(table)).sum(axis=1).tolist()
+
+    def __len__(self) -> int:
+        return len(self.many)
+
+    def __getitem__(self, c: int) -> np.ndarray:
+        return self.table[c, : self.many[c]]
+
+
+def neighbour_lists(leaves: Leaves) -> Near:
     """Vertex neighbours of each leaf of a full or mixed tree, by touching boxes on the grid of the coarsest cells."""
     d = leaves.d
     wide = int(leaves.side.max())
     slot = leaves.lo // wide
     if (leaves.side == wide).all() and len(slot) == (SIDE // wide) ** d:
-        shifts = np.array([o for o in np.ndindex(*([3] * d)) if any(v != 1 for v in o)], np.int64) - 1
-        at = slot[:, None, :] + shifts
-        real = ((at >= 0) & (at < SIDE // wide)).all(axis=2)
-        return [row[ok] for row, ok in zip(leaves.of(at * wide), real, strict=True)]
+        n = len(slot)
+        leaf = np.full([SIDE // wide + 2] * d, n, np.int32)
+        leaf[tuple(slot.T + 1)] = np.arange(n)
+        shifts = [o for o in np.ndindex(*([3] * d)) if any(v != 1 for v in o)]
+        near = np.stack([leaf[tuple(slot[:, a] + o[a] for a in range(d))] for o in shifts], axis=1)
+        # a cell at the border has fewer: what is missing goes to the end, the rest keeps its order
+        rim = np.flatnonzero((near == n).any(axis=1))
+        near[rim] = np.take_along_axis(near[rim], np.argsort(near[rim] == n, axis=1, kind="stable"), axis=1)
+        return Near(near)
     table = defaultdict(list)
     for i, s in enumerate(map(tuple, slot.tolist())):
         table[s].append(i)
@@ -137,10 +156,13 @@ def neighbour_lists(leaves: Leaves) -> list[np.ndarray]:
         near = np.array([j for j in near if j != i], np.int64)
         touch = np.all((leaves.lo[near] <= hi[i]) & (hi[near] >= leaves.lo[i]), axis=1) if len(near) else np.zeros(0, bool)
         out.append(near[touch])
-    return out
+    table = np.full((len(out), max(map(len, out), default=0)), len(out), np.int32)
+    for i, near in enumerate(out):
+        table[i, : len(near)] = near
+    return Near(table)
 
 
-def gap_widths(nbr: list[np.ndarray], owner: np.ndarray) -> np.ndarray:
+def gap_widths(nbr: Near, owner: np.ndarray) -> np.ndarray:
     """Cells on the shortest way from one owner's area to another's through each unfilled cell (``owner`` -1; less for cells that do not count); cells that fewer than two reach are left out.
 
     Areas spread through unfilled cells a ring at a time; each cell keeps the two nearest different owners and their distances.
@@ -171,16 +193,17 @@ def _candidates(x: np.ndarray, spacing, domain, dirs: np.ndarray):
 
 
 class Cells:
-    """State, owner and restart set of the cells.  For each cell the flags (failed or claimed) next to it are kept as a number, a sum of owners and
-    a sum of their squares: all of them are one worker's if and only if both sums are that number's multiples, whatever their order."""
+    """State, owner and restart set of the cells.  Where idle workers seek cells, for each cell the flags (failed or claimed) next to it are kept as a number,
+    a sum of owners and a sum of their squares: all of them are one worker's if and only if both sums are that number's multiples, whatever their order."""
 
-    def __init__(self, leaves: Leaves, nbr: list[np.ndarray]):
+    def __init__(self, leaves: Leaves, nbr: Near, seeking: bool = True):
         n = len(leaves.cell)
         self.nbr, self.lo = nbr, leaves.lo
         self.state = bytearray(n)
         self.states = np.frombuffer(self.state, np.uint8)
         self.owner = [-1] * n
-        self.flags = np.zeros((n, 3), np.int64)
+        self.owners = np.full(n, -1, np.int32)
+        self.flags = np.zeros((n, 3), np.int64) if seeking else None
         #: place in the restart set by order of entry; -1: not in it
         self.place = np.full(n, -1, np.int64)
         self.entered = self.waiting = 0
@@ -188,31 +211,35 @@ class Cells:
         self.claimed: set[int] = set()
         #: claimed neighbours of different owners, counted from both
         self.clashes = 0
-        wide = max((len(b) for b in nbr), default=0)
-        self.around = np.full((n, wide), n, np.int32)
-        for c, b in enumerate(nbr):
-            self.around[c, : len(b)] = b
 
     def put(self, c: int, state: int, owner: int) -> None:
         was, by = self.state[c], self.owner[c]
-        if was in (1, 2):
-            self.flags[self.nbr[c]] -= (1, by, by * by)
-        if state in (1, 2):
-            self.flags[self.nbr[c]] += (1, owner, owner * owner)
+        if self.flags is not None:
+            if was in (1, 2):
+                self.flags[self.nbr[c]] -= (1, by, by * by)
+            if state in (1, 2):
+                self.flags[self.nbr[c]] += (1, owner, owner * owner)
         if was == 2:
             self.clashes -= 2 * self._rivals(c, by)
             self.claimed.discard(c)
         if state == 2:
             self.clashes += 2 * self._rivals(c, owner)
             self.claimed.add(c)
-        self.state[c], self.owner[c] = state, owner
+        self.state[c], self.owner[c], self.owners[c] = state, owner, owner
 
     def _rivals(self, c: int, w: int) -> int:
-        return sum(1 for b in self.nbr[c].tolist() if self.state[b] == 2 and self.owner[b] != w)
+        n, state, owner = 0, self.state, self.owner
+        for b in self.nbr[c].tolist():
+            if state[b] == 2 and owner[b] != w:
+                n += 1
+        return n
 
     def free_of_others(self, c: int, w: int) -> bool:
-        n, one, two = self.flags[c].tolist()
-        return one == n * w and two == n * w * w
+        state, owner = self.state, self.owner
+        for b in self.nbr[c].tolist():
+            if owner[b] != w and state[b] in (1, 2):
+                return False
+        return True
 
     def enter(self, c: int) -> bool:
         """Put a cell at the end of the restart set; was it not there?"""
@@ -242,7 +269,7 @@ class Cells:
         if seek == "enqueued":
             return int(c[self.place[c].argmin()])
         if seek == "unfilled":
-            k = self.points[c] + self.points[self.around[c]].sum(axis=1)
+            k = self.points[c] + self.points[self.nbr.table[c]].sum(axis=1)
             c = c[k == k.min()]
         c = c[np.argsort(self.place[c])]
         gap = np.full(len(c), np.iinfo(np.int64).max if self.claimed else 0)
@@ -279,6 +306,16 @@ def step_bound(domain, spacing, d: int) -> int:
     return max(200_000, 4 * int(expected_points(domain, spacing, d)))
 
 
+def point_table(leaves: Leaves, domain, spacing) -> Spots | Tiers:
+    """A table of cells where one spacing fills the region's box evenly, sorted keys elsewhere."""
+    box = domain.box()
+    if box is not None and leaves.d <= 2 and spacing.least == spacing.most:
+        inside = leaves.side[domain.mask(leaves.lo + (leaves.side // 2)[:, None])].astype(np.float64) ** leaves.d
+        if 4 * inside.sum() >= np.prod([hi - lo + 1.0 for lo, hi in box]):
+            return Spots(box, spacing.most)
+    return Tiers(leaves.d, spacing.most)
+
+
 #: about how many points one call of the kernel expands for supersteps to come
 AHEAD = 4096
 
@@ -299,14 +336,14 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
     nbr = neighbour_lists(leaves)
     n_cells = len(leaves.cell)
     max_steps = max_steps or step_bound(domain, spacing, d)
-    cells = Cells(leaves, nbr)
+    cells = Cells(leaves, nbr, seek != "none")
     state, owner = cells.state, cells.owner
     front_count = np.zeros(n_cells, np.int64)
     #: points that no front holds yet, by cell
     unheld: dict[int, list[int]] = defaultdict(list)
     rng = np.random.default_rng(seed)
     count = dict.fromkeys(("attempts", "grants", "fails", "entries", "releases", "supersteps", "stages", "tested", "outside", "blocked", "put_back"), 0)
-    grid = Tiers(d, spacing.most)
+    grid = point_table(leaves, domain, spacing)
     pts = Columns(x=(np.int32, (d,)), cell=(np.int32, ()), worker=(np.int32, ()), stage=(np.int32, ()), step=(np.int32, ()), h=(np.int32, ()), expanded=(bool, ()))
     fronts: list[deque[int]] = [deque() for _ in range(W)]
     #: of supersteps to come: points, workers, accepted candidates, their cells, parents' places and radii
@@ -343,7 +380,11 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
 
     def settle_claims(asked):
         """Decide all claims of a superstep together: smallest hashed rank first in each neighbourhood."""
-        for _, w, c in sorted((int(mix(mix(int(leaves.cell[c]) % 2147483647) + w)), w, c) for w, c in asked):
+        if not asked:
+            return
+        by, of = np.array(list(asked), np.int64).T
+        rank = np.lexsort((of, by, mix(mix(leaves.cell[of] % PRIME) + by)))
+        for w, c in zip(by[rank].tolist(), of[rank].tolist(), strict=True):
             count["attempts"] += 1
             if state[c] == 2:
                 count["fails"] += owner[c] != w
@@ -414,12 +455,18 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
         if not ahead and any(fronts):
             at_work = [len(f) for f in fronts if f]
             known = expand is None and (seek == "none" or len(at_work) == W)
-            sent = [[(f.popleft(), w) for w, f in enumerate(fronts) for _ in range(min(quantum, len(f)))] for _ in range(max(1, min(min(at_work), AHEAD // len(at_work)) // quantum) if known else 1)]
-            now, who = np.array([p for part in sent for p in part]).T
+            sent, by, end = [], [], []
+            for _ in range(max(1, min(min(at_work), AHEAD // len(at_work)) // quantum) if known else 1):
+                for w, f in enumerate(fronts):
+                    take = min(quantum, len(f))
+                    sent += [f.popleft() for _ in range(take)]
+                    by += [w] * take
+                end.append(len(sent))
+            now, who = np.array(sent), np.array(by)
             x = pts["x"][now].astype(np.int64)
             if expand is None:
                 cand, at, radius, outside = _candidates(x, spacing, domain, dirs)
-                good = settle(cand, radius, grid, pts["x"], 1)
+                good = settle(cand, radius, grid, pts["x"], 1, now[at])
                 cand, at, radius, blocked = cand[good], at[good], radius[good], int((~good).sum())
                 grid.add(cand, pts.n)
             else:
@@ -428,30 +475,32 @@ def simulate(leaves: Leaves, domain, spacing, seeds: np.ndarray, quantum: int =
             count["outside"] += outside
             count["blocked"] += blocked
             of = leaves.of(cand)
-            end = np.cumsum([len(part) for part in sent])
-            for i, j in zip(end - [len(part) for part in sent], end, strict=True):
-                a, b = (0, len(at)) if len(sent) == 1 else np.searchsorted(at, (i, j))
+            for i, j in zip([0, *end], end, strict=False):
+                a, b = (0, len(at)) if len(end) == 1 else np.searchsorted(at, (i, j))
                 ahead.append((now[i:j], who[i:j], cand[a:b], of[a:b], at[a:b] - i, radius[a:b]))
         now, who, cand, at_cells, at, radius = ahead.popleft() if ahead else ((),) * 6
-        busy.append((stage, len(set(who))))
+        # workers stand in order
+        busy.append((stage, int(np.count_nonzero(np.diff(who, prepend=-1)))))
         if len(now):
             w = who[at]
-            ids = add(cand, at_cells, w, stage, step, radius)
+            ids = np.array(add(cand, at_cells, w, stage, step, radius), np.int64)
             pts["expanded"][now] = True
+            held = (cells.states[at_cells] == 2) & (cells.owners[at_cells] == w)
+            np.add.at(front_count, at_cells[held], 1)
+            joins, to = ids[held].tolist(), w[held]
+            cut = np.flatnonzero(np.diff(to, prepend=-1)).tolist()
+            for a, b in zip(cut, [*cut[1:], len(joins)], strict=False):
+                fronts[to[a]].extend(joins[a:b])
             asked = set()
-            for i, c, ww in zip(ids, at_cells.tolist(), w.tolist(), strict=True):
-                if state[c] == 2 and owner[c] == ww:
-                    fronts[ww].append(i)
-                    front_count[c] += 1
-                else:
-                    unheld[c].append(i)
-                    asked.add((ww, c))
+            for i, c, ww in zip(ids[~held].tolist(), at_cells[~held].tolist(), w[~held].tolist(), strict=True):
+                unheld[c].append(i)
+                asked.add((ww, c))
             settle_claims(asked)
             cell_of = pts["cell"][now]
             np.subtract.at(front_count, cell_of, 1)
-            for c in np.unique(cell_of).tolist():
-                if state[c] == 2 and front_count[c] <= 0:
-                    drop(c)
+            cell_of = np.unique(cell_of)
+            for c in cell_of[(cells.states[cell_of] == 2) & (front_count[cell_of] <= 0)].tolist():
+                drop(c)
         clash += cells.clashes
     else:
         raise RuntimeError("claims did not finish")
@@ -468,12 +517,13 @@ def sweep(spark, configs: list[dict], domain, d: int = 2) -> DataFrame:
     from frontfill.operators.tree import uniform_level
     from frontfill.plans.fill import seeds_relaxed
 
-    rows = [(i, c["h"], c.get("limit", 100), c["workers"], c.get("realisation", 0), c.get("quantum", 64), c.get("order", "shuffled"), c.get("seek", "none")) for i, c in enumerate(configs)]
-    frame = spark.createDataFrame(rows, "i int, h long, lim long, workers int, realisation int, quantum int, ord string, seek string").repartition(max(1, len(rows)), "i")
+    rows = [{"h": c["h"], "lim": c.get("limit", 100), "workers": c["workers"], "realisation": c.get("realisation", 0), "quantum": c.get("quantum", 64), "ord": c.get("order", "shuffled"), "seek": c.get("seek", "none")} for c in configs]
+    # a range deals one number to each task; by hash several would meet in one
+    frame = spark.range(0, len(rows), 1, max(1, len(rows)))
 
     def run(batches):
         for b in batches:
-            for c in b.to_pylist():
+            for c in (rows[i] for i in b["id"].to_pylist()):
                 sp = Constant(c["h"])
                 leaves = Leaves.uniform(uniform_level(c["lim"], c["h"], d), d)
                 t = time.perf_counter()

@@ -4,10 +4,12 @@ import hashlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from frontfill.functions import domain as D
 from frontfill.functions import spacing as S
-from frontfill.functions.kernel import Grid, Tiers
+from frontfill.functions.directions import directions, propose
+from frontfill.functions.kernel import Grid, Spots, Tiers, settle
 from frontfill.functions.lattice import size_h
 from frontfill.operators.tree import Leaves, uniform_level
 from frontfill.plans import claims
@@ -84,3 +86,67 @@ def test_idle_worker_takes_the_cell_that_looking_at_all_gives(seek):
 
 def test_bound_on_supersteps_is_beyond_one_worker_on_fourteen_million_points():
     assert claims.step_bound(D.disc(), S.Constant(size_h(14_400_000)), 2) > 14_400_000 / 64
+
+
+def test_each_configuration_has_a_task_of_its_own(spark):
+    configs = [{"h": size_h(300), "workers": 2, "realisation": i} for i in range(4)]
+    runs = claims.sweep(spark, configs, D.disc()).withColumn("part", F.spark_partition_id()).collect()
+    assert sorted(r["realisation"] for r in runs) == [0, 1, 2, 3] and len({r["part"] for r in runs}) == 4
+
+
+@pytest.mark.parametrize("seek", ["none", "far"])
+def test_table_of_cells_gives_the_points_of_sorted_keys(monkeypatch, seek):
+    h = size_h(5000)
+    assert isinstance(claims.point_table(Leaves.uniform(4, 2), D.disc(), S.Constant(h)), Spots)
+    table = told(simulated(5000, 9, 8, seek))
+    monkeypatch.setattr(claims, "point_table", lambda leaves, domain, spacing: Tiers(2, spacing.most))
+    assert told(simulated(5000, 9, 8, seek)) == table
+
+
+def test_thin_region_or_changing_spacing_takes_sorted_keys():
+    thin = D.Polygon(((0, 0), (16_000_000, 15_900_000), (16_000_000, 16_000_000)))
+    assert isinstance(claims.point_table(Leaves.uniform(6, 2), thin, S.Constant(50_000)), Tiers)
+    assert isinstance(claims.point_table(Leaves.uniform(4, 2), D.disc(), S.Linear(200_000, 400_000)), Tiers)
+
+
+@pytest.mark.parametrize("h", [4, 7, 1000, 90_000])
+@pytest.mark.parametrize("d", [1, 2])
+def test_table_of_cells_finds_what_all_pairs_find(d, h):
+    rng = np.random.default_rng(h)
+    box = [(1000, 1000 + 30 * h)] * d
+    x = rng.integers(1000, 1000 + 30 * h + 1, (2000, d))
+    x = x[settle(x, np.full(len(x), h), Grid(d, h), x[:0], 1)]
+    spots = Spots(box, h)
+    spots.add(x, 0)
+    cand = propose(x, np.full(len(x), h), directions(d))
+    parent = np.repeat(np.arange(len(x)), cand.shape[1])
+    cand = cand.reshape(-1, d)
+    inside = ((cand >= 1000) & (cand <= 1000 + 30 * h)).all(axis=1)
+    cand, parent = cand[inside], parent[inside]
+    gap = ((cand[:, None, :] - x[None]) ** 2).sum(axis=2).min(axis=1)
+    assert (spots.taken(cand, x.astype(np.int32), parent) == (gap < h * h)).all()
+
+
+@pytest.mark.parametrize("d", [1, 2, 3])
+@pytest.mark.parametrize("rings", [1, 2])
+def test_candidates_in_chains_are_settled_as_one_by_one(d, rings):
+    rng = np.random.default_rng(d)
+    c = np.sort(rng.integers(0, 4000, (600, d)), axis=0)
+    radius = rng.integers(20, 101, 600)
+    good = []
+    for i in range(600):
+        if all(((c[i] - c[j]) ** 2).sum() >= radius[i] ** 2 for j in good):
+            good.append(i)
+    got = settle(c, radius, Grid(d, 100), c[:0], rings)
+    assert np.flatnonzero(got).tolist() == good
+
+
+def test_a_chain_is_not_a_round_a_link(monkeypatch):
+    n = 5000
+    calls = []
+    count = np.flatnonzero
+    monkeypatch.setattr(np, "flatnonzero", lambda a: calls.append(1) or count(a))
+    zeros = np.zeros
+    monkeypatch.setattr(np, "zeros", lambda *a, **k: calls.append(1) or zeros(*a, **k))
+    x = np.arange(n)[:, None] * 60
+    assert settle(x, np.full(n, 100), Grid(1, 100), x[:0], 1).tolist() == [i % 2 == 0 for i in range(n)] and len(calls) < 100
