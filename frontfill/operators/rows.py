@@ -91,19 +91,19 @@ def around(points: DataFrame, cells: DataFrame, names: list[str], reach: int) ->
     """
     d = len(names)
     level = min(max_level(d), BITS - max(0, int(reach) - 1).bit_length()) if reach < SIDE else 0
-    located = points.withColumn("__at", point_key(names, level))
-    here = with_boxes(located.select(F.col("__at").alias("cell")).distinct().withColumn("level", F.lit(level)), d)
-    spread = here.select(F.col("cell").alias("__at"), *(f"c{a}" for a in range(d)), F.explode(_offsets(d)).alias("o"))
-    at = [F.col(f"c{a}") + F.col("o")[a] for a in range(d)]
-    inside = reduce(and_, ((x >= 0) & (x < (1 << level)) for x in at))
-    near = spread.where(inside).select("__at", cell_key(at, F.lit(level), d).alias("near"))
-    up = near.select("__at", F.explode(F.sequence(F.lit(0), F.lit(level))).alias("k"), "near")
-    up = up.select("__at", F.call_function("shiftright", F.col("near"), (F.lit(d) * F.col("k")).cast("int")).alias("__meet")).distinct()
+    at = [f"__at{a}" for a in range(d)]
+    located = points.withColumns({c: F.shiftright(F.col(n), BITS - level) for c, n in zip(at, names, strict=True)})
+    near = located.select(*at).distinct()
+    for c in at:
+        near = near.select("*", F.explode(F.sequence(F.col(c) - 1, F.col(c) + 1)).alias(f"near{c}")).where(F.col(f"near{c}").between(0, (1 << level) - 1))
+    up = near.select(*at, F.explode(F.sequence(F.lit(0), F.lit(level))).alias("k"), cell_key([F.col(f"near{c}") for c in at], F.lit(level), d).alias("near"))
+    up = up.select(*at, F.call_function("shiftright", F.col("near"), (F.lit(d) * F.col("k")).cast("int")).alias("__meet")).distinct()
     boxed = with_boxes(cells.select("cell", "level"), d)
     finer = F.greatest(F.lit(0), F.col("level") - level)
     leaf = boxed.select(F.col("cell").alias("target"), *(f"lo{a}" for a in range(d)), "side", F.call_function("shiftright", F.col("cell"), (F.lit(d) * finer).cast("int")).alias("__meet"))
-    met = up.join(leaf, "__meet").drop("__meet")
-    return located.join(met, "__at").drop("__at")
+    # shuffled sizes are compressed and hide what a broadcast would hold
+    met = up.join(leaf.hint("merge"), "__meet").drop("__meet")
+    return located.join(met.hint("merge"), at).drop(*at)
 
 
 def halo(points: DataFrame, cells: DataFrame, names: list[str], gap: int) -> DataFrame:

@@ -50,3 +50,11 @@ def test_pairs_and_open_candidates_merge(spark):
         df.collect()
         plan = df._jdf.queryExecution().executedPlan().toString()
         assert "SortMergeJoin" in plan and "Broadcast" not in plan
+
+
+def test_leaves_around_points_merge(spark):
+    pts, cells, _, at = _case(spark)
+    df = baselines.leaf_lock_counts(pts, cells, XY, 200_000)
+    assert df.collect()[0].exclusive == len(at)
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan
